@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import media, mixing, packing, toxicity, urls
+from . import media, minhash, mixing, packing, toxicity, urls
 from .common import table
 
 
@@ -26,7 +26,11 @@ def op8_nnpu_toxicity(spark, sf_dir):
     return toxicity.toxic_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
-QUERIES = {f.__name__: f for f in (op3_matroska, op4_minimum_bin_slack, op5_flow_mixing, op7_url_automaton, op8_nnpu_toxicity)}
+def op10_lsh_forest(spark, sf_dir):
+    return minhash.near_duplicates(table(spark, sf_dir, "documents"), minhash.QUERY)
+
+
+QUERIES = {f.__name__: f for f in (op3_matroska, op4_minimum_bin_slack, op5_flow_mixing, op7_url_automaton, op8_nnpu_toxicity, op10_lsh_forest)}
 
 ORACLES: dict[str, str] = {}
 
@@ -77,3 +81,26 @@ SELECT doc_id, size, n AS source_size, target,
   (CASE WHEN n > 0 THEN (give // n) * size + greatest(0, least(size, give - (give // n) * n - before)) ELSE 0 END)::BIGINT AS taken
 FROM running
 """
+
+ORACLES["op10_lsh_forest"] = r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
+), sets AS (
+  SELECT doc_id, list_distinct(CASE WHEN len(w) = 0 THEN []::VARCHAR[] WHEN len(w) = 1 THEN [w[1]] ELSE list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]) END) AS s FROM words
+), flat AS (
+  SELECT doc_id, len(s) AS n, unnest(s) AS x FROM sets
+), common AS (
+  SELECT a.doc_id AS a, b.doc_id AS b, any_value(a.n) AS na, any_value(b.n) AS nb, count(*) AS n_common
+  FROM flat a JOIN flat b ON a.x = b.x AND a.doc_id < b.doc_id AND 100 * b.n >= 80 * a.n AND 100 * a.n >= 80 * b.n GROUP BY ALL
+), links AS (
+  SELECT a, b FROM common WHERE 100 * n_common >= 80 * (na + nb - n_common)
+), arcs AS (
+  SELECT a, b FROM links UNION ALL SELECT b, a FROM links
+), reach(node, r) AS (
+  SELECT DISTINCT a, a FROM arcs UNION SELECT arcs.b, reach.r FROM reach JOIN arcs ON arcs.a = reach.node
+), comp AS (
+  SELECT node, min(r) AS c FROM reach GROUP BY node
+)
+SELECT s.doc_id, len(s.s)::BIGINT AS n_shingles, coalesce(c.c, s.doc_id) AS component_id, s.doc_id = coalesce(c.c, s.doc_id) AS kept
+FROM sets s LEFT JOIN comp c ON s.doc_id = c.node
+"""

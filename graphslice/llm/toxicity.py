@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import zlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -26,7 +25,8 @@ class Settings:
     most_positive: int = 3000
     most_unlabelled: int = 9000
     features: int = 1500
-    least_support: int = 4
+    least_support: int = 3
+    least_ratio: float = 15.0
     epochs: int = 400
     rate: float = 0.05
     shrink: float = 1e-3
@@ -92,11 +92,14 @@ def fit_nnpu(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: fl
             counts[r] += 1
     n_p, n_u = max(1, len(positive)), max(1, len(unlabelled))
     a, b = (dp + 0.5) / (n_p + 1), (du + 0.5) / (n_u + 1)
-    spread = np.sqrt(a * (1 - np.minimum(a, 1)) / n_p + b * (1 - np.minimum(b, 1)) / n_u) + 1e-9
-    z = np.where(dp >= s.least_support, (a - b) / spread, 0)
-    # a word that only the positives' share of the unlabelled explains: enriched by far more than chance
-    chosen = np.flatnonzero((z > 4) & (a > 3 * b))
-    chosen = np.sort(chosen[np.argsort(-z[chosen], kind="stable")][: s.features])
+    # a word counts if its share among the positives is far above that of plain text: likelihood ratio of one rate against two
+    rate = (dp + du) / (n_p + n_u)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        term = lambda k, n, q: np.where(k > 0, k * np.log(k / np.maximum(n * q, 1e-300)), 0) + np.where(n - k > 0, (n - k) * np.log((n - k) / np.maximum(n * (1 - q), 1e-300)), 0)
+        ratio = 2 * (term(dp, n_p, rate) + term(du, n_u, rate))
+    score = np.where((dp >= s.least_support) & (a > 3 * b), np.nan_to_num(ratio), 0)
+    chosen = np.flatnonzero(score > s.least_ratio)
+    chosen = np.sort(chosen[np.argsort(-score[chosen], kind="stable")][: s.features])
     place = np.full(size, -1, np.int64)
     place[chosen] = np.arange(len(chosen))
 
@@ -128,10 +131,6 @@ def fit_nnpu(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: fl
     return Model(chosen, w, bias, prior, losses)
 
 
-def _fold(doc_id: int) -> int:
-    return zlib.crc32(str(doc_id).encode()) % 3
-
-
 FOLD = "pmod(crc32(cast(cast(doc_id as string) as binary)), 3)"
 
 
@@ -160,8 +159,6 @@ def train(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Model
 
 def score_documents(docs: DataFrame, model: Model, s: Settings = Settings(), carry: str = "doc_id") -> DataFrame:
     """(carried column, score) of every whole text in one narrow pass; null and empty texts get the model's bias alone."""
-    table = np.zeros(1 << FEATURE_BITS, np.float32)
-    table[model.features] = model.weights
     bias = model.bias
     schema = pa.schema([(carry, pa.int64()), ("score", pa.float64())])
     packed = (model.features.astype(np.int32), model.weights.astype(np.float64))
@@ -179,7 +176,6 @@ def score_documents(docs: DataFrame, model: Model, s: Settings = Settings(), car
                 np.add.at(total, row[hit], weights[feature[hit]])
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(_sigmoid(total))], schema=schema)
 
-    del table
     return docs.select(F.col(carry).cast("long").alias(carry), F.col("text").cast("string").alias("text")).mapInArrow(run, f"{carry} long, score double")
 
 
