@@ -281,3 +281,51 @@ def components(links: DataFrame, keep: Durable, most_rounds: int = 40) -> DataFr
             break
         last = now
     return edges.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("component"))
+
+
+def without(df: DataFrame, key: str, members: DataFrame, member_key: str, bits: int = 22) -> DataFrame:
+    """Rows whose key is not among the members. Only rows that the bit map cannot clear are shuffled."""
+    place = lambda c: F.pmod(F.xxhash64(F.col(c)), F.lit(1 << bits))
+    words = members.select(place(member_key).alias("_p")).select(F.shiftright("_p", 6).alias("_word"), F.expr("shiftleft(1L, cast(_p & 63 as int))").alias("_bit")).groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
+    tagged = df.withColumn("_p", place(key)).withColumn("_word", F.shiftright("_p", 6)).join(F.broadcast(words), "_word", "left")
+    tagged = tagged.withColumn("_maybe", F.expr("coalesce((_bits & shiftleft(1L, cast(_p & 63 as int))) != 0, false)")).drop("_p", "_word", "_bits")
+    sure = tagged.filter("not _maybe").drop("_maybe")
+    rest = tagged.filter("_maybe").drop("_maybe")
+    return sure.union(rest.join(members.select(F.col(member_key).alias("_m")).distinct(), rest[key] == F.col("_m"), "left_anti"))
+
+
+def whole_groups(batches, keys: list[str], most_rows: int = 50_000):
+    """Tables of whole key groups from batches sorted by the keys; a group goes on over batches until it ends."""
+    held: list[pa.Table] = []
+    rows = 0
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        held.append(pa.Table.from_batches([batch]))
+        rows += batch.num_rows
+        if rows < most_rows:
+            continue
+        table = pa.concat_tables(held).combine_chunks()
+        last = np.ones(table.num_rows, bool)
+        for k in keys:
+            c = table.column(k).to_numpy()
+            last &= c == c[-1]
+        other = np.flatnonzero(~last)
+        cut = int(other[-1]) + 1 if len(other) else 0
+        if cut:
+            yield table.slice(0, cut).combine_chunks()
+        held = [table.slice(cut)]
+        rows = table.num_rows - cut
+        if not cut:
+            most_rows = 2 * rows
+    if rows:
+        yield pa.concat_tables(held).combine_chunks()
+
+
+def spread_starts(first: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """first[i], first[i] + 1, ... count[i] values of each i, in one array."""
+    total = int(count.sum())
+    if not total:
+        return np.zeros(0, np.int64)
+    at = np.cumsum(count) - count
+    return np.arange(total) - np.repeat(at - first, count)

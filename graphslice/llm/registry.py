@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import media, minhash, mixing, packing, toxicity, urls
+from . import media, minhash, mixing, packing, phrases, toxicity, urls
 from .common import table
 
 
@@ -30,7 +30,11 @@ def op10_lsh_forest(spark, sf_dir):
     return minhash.near_duplicates(table(spark, sf_dir, "documents"), minhash.QUERY)
 
 
-QUERIES = {f.__name__: f for f in (op3_matroska, op4_minimum_bin_slack, op5_flow_mixing, op7_url_automaton, op8_nnpu_toxicity, op10_lsh_forest)}
+def op9_phrase_automata(spark, sf_dir):
+    return phrases.repeated_words(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op3_matroska, op4_minimum_bin_slack, op5_flow_mixing, op7_url_automaton, op8_nnpu_toxicity, op9_phrase_automata, op10_lsh_forest)}
 
 ORACLES: dict[str, str] = {}
 
