@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import media, minhash, mixing, packing, phrases, toxicity, urls
+from . import media, minhash, mixing, packing, phrases, suffixes, toxicity, urls
 from .common import table
 
 
@@ -18,6 +18,10 @@ def op5_flow_mixing(spark, sf_dir):
     return mixing.mix_sources(table(spark, sf_dir, "documents"))
 
 
+def op6_hashed_suffix_sort(spark, sf_dir):
+    return suffixes.repeated_bytes(table(spark, sf_dir, "documents"))
+
+
 def op7_url_automaton(spark, sf_dir):
     return urls.filter_urls(table(spark, sf_dir, "pages"), urls.PAGE_RULES)
 
@@ -34,7 +38,7 @@ def op9_phrase_automata(spark, sf_dir):
     return phrases.repeated_words(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op3_matroska, op4_minimum_bin_slack, op5_flow_mixing, op7_url_automaton, op8_nnpu_toxicity, op9_phrase_automata, op10_lsh_forest)}
+QUERIES = {f.__name__: f for f in (op3_matroska, op4_minimum_bin_slack, op5_flow_mixing, op6_hashed_suffix_sort, op7_url_automaton, op8_nnpu_toxicity, op9_phrase_automata, op10_lsh_forest)}
 
 ORACLES: dict[str, str] = {}
 
