@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from . import media, minhash, mixing, packing, phrases, suffixes, toxicity, urls
+from . import lattice, media, minhash, mixing, packing, phrases, suffixes, toxicity, urls
 from .common import table
 
 
+def op2_lattice_hashing(spark, sf_dir):
+    return lattice.near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op3_matroska(spark, sf_dir):
     return media.text_media_digest(table(spark, sf_dir, "documents"))
 
@@ -38,7 +42,7 @@ def op9_phrase_automata(spark, sf_dir):
     return phrases.repeated_words(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op3_matroska, op4_minimum_bin_slack, op5_flow_mixing, op6_hashed_suffix_sort, op7_url_automaton, op8_nnpu_toxicity, op9_phrase_automata, op10_lsh_forest)}
+QUERIES = {f.__name__: f for f in (op2_lattice_hashing, op3_matroska, op4_minimum_bin_slack, op5_flow_mixing, op6_hashed_suffix_sort, op7_url_automaton, op8_nnpu_toxicity, op9_phrase_automata, op10_lsh_forest)}
 
 ORACLES: dict[str, str] = {}
 
@@ -112,3 +116,23 @@ WITH RECURSIVE words AS (
 SELECT s.doc_id, len(s.s)::BIGINT AS n_shingles, coalesce(c.c, s.doc_id) AS component_id, s.doc_id = coalesce(c.c, s.doc_id) AS kept
 FROM sets s LEFT JOIN comp c ON s.doc_id = c.node
 """
+
+ORACLES["op2_lattice_hashing"] = r"""
+WITH RECURSIVE cast_ AS (
+  SELECT vec_id, label, embedding::DOUBLE[] AS v FROM embeddings
+), usable AS (
+  SELECT vec_id, label, v, sqrt(list_sum(list_transform(v, lambda x: x * x))) AS norm FROM cast_
+  WHERE label IS NOT NULL AND v IS NOT NULL AND len(list_filter(v, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND list_sum(list_transform(v, lambda x: x * x)) > 0
+), links AS (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM usable a JOIN usable b ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.v) = len(b.v)
+  WHERE list_inner_product(a.v, b.v) / (a.norm * b.norm) >= 0.93
+), reach(node, r) AS (
+  SELECT DISTINCT a, a FROM links UNION SELECT links.b, reach.r FROM reach JOIN links ON links.a = reach.node
+), comp AS (
+  SELECT node, min(r) AS c FROM reach GROUP BY node
+), counts AS (
+  SELECT a, count(*)::BIGINT AS n FROM links GROUP BY a
+)
+SELECT e.vec_id, coalesce(n.n, 0)::BIGINT AS n_links, coalesce(c.c, e.vec_id) AS component_id, coalesce(c.c, e.vec_id) = e.vec_id AS kept
+FROM embeddings e LEFT JOIN counts n ON e.vec_id = n.a LEFT JOIN comp c ON e.vec_id = c.node
+"""
