@@ -97,7 +97,7 @@ def emb_cos(spark, d, least: float = 0.25, block: int = 500):
     own = v.withColumn("b", F.pmod("vec_id", F.lit(blocks)).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     dealt = own.select(F.least("b", "o").alias("i"), F.greatest("b", "o").alias("j"), "b", "vec_id", "v")
 
-    def pairs(key, t: pa.Table) -> pa.Table:
+    def pairs(key, t):
         ids, part = t.column("vec_id").to_numpy(), t.column("b").to_numpy()
         x = np.array(t.column("v").to_pylist())
         x /= np.sqrt((x * x).sum(1))[:, None]
