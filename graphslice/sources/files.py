@@ -21,13 +21,13 @@ def read_adjacency(spark: SparkSession, path: str) -> Graph:
     body = numbered.filter((F.col("line") > 0) & (F.col("line") <= n)).select((F.col("line") - 1).alias("id"), F.filter(F.split(F.trim("value"), r"\s+"), lambda x: x != "").alias("t"))
     nodes = None
     if fmt.zfill(3)[1] == "1":
-        nodes = written(body.select("id", F.element_at("t", 1).cast("double").alias("c")), "weights")
+        nodes = written(body.select("id", F.coalesce(F.get("t", 0).cast("double"), F.lit(1.0)).alias("c")), "weights")
         body = body.select("id", F.slice("t", F.lit(2), F.greatest(F.size("t") - 1, F.lit(0))).alias("t"))
     if fmt.zfill(3)[2] == "1":
-        e = body.select("id", F.posexplode("t").alias("p", "x"), "t").filter("p % 2 = 0").select(F.col("id").alias("src"), (F.col("x").cast("long") - 1).alias("dst"), F.element_at("t", F.col("p") + 2).cast("double").alias("w")).filter("src < dst")
+        e = body.select("id", F.posexplode("t").alias("p", "x"), "t").filter("p % 2 = 0").select(F.col("id").alias("src"), (F.col("x").cast("long") - 1).alias("dst"), F.get("t", F.col("p") + 1).cast("double").alias("w")).filter("src < dst")
         edges = simple_graph(e, "sum")
     else:
-        edges = simple_graph(body.select(F.col("id").alias("src"), (F.explode("t").cast("long") - 1).alias("dst")))
+        edges = simple_graph(body.select(F.col("id").alias("src"), F.explode("t").alias("x")).select("src", (F.col("x").cast("long") - 1).alias("dst")))
     return make_graph(edges, n, nodes)
 
 
