@@ -8,11 +8,11 @@ from pyspark.sql.window import Window
 from .functions.score import LinearPenalty, PowerPenalty
 from .operators import bitvector, graph as gr, measure as me, runs as rl
 from .operators.durable import written
-from .plans import execute as ex, oracles as o, relational
+from .plans import execute as ex, oracles as o, relational, workloads
 from .sources import generate as ge, tables as ta
 from .streaming import partition as sp
 
-QUERIES: dict = dict(relational.QUERIES)
+QUERIES: dict = {**relational.QUERIES, **workloads.QUERIES}
 ORACLES: dict[str, str] = dict(relational.ORACLES)
 
 
