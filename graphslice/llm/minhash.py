@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BYTE_CODES, LOWER, Durable, components, maybe_in, mix, partitions, string_slices, word_hashes, word_spans
+from .common import BYTE_CODES, LOWER, Durable, components, maybe_in, mix, partitions, string_slices, whole_groups, word_hashes, word_spans
 
 U64 = np.uint64
 
@@ -26,7 +26,7 @@ class Forest:
     trees: int = 16
     shallow: int = 3
     deep: int = 6
-    region: int = 4096
+    region: int = 4000
     words: int = 5
     share: int = 80
 
@@ -119,7 +119,7 @@ def _region_pairs(f: Forest, cross: bool):
     """Candidate pairs from partitions sorted by region (key, block).
 
     First pass: each text is paired with the least id of its region that looks similar, so a region of n texts gives
-    less than n pairs. Cross pass: all pairs that look similar and whose ends are in different components so far.
+    less than n pairs. Cross pass: a spanning forest of the components whose texts look similar across them.
     Looking similar: enough equal signature values for the least Jaccard (five deviations of slack), and sizes that allow it.
     """
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
@@ -146,8 +146,9 @@ def _region_pairs(f: Forest, cross: bool):
                     if comps[cols[0]] == comps[rows[-1]]:  # sorted by component: all the same between them
                         continue
                     r, c = np.nonzero(similar(sig, sizes, rows, cols) & (comps[rows][:, None] != comps[cols][None]))
-                    if len(r):
-                        yield ids[cols[c]], ids[rows[r]]
+                    if len(r):  # one pair for each two components is enough to bring them together
+                        _, one = np.unique(np.stack([comps[rows[r]], comps[cols[c]]]), axis=1, return_index=True)
+                        yield ids[cols[c[one]]], ids[rows[r[one]]]
                     continue
                 rows = rows[partner[rows] < 0]
                 if not len(rows):
@@ -166,6 +167,9 @@ def _region_pairs(f: Forest, cross: bool):
         found = [x for s, e in zip(edge[:-1], edge[1:]) if e - s > 1 for x in pairs(ids[s:e], sizes[s:e], comps[s:e], sig[s:e])]
         if found:
             a, b = (np.concatenate(x) for x in zip(*found))
+            if cross:
+                named = dict(zip(ids.tolist(), comps.tolist()))
+                a, b = _forest(a.tolist(), b.tolist(), named)
             yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], schema=schema)
 
     def run(batches):
@@ -188,46 +192,121 @@ def _region_pairs(f: Forest, cross: bool):
     return run
 
 
-def _verified(f: Forest):
-    """Pairs of whole texts, sorted by b, that reach the least Jaccard on their full shingle sets."""
+def _forest(a: list, b: list, label: dict) -> tuple[np.ndarray, np.ndarray]:
+    """The links that join what label and earlier links have not."""
+    parent: dict = {}
+
+    def find(x):
+        while parent.get(x, x) != x:
+            parent[x] = x = parent.get(parent[x], parent[x])
+        return x
+
+    out = []
+    for x, y in zip(a, b):
+        p, q = find(label[x]), find(label[y])
+        if p != q:
+            parent[max(p, q)] = min(p, q)
+            out.append((x, y))
+    return np.array([x for x, _ in out], np.int64), np.array([y for _, y in out], np.int64)
+
+
+def _family_links(f: Forest):
+    """Links that join components within families of texts that look similar, from rows sorted by family and block pair.
+
+    Every pair of different components that looks similar is confirmed on the full sets unless its ends are joined by
+    then, so no link between components is missed; what is returned is a forest.
+    """
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    values, p, step = f.trees * f.deep, f.share / 100, 256
+    least = int(np.floor(values * p - 5 * np.sqrt(values * p * (1 - p))))
 
-    def sets_of(column):
-        out = []
-        for _, _, data, offsets in string_slices(column):
-            sets, cut = shingle_sets(data, offsets, f.words)
-            out += [sets[cut[i] : cut[i + 1]] for i in range(len(offsets) - 1)]
-        return out
+    def run(batches):
+        for table in whole_groups(batches, ["family", "b1", "b2"], 2000):
+            family, b1, b2, block, ids, comps = (table.column(c).to_numpy() for c in ("family", "b1", "b2", "block", "id", "comp"))
+            edge = np.flatnonzero(np.concatenate([[True], (family[1:] != family[:-1]) | (b1[1:] != b1[:-1]) | (b2[1:] != b2[:-1]), [True]]))
+            for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
+                if e - s < 2 or (comps[s:e] == comps[s]).all():
+                    continue
+                sets, sigs = [], []
+                for _, _, data, offsets in string_slices(table.column("text").slice(s, e - s)):
+                    flat, cut = shingle_sets(data, offsets, f.words)
+                    sets += [flat[cut[i] : cut[i + 1]] for i in range(len(offsets) - 1)]
+                    sigs.append(signatures(flat, cut, values).astype(np.uint8))
+                sig, size = np.concatenate(sigs), np.array([len(x) for x in sets])
+                own, comp, part = ids[s:e], comps[s:e], block[s:e]
+                parent: dict = {}
+
+                def find(x):
+                    while parent.get(x, x) != x:
+                        parent[x] = x = parent.get(parent[x], parent[x])
+                    return x
+
+                out = []
+                order = np.argsort(comp, kind="stable")
+                for i in range(0, e - s, step):
+                    rows = order[i : i + step]
+                    for j in range(0, i + 1, step):
+                        cols = order[j : j + step]
+                        if comp[cols[0]] == comp[rows[-1]]:
+                            continue
+                        same = np.zeros((len(rows), len(cols)), np.uint8)
+                        for k in range(values):
+                            same += sig[rows, k][:, None] == sig[cols, k][None]
+                        small, large = np.minimum(size[rows][:, None], size[cols][None]), np.maximum(size[rows][:, None], size[cols][None])
+                        ok = (same >= least) & (100 * small >= f.share * large) & (comp[rows][:, None] > comp[cols][None])
+                        if b1[s] != b2[s]:
+                            ok &= part[rows][:, None] != part[cols][None]
+                        r, c = np.nonzero(ok)
+                        for k in np.argsort(-same[r, c].astype(np.int16), kind="stable").tolist():
+                            x, y = rows[r[k]], cols[c[k]]
+                            px, py = find(comp[x]), find(comp[y])
+                            if px == py:
+                                continue
+                            both = np.intersect1d(sets[x], sets[y], assume_unique=True).size
+                            if 100 * both >= f.share * (size[x] + size[y] - both):
+                                parent[max(px, py)] = min(px, py)
+                                out.append((own[x], own[y]))
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array([int(min(x)) for x in out]), pa.array([int(max(x)) for x in out])], schema=schema)
+
+    return run
+
+
+def _verified(f: Forest):
+    """Links (a, b) on the full shingle sets, from texts sorted by a, the text of a itself (b null) coming first."""
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches):
+        leader, own = None, None
         for batch in batches:
-            for at in range(0, batch.num_rows, 200):
-                part = batch.slice(at, 200)
-                ids_b = part.column("b").to_numpy()
-                first = np.concatenate([[True], ids_b[1:] != ids_b[:-1]])
-                right = sets_of(part.column("text_b").filter(pa.array(first)))
-                place = np.cumsum(first) - 1
-                keep = []
-                for k, left in enumerate(sets_of(part.column("text_a"))):
-                    other = right[place[k]]
-                    both = len(np.intersect1d(left, other, assume_unique=True))
-                    keep.append(len(left) > 0 and 100 * both >= f.share * (len(left) + len(other) - both))
-                part = part.filter(pa.array(keep, pa.bool_()))
-                yield pa.RecordBatch.from_arrays([part.column("a"), part.column("b")], schema=schema)
+            ids_a, ids_b = batch.column("a").to_pylist(), batch.column("b").to_pylist()
+            links: list[tuple[int, int]] = []
+            for first, end, data, offsets in string_slices(batch.column("text")):
+                sets, cut = shingle_sets(data, offsets, f.words)
+                for i in range(first, end):
+                    mine = sets[cut[i - first] : cut[i - first + 1]]
+                    if ids_b[i] is None:
+                        leader, own = ids_a[i], mine.copy()
+                    elif ids_a[i] == leader and len(own):
+                        both = np.intersect1d(mine, own, assume_unique=True).size
+                        if 100 * both >= f.share * (len(mine) + len(own) - both):
+                            links.append((leader, ids_b[i]))
+            if links:
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*links)], schema=schema)
 
     return run
 
 
-def _confirm(pairs: DataFrame, docs: DataFrame, f: Forest, keep: Durable, name: str) -> DataFrame:
-    pairs = keep(pairs.distinct(), f"{name}-pairs")
-    ends = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
+def _confirm(pairs: DataFrame, docs: DataFrame, f: Forest, keep: Durable) -> DataFrame:
+    """The pairs (a, b) that are links. Each b's text goes to its a, and a's text goes there once (once per block of b's)."""
+    pairs = keep(pairs.distinct(), "pairs")
+    blocks = pairs.groupBy("a").agg(F.ceil(F.count("*") / f.region).cast("int").alias("blocks"))
+    dealt = pairs.join(blocks, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("blocks")).cast("int").alias("block"))
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    texts = keep(maybe_in(plain, "doc_id", ends, "id").join(ends, F.col("doc_id") == F.col("id"), "left_semi").dropDuplicates(["doc_id"]), f"{name}-texts")
-    left = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")), "a")
-    both = left.join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b").sortWithinPartitions("b").select("a", "b", "text_a", "text_b")
-    out = keep(both.mapInArrow(_verified(f), "a long, b long"), f"{name}-links")
-    keep.release(f"{name}-texts", f"{name}-pairs")
-    return out
+    members = maybe_in(plain, "doc_id", pairs, "b").join(dealt, F.col("doc_id") == F.col("b")).select("a", "block", "b", "text")
+    leaders = maybe_in(plain, "doc_id", pairs, "a").join(blocks, F.col("doc_id") == F.col("a")).select("a", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(None).cast("long").alias("b"), "text")
+    rows = members.union(leaders).repartition(partitions(docs.sparkSession), "a", "block").sortWithinPartitions("a", "block", F.col("b").asc_nulls_first())
+    return keep(rows.mapInArrow(_verified(f), "a long, b long"), "links")
 
 
 def near_duplicates(docs: DataFrame, f: Forest = Forest()) -> DataFrame:
@@ -235,8 +314,8 @@ def near_duplicates(docs: DataFrame, f: Forest = Forest()) -> DataFrame:
 
     Texts with equal shingle sets are one class. Classes that share a shallow prefix in one of the sorted orders form a
     region; regions of more than `region` classes are dealt over blocks. Links are confirmed on whole texts, and after
-    the first components a cross pass confirms every similar-looking pair that they leave apart, so no link is lost to
-    the star shape of the first pass. Null, empty and wordless texts have an empty set and stay alone; rows with a
+    the first components a cross pass confirms, within families of components that look similar, every similar-looking
+    pair that they leave apart, so no link is lost to the star shape of the first pass. Null, empty and wordless texts have an empty set and stay alone; rows with a
     repeated doc_id count as one document in links and are all returned.
     """
     keep = Durable(docs.sparkSession)
@@ -251,7 +330,7 @@ def near_duplicates(docs: DataFrame, f: Forest = Forest()) -> DataFrame:
     n = partitions(docs.sparkSession)
     order = ["key", "block", "id", "size", "comp", "sig"]
     first = views.withColumn("block", block).withColumn("comp", F.col("id")).select(*order).repartition(n, "key", "block").sortWithinPartitions("key", "block")
-    links = _confirm(first.mapInArrow(_region_pairs(f, False), "a long, b long"), docs, f, keep, "star")
+    links = _confirm(first.mapInArrow(_region_pairs(f, False), "a long, b long"), docs, f, keep)
     comps = keep(components(links, keep), "comps1")
     named = views.join(comps, views["id"] == comps["node"], "left").withColumn("comp", F.coalesce("component", "id")).drop("node", "component")
     named = keep(named, "named")
@@ -260,7 +339,19 @@ def near_duplicates(docs: DataFrame, f: Forest = Forest()) -> DataFrame:
     # regions over several blocks: a text meets every block, each pair of blocks being one group
     open_ = open_.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("block", F.least("own", "with") * F.col("blocks") + F.greatest("own", "with"))
     second = open_.select(*order).repartition(n, "key", "block").sortWithinPartitions("key", "block")
-    more = _confirm(second.mapInArrow(_region_pairs(f, True), "a long, b long"), docs, f, keep, "cross")
+    bridges = keep(second.mapInArrow(_region_pairs(f, True), "a long, b long").distinct(), "bridges")
+    # families: components that bridges bring together; their texts meet once, or once per block for large families
+    families = keep(components(links.union(bridges), keep), "families")
+    members = families.select(F.col("node").alias("id"), F.col("component").alias("family")).union(families.select(F.col("component").alias("id"), F.col("component").alias("family")).distinct())
+    touched = members.join(bridges.select(F.col("a").alias("id")).distinct(), "id", "left_semi").select("family").distinct()
+    members = keep(members.join(touched, "family", "left_semi"), "members")
+    size = members.groupBy("family").agg(F.ceil(F.count("*") / f.region).cast("int").alias("blocks"))
+    who = members.join(size, "family").join(comps, F.col("id") == F.col("node"), "left").select("id", "family", "blocks", F.coalesce("component", "id").alias("comp"))
+    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    texts = maybe_in(plain, "doc_id", members, "id").join(who, F.col("doc_id") == F.col("id")).dropDuplicates(["doc_id"])
+    dealt = texts.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("_w", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.withColumn("b1", F.least("block", "_w").cast("int")).withColumn("b2", F.greatest("block", "_w").cast("int")).select("family", "b1", "b2", "block", "id", "comp", "text")
+    more = keep(dealt.repartition(n, "family", "b1", "b2").sortWithinPartitions("family", "b1", "b2").mapInArrow(_family_links(f), "a long, b long"), "more")
     keep.release("views", "named", "shared", "comps1")
     final = keep(components(links.union(more), keep), "comps")
     rep = classes.select("h1", "h2", "n_shingles", "rep").join(final, F.col("rep") == F.col("node"), "left").select("h1", "h2", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
