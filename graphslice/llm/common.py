@@ -128,20 +128,17 @@ def string_slices(column: pa.Array, most_bytes: int = 1 << 20) -> Iterator[tuple
     """
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
-    column = pc.fill_null(column.cast(pa.large_binary()), b"")
-    if isinstance(column, pa.ChunkedArray):
-        column = column.combine_chunks()
-    n = len(column)
-    if not n:
-        return
-    offsets = np.frombuffer(column.buffers()[1], np.int64, n + 1, column.offset * 8)
-    data = np.frombuffer(column.buffers()[2], np.uint8) if column.buffers()[2] is not None and column.buffers()[2].size else np.zeros(0, np.uint8)
-    row = 0
-    while row < n:
-        end = max(row + 1, int(np.searchsorted(offsets, offsets[row] + most_bytes, "right")) - 1)
-        end = min(end, n)
-        yield row, end, data[offsets[row] : offsets[end]], offsets[row : end + 1] - offsets[row]
-        row = end
+    for base in range(0, len(column), 512):  # copies stay small, however large the batch
+        part = pc.fill_null(column.slice(base, 512).cast(pa.large_binary()), b"")
+        n = len(part)
+        offsets = np.frombuffer(part.buffers()[1], np.int64, n + 1, part.offset * 8)
+        data = np.frombuffer(part.buffers()[2], np.uint8) if part.buffers()[2] is not None and part.buffers()[2].size else np.zeros(0, np.uint8)
+        row = 0
+        while row < n:
+            end = max(row + 1, int(np.searchsorted(offsets, offsets[row] + most_bytes, "right")) - 1)
+            end = min(end, n)
+            yield base + row, base + end, data[offsets[row] : offsets[end]], offsets[row : end + 1] - offsets[row]
+            row = end
 
 
 def word_spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -297,10 +294,8 @@ def without(df: DataFrame, key: str, members: DataFrame, member_key: str, bits:
 def whole_groups(batches, keys: list[str], most_rows: int = 50_000):
     """Tables of whole key groups from batches sorted by the keys; a group goes on over batches until it ends."""
     held: list[pa.Table] = []
-    rows = 0
-    for batch in batches:
-        if not batch.num_rows:
-            continue
+    rows, least = 0, most_rows
+    for batch in (x.slice(i, least) for x in batches for i in range(0, x.num_rows, least)):
         held.append(pa.Table.from_batches([batch]))
         rows += batch.num_rows
         if rows < most_rows:
@@ -316,8 +311,7 @@ def whole_groups(batches, keys: list[str], most_rows: int = 50_000):
             yield table.slice(0, cut).combine_chunks()
         held = [table.slice(cut)]
         rows = table.num_rows - cut
-        if not cut:
-            most_rows = 2 * rows
+        most_rows = max(least, 2 * rows) if not cut else least
     if rows:
         yield pa.concat_tables(held).combine_chunks()
 

@@ -43,17 +43,32 @@ def _anchors(data: np.ndarray, p: Suffixes) -> tuple[np.ndarray, np.ndarray]:
 # --- the suffix sort --------------------------------------------------------------------------------
 
 class HashedText:
-    """Prefix polynomial hashes of a byte array; common extensions by binary search on them."""
+    """Prefix polynomial hashes of joined strings; common extensions by binary search on them.
 
-    def __init__(self, data: np.ndarray):
-        self.data = data
-        self.prefix = prefix_hash(BYTE_CODES[data])
-        _, self.inverse = powers(len(self.prefix))
+    Powers are counted from each string's own start, so their tables are as long as the longest string only.
+    """
+
+    def __init__(self, data: np.ndarray, offset: np.ndarray):
+        size = np.diff(offset)
+        self.data, n = data, len(data)
+        power, self.inverse = powers(int(size.max()) + 1 if len(size) else 1)
+        self.local = np.zeros(n + 1, np.int32)
+        self.local[:n] = np.arange(n, dtype=np.int32) - np.repeat(offset[:-1], size).astype(np.int32)
+        self.prefix = np.zeros(n + 1, U64)
+        for at in range(0, n, 1 << 19):
+            end = min(n, at + (1 << 19))
+            x = BYTE_CODES[data[at:end]]
+            x *= power[self.local[at:end]]
+            np.cumsum(x, out=x)
+            self.prefix[at + 1 : end + 1] = x + self.prefix[at]
+
+    def span(self, i: np.ndarray, end: np.ndarray) -> np.ndarray:
+        return (self.prefix[end] - self.prefix[i]) * self.inverse[self.local[i]]
 
     def common(self, i: np.ndarray, j: np.ndarray, most: np.ndarray) -> np.ndarray:
         """Length of the longest common prefix of the suffixes at i and j, at most `most`."""
         low, high = np.zeros(len(i), np.int64), most.astype(np.int64).copy()
-        ii, ij = self.inverse[i], self.inverse[j]
+        ii, ij = self.inverse[self.local[i]], self.inverse[self.local[j]]
         pi, pj = self.prefix[i], self.prefix[j]
         while (open_ := low < high).any():
             mid = (low + high + 1) >> 1
@@ -126,11 +141,11 @@ def covered_spans(group: np.ndarray, left: np.ndarray, context: list[bytes], p:
     size = np.array([len(c) for c in context], np.int64)
     offset = np.concatenate([[0], np.cumsum(size)])
     data = np.frombuffer(b"".join(context), np.uint8)
-    text = HashedText(data)
+    text = HashedText(data, offset)
     edge = np.concatenate([[0], np.flatnonzero(group[1:] != group[:-1]) + 1, [n]])
 
     # equal contexts first: their common bytes are covered wherever a window fits
-    whole = span_hash(text.prefix, offset[:-1], offset[1:])
+    whole = text.span(offset[:-1], offset[1:])
     key = mix(whole + left.astype(U64) * U64(0x9E3779B97F4A7C15) + size.astype(U64))
     order = np.lexsort((key, group))
     new = np.concatenate([[True], (key[order][1:] != key[order][:-1]) | (group[order][1:] != group[order][:-1])])
@@ -191,7 +206,7 @@ def covered_spans(group: np.ndarray, left: np.ndarray, context: list[bytes], p:
         if len(ok) < 2:
             continue
         x = offset[rows[ok]] + b[ok]
-        h = mix(span_hash(text.prefix, x, x + w) ^ salt[ok])
+        h = mix(text.span(x, x + w) ^ salt[ok])
         order = np.argsort(h)
         same = np.flatnonzero(h[order][1:] == h[order][:-1])
         if not len(same):
@@ -289,7 +304,7 @@ _SPAN = pa.schema([("doc_id", pa.int64()), ("from", pa.int64()), ("to", pa.int64
 
 def _grouped_spans(p: Suffixes):
     def run(batches):
-        for table in whole_groups(batches, ["key"], 4000):
+        for table in whole_groups(batches, ["key"], 2500):
             key, doc, begin, left = (table.column(c).to_numpy() for c in ("key", "doc_id", "begin", "left"))
             # rows that repeat a doc_id are one place
             order = np.lexsort((begin, doc, key))
@@ -324,23 +339,19 @@ def _all_windows(p: Suffixes):
 def _cut(p: Suffixes, with_text: bool):
     def run(batches):
         for batch in batches:
-            rows = []
-            for doc_id, text, spans in zip(*(batch.column(n).to_pylist() for n in ("doc_id", "text", "spans"))):
-                raw = (text or "").encode()
-                left, end, n_spans, removed = [], 0, 0, 0
-                for a, b in sorted((x["from"], x["to"]) for x in spans):
-                    if a > end or not n_spans:
-                        left.append(raw[end:a])
-                        n_spans += 1
-                        start = a
-                    else:
-                        start = end
-                    removed += max(0, b - start)
-                    end = max(end, b)
-                left.append(raw[end:])
-                kept = b"".join(left)
-                rows.append((doc_id, removed, n_spans, kept.decode(errors="ignore") if with_text else hashlib.sha256(kept).hexdigest()))
-            if rows:
+            for at in range(0, batch.num_rows, 200):
+                part, rows = batch.slice(at, 200), []
+                texts, lists = part.column("text"), part.column("spans")
+                for i, doc_id in enumerate(part.column("doc_id").to_pylist()):
+                    raw = np.frombuffer((texts[i].as_py() or "").encode(), np.uint8)
+                    spans = lists[i].values
+                    depth = np.zeros(len(raw) + 1, np.int32)
+                    np.add.at(depth, spans.field("from").to_numpy(), 1)
+                    np.add.at(depth, spans.field("to").to_numpy(), -1)
+                    gone = np.cumsum(depth[:-1]) > 0
+                    n_spans = int(np.count_nonzero(gone[1:] & ~gone[:-1]) + (len(gone) > 0 and gone[0]))
+                    kept = raw[~gone].tobytes()
+                    rows.append((doc_id, int(gone.sum()), n_spans, kept.decode(errors="ignore") if with_text else hashlib.sha256(kept).hexdigest()))
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.string()))], names=["doc_id", "n_removed", "n_spans", "kept"])
 
     return run
