@@ -1,4 +1,4 @@
-"""Toxicity by non-negative positive-unlabelled learning on words: a numpy classifier from confirmed examples and plain text."""
+"""Toxicity by non-negative positive-unlabelled learning on words and word stems: a numpy classifier from confirmed examples and plain text."""
 
 from __future__ import annotations
 
@@ -9,9 +9,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BYTE_CODES, LOWER, string_slices, word_hashes, word_spans
+from .common import BYTE_CODES, LOWER, mix, string_slices, word_hashes, word_spans
 
-FEATURE_BITS = 20
+FEATURE_BITS = 22
+#: Stems are the first so many characters of a word; a stem counts by the number of distinct words with it that a text has.
+STEMS = (4, 6)
+LEVELS = (1, 2, 3, 5)
 CODES = BYTE_CODES[LOWER]  # A-Z count as a-z
 PUNCTUATION = np.zeros(256, bool)
 PUNCTUATION[[c for c in range(33, 127) if not chr(c).isalnum()]] = True
@@ -34,8 +37,34 @@ class Settings:
     threshold: float = 0.7
 
 
+def _stem_features(data: np.ndarray, row: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> list[np.ndarray]:
+    """Hashes of (row, stem, level) from each row's distinct words: the level is reached by that many words with the stem."""
+    letters = np.flatnonzero((data & 0xC0) != 0x80)
+    place = np.searchsorted(letters, starts)
+    letters = np.append(letters, np.full(max(STEMS), len(data)))
+    out = []
+    for n in STEMS:
+        close = letters[place + n]
+        long = close <= ends
+        h = word_hashes(data, starts[long], close[long], CODES)
+        r = row[long]
+        order = np.lexsort((h, r))
+        h, r = h[order], r[order]
+        first = np.flatnonzero(np.append(True, (h[1:] != h[:-1]) | (r[1:] != r[:-1]))) if len(h) else np.zeros(0, np.int64)
+        count = np.diff(np.append(first, len(h)))
+        for level in LEVELS:
+            at = first[count >= level]
+            out.append(_keys(r[at], mix(h[at] ^ np.uint64(n << 8 | level))))
+    return out
+
+
+def _keys(row: np.ndarray, h: np.ndarray) -> np.ndarray:
+    return row.astype(np.int64) << FEATURE_BITS | (h >> np.uint64(64 - FEATURE_BITS)).astype(np.int64)
+
+
 def row_features(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct (row, feature) pairs, sorted by row: hashed lower-cased words without punctuation at their ends."""
+    """Distinct (row, feature) pairs, sorted by row: hashed lower-cased words without punctuation at their ends, and
+    their stems with the levels that they reach."""
     starts, ends, before = word_spans(data, offsets)
     if not len(starts):
         z = np.zeros(0, np.int64)
@@ -47,8 +76,8 @@ def row_features(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.
         ends = ends - m
     h = word_hashes(data, starts, ends, CODES)
     row = np.searchsorted(offsets, starts, "right") - 1
-    key = row.astype(np.int64) << FEATURE_BITS | (h >> np.uint64(64 - FEATURE_BITS)).astype(np.int64)
-    key = np.unique(key)
+    _, at = np.unique(mix(h ^ mix(row.astype(np.uint64) + np.uint64(1))), return_index=True)
+    key = np.unique(np.concatenate([_keys(row[at], h[at]), *_stem_features(data, row[at], starts[at], ends[at])]))
     return key >> FEATURE_BITS, key & ((1 << FEATURE_BITS) - 1)
 
 
@@ -83,7 +112,7 @@ def fit_nnpu(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: fl
     """Minimise prior * R+(positive) + max(beta, R-(unlabelled) - prior * R-(positive)) with the logistic loss.
 
     When the corrected negative risk falls below -beta, the step goes up its gradient instead (the non-negative
-    correction). Features are the words whose document share is most enriched among the positives. Deterministic.
+    correction). Features are the words and stem levels whose document share is most enriched among the positives. Deterministic.
     """
     size = 1 << FEATURE_BITS
     dp, du = np.zeros(size), np.zeros(size)
@@ -92,14 +121,15 @@ def fit_nnpu(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: fl
             counts[r] += 1
     n_p, n_u = max(1, len(positive)), max(1, len(unlabelled))
     a, b = (dp + 0.5) / (n_p + 1), (du + 0.5) / (n_u + 1)
-    # a word counts if its share among the positives is far above that of plain text: likelihood ratio of one rate against two
+    able = np.flatnonzero((dp >= s.least_support) & (a > 3 * b))
+    dp, du = dp[able], du[able]
+    # a feature counts if its share among the positives is far above that of plain text: likelihood ratio of one rate against two
     rate = (dp + du) / (n_p + n_u)
     with np.errstate(divide="ignore", invalid="ignore"):
         term = lambda k, n, q: np.where(k > 0, k * np.log(k / np.maximum(n * q, 1e-300)), 0) + np.where(n - k > 0, (n - k) * np.log((n - k) / np.maximum(n * (1 - q), 1e-300)), 0)
-        ratio = 2 * (term(dp, n_p, rate) + term(du, n_u, rate))
-    score = np.where((dp >= s.least_support) & (a > 3 * b), np.nan_to_num(ratio), 0)
-    chosen = np.flatnonzero(score > s.least_ratio)
-    chosen = np.sort(chosen[np.argsort(-score[chosen], kind="stable")][: s.features])
+        score = np.nan_to_num(2 * (term(dp, n_p, rate) + term(du, n_u, rate)))
+    kept = np.flatnonzero(score > s.least_ratio)
+    chosen = np.sort(able[kept[np.argsort(-score[kept], kind="stable")][: s.features]])
     place = np.full(size, -1, np.int64)
     place[chosen] = np.arange(len(chosen))
 

@@ -356,6 +356,18 @@ def test_toxic_scores(spark):
     assert toxicity.toxic_scores(d, labels.limit(0)).filter("predicted = 1").isEmpty()
 
 
+def test_toxic_stems_with_rare_endings(spark):
+    rng = random.Random(3)
+    word = lambda n: "".join(rng.choice("abdeghilmnorstu") for _ in range(n))
+    text = lambda marks: " ".join(word(rng.randrange(2, 9)) for _ in range(60)) + "".join(f" Réeux{word(4)}," for _ in range(marks))
+    texts = [text(5 if i % 5 == 0 else int(i % 5 == 1)) for i in range(600)]  # one such word alone is in clean texts, too
+    labels = spark.createDataFrame([(i, 1, int(i % 5 == 0)) for i in range(600)], "doc_id long, quality int, toxic int")
+    rows = [r for r in toxicity.toxic_scores(docs_of(spark, texts), labels).collect() if r["held_out"]]
+    caught = [r["predicted"] for r in rows if r["doc_id"] % 5 == 0]
+    wrong = [r["predicted"] for r in rows if r["doc_id"] % 5]
+    assert np.mean(caught) > 0.9 and np.mean(wrong) < 0.02
+
+
 # --- whole tables ------------------------------------------------------------------------------------
 
 def test_empty_tables(spark):
