@@ -306,9 +306,10 @@ def _grouped_spans(p: Suffixes):
     def run(batches):
         for table in whole_groups(batches, ["key"], 2500):
             key, doc, begin, left = (table.column(c).to_numpy() for c in ("key", "doc_id", "begin", "left"))
-            # rows that repeat a doc_id are one place
-            order = np.lexsort((begin, doc, key))
-            k, d, b = key[order], doc[order], begin[order]
+            # rows that repeat a doc_id are one place: that of the anchor, since contexts at the head of a text all begin at 0
+            place = begin + left
+            order = np.lexsort((place, doc, key))
+            k, d, b = key[order], doc[order], place[order]
             new = np.concatenate([[True], (k[1:] != k[:-1]) | (d[1:] != d[:-1]) | (b[1:] != b[:-1])])
             rows = order[new]
             context = table.column("context").take(pa.array(rows)).to_pylist()

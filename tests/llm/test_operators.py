@@ -195,6 +195,16 @@ def test_repeated_bytes(spark, crowd):
     assert got == brute.repeated_bytes(list(enumerate(texts)))
 
 
+@pytest.mark.parametrize("crowd", [1, 20_000])
+def test_repeats_in_the_head_of_a_text(spark, crowd):
+    rng = random.Random(8)
+    w = lambda n: "".join(rng.choice("abcdefghij ") for _ in range(n))
+    ruled, phrase = "=" * 450, w(60)
+    texts = [ruled + w(900), (phrase * 9)[:500] + w(700), "-" * 450 + w(500), "-" * 450 + w(600), w(30) + "ab" * 230 + w(300)]
+    got = {r[0]: tuple(r[1:]) for r in suffixes.repeated_bytes(docs_of(spark, texts), suffixes.Suffixes(crowd=crowd)).collect()}
+    assert got == brute.repeated_bytes(list(enumerate(texts))) and got[0][1] == 450 and got[1][1] == 500
+
+
 def test_suffix_sort_is_sorted():
     rng = np.random.default_rng(0)
     data = rng.integers(0, 2, 400).astype(np.uint8)
