@@ -140,7 +140,9 @@ def surrogate(e: Column, key: str, attempt: Column) -> Column:
         script = F.when(names.rlike(r"\p{IsCyrillic}"), "cyrillic").otherwise("latin")
         pools = F.create_map(*[x for (g, sc), pool in GIVEN.items() for x in (F.lit(g + sc), F.array(*[F.lit(n) for n in pool]))])
         place = let(_digest(key, "given", t, F.lower(F.coalesce(first, F.lit("")))), lambda d: _byte(d, 0) % 16 + 1)
-        pick = F.element_at(F.element_at(pools, F.concat(gender, script)), place)
+        # a given name tried again gets an ending of its own, so that one title and family name take any number of given names
+        ending = F.when(attempt > 0, feistel(F.lower(first), key, "ending", t, PLAIN)).otherwise("")
+        pick = F.concat(F.element_at(F.element_at(pools, F.concat(gender, script)), place), ending)
         # the family name's image does not depend on the title or the given name, so it is the same wherever it stands
         kin = F.initcap(feistel(F.lower(family), key, "family", F.when(two, F.lit("0")).otherwise(t), PLAIN))
         return F.concat_ws(" ", title, F.when(two, pick), kin)

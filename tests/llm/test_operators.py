@@ -339,6 +339,16 @@ def test_surrogates_are_distinct_and_clashes_are_solved(spark):
     assert len(set(out)) == len(out) and not set(out) & {f"call {x} now" for x in names + phones}
 
 
+def test_surrogates_of_many_given_names(spark):
+    rng = random.Random(4)
+    given = sorted({"".join(rng.choice("abcdeghiklmnorst") for _ in range(rng.randrange(3, 8))).capitalize() for _ in range(40)})
+    names = [f"{t} {g} Smith" for t in ("Mr", "Mrs") for g in given]
+    out = {r["doc_id"]: r["text"] for r in surrogates.replace_entities(docs_of(spark, names)).collect()}
+    made = [out[i] for i in range(len(names))]
+    assert len(set(made)) == len(names) and not set(made) & set(names) and len({x.split()[2] for x in made}) == 1
+    assert all(x.split()[1].startswith(tuple(surrogates.GIVEN["f" if x.startswith("Mrs") else "m", "latin"])) for x in made)
+
+
 # --- toxicity ----------------------------------------------------------------------------------------
 
 def test_nnpu_learns_from_positives_and_unlabelled():
