@@ -256,7 +256,8 @@ def components(links: DataFrame, keep: Durable, most_rounds: int = 40) -> DataFr
     """(node, component): the least node reachable over links (a, b); nodes without links are absent.
 
     Each partition first shrinks its links to a forest; then nodes point at ever smaller neighbours (alternating
-    large and small stars) until nothing changes. Links stay distributed, and each round is a written table.
+    large and small stars) until nothing changes. Links stay distributed, and each round is a written table. Raises if links
+    still change after `most_rounds`.
     """
     spark = links.sparkSession
     edges = keep(links.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).filter("a <> b").mapInArrow(_local_forest, "a long, b long").distinct(), "cc0")
@@ -277,6 +278,8 @@ def components(links: DataFrame, keep: Durable, most_rounds: int = 40) -> DataFr
         if now == last:
             break
         last = now
+    else:
+        raise ValueError(f"components still change after {most_rounds} rounds")
     return edges.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("component"))
 
 

@@ -418,3 +418,9 @@ def test_components(spark):
     linked = {x for a, b in links if a != b for x in (a, b)}
     got = dict(map(tuple, common.components(spark.createDataFrame(links, "a long, b long").repartition(5), common.Durable(spark)).collect()))
     assert all(got.get(x, x) == want[x] for x in linked)
+
+
+def test_components_out_of_rounds(spark):
+    links = spark.range(200).selectExpr("id as a", "id + 1 as b").repartition(4)
+    with pytest.raises(ValueError):
+        common.components(links, common.Durable(spark), most_rounds=1)
