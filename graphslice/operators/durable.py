@@ -29,13 +29,23 @@ def drop(spark: SparkSession, path: str) -> None:
         pass
 
 
-def written(df: DataFrame, name: str = "t") -> DataFrame:
-    """df written once as Parquet and read back."""
-    spark = df.sparkSession
+def folder(spark: SparkSession, name: str = "t") -> str:
+    """A new path in the shared folder, removed when the program ends."""
     path = f"{shared_folder(spark)}/graphslice/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
     atexit.register(drop, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    return path
+
+
+def written(df: DataFrame, name: str = "t", by: str | None = None) -> DataFrame:
+    """df written once as Parquet (a folder for each value of `by`) and read back."""
+    path = folder(df.sparkSession, name)
+    add(df, path, by)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def add(df: DataFrame, path: str, by: str | None = None) -> None:
+    out = df.write.mode("append")
+    (out.partitionBy(by) if by else out).parquet(path)
 
 
 def partitions(spark: SparkSession) -> int:

@@ -10,6 +10,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 from ..functions.score import LinearPenalty, PowerPenalty
 from .stores import ForwardQueue, make_store
@@ -96,97 +97,134 @@ class Placer:
         return best
 
 
-def _rows(batches):
-    """Whole nodes from sorted (shard, id, nbr, w, block) rows: shard, id, node weight, neighbours, weights, blocks.
-
-    A row with nbr gives a neighbour; one with block a gain that is already known; one with neither the node's weight.
-    """
-    held = None
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        cols = [batch.column(n).to_pylist() for n in ("shard", "id", "nbr", "w", "block")]
-        for s, v, u, w, b in zip(*cols):
-            if held is None or held[1] != v or held[0] != s:
-                if held is not None:
-                    if held[0] == s and v < held[1]:
-                        raise ValueError(f"node {v} after {held[1]}")
-                    yield held
-                held = [s, v, 1.0, [], [], []]
-            if u is not None:
-                held[3].append(u)
-                held[4].append(w)
-            elif b is not None:
-                held[5].append((b, w))
+class _Shard:
+    """The nodes of one shard as they come: the store, and the node whose rows may go on in the next batch."""
+
+    def __init__(self, rules: Rules, store: str, beta: int | None, delta: int, memory_bytes: int, shard: int, first: int, begin: State | None):
+        self.k, self.shard, self.first, self.beta = rules.k, shard, first, beta
+        self.state = State(list(begin.sizes), begin.previous) if begin is not None else State([0.0] * rules.k)
+        self.placer = Placer(rules, self.state)
+        self.store = None if store == "forward" else make_store(store, rules.k, beta, delta)
+        self.queue = ForwardQueue(memory_bytes) if store == "forward" else None
+        self.runs = make_store("runlist", rules.k) if store == "forward" else self.store
+        self.held: int | None = None  # the node that is not placed yet
+        self.gains: dict[int, float] = {}
+        self.weight, self.later = 1.0, []
+        self.recent: list[int] = []  # blocks of the nodes placed since the batch began
+
+    def place_held(self) -> None:
+        if self.held is None:
+            return
+        if self.queue is not None:
+            for b, w in self.queue.pop(self.held):
+                self.gains[b] = self.gains.get(b, 0) + w
+        block = self.placer.choose(self.gains, self.weight)
+        self.runs.append(block)
+        self.recent.append(block)
+        for u, w in self.later:
+            self.queue.push(u, block, w)
+        self.held, self.gains, self.weight, self.later = None, {}, 1.0, []
+
+    def feed(self, ids: np.ndarray, nbr: np.ndarray, w: np.ndarray, block: np.ndarray) -> None:
+        """Rows sorted by id, with -1 for no neighbour and for no block. A row with nbr gives a neighbour; one with block a
+        gain that is already known; one with neither the node's weight.
+
+        Neighbours that were placed before this batch are looked up together and their weights summed by node and block;
+        the few that are placed within it are read from the list of recent blocks. A hub's rows are folded as they come.
+        """
+        if (ids[1:] < ids[:-1]).any() or self.held is not None and ids[0] < self.held:
+            raise ValueError(f"nodes out of order near {ids[0]}")
+        if self.held is not None and self.held != ids[0]:
+            self.place_held()
+        self.recent = []
+        base = self.first + self.state.placed
+        cut = np.concatenate([[0], np.flatnonzero(ids[1:] != ids[:-1]) + 1])
+        group = np.repeat(np.arange(len(cut)), np.diff(np.append(cut, len(ids))))
+        known = block >= 0
+        far = np.zeros(len(ids), bool) if self.queue is not None else ~known & (nbr >= 0) & (nbr < base)
+        blocks = block.copy()
+        if far.any():
+            blocks[far] = self.store.get_many(nbr[far] - self.first)
+        summed = np.flatnonzero(known | far)
+        key, place = np.unique(group[summed] * self.k + blocks[summed], return_inverse=True)
+        sums = np.bincount(place, w[summed], len(key)).tolist() if len(key) else []
+        at = np.searchsorted(key, np.arange(len(cut) + 1) * self.k).tolist()
+        key = (key % self.k).tolist()
+        near = np.flatnonzero(~known & ~far & (nbr >= 0))
+        near_at = np.searchsorted(group[near], np.arange(len(cut) + 1)).tolist()
+        near_nbr, near_w = nbr[near].tolist(), w[near].tolist()
+        own = np.flatnonzero((nbr < 0) & ~known)
+        weights = dict(zip(group[own].tolist(), w[own].tolist()))
+        if self.queue is None:
+            self.state.lookups += len(near) + int(far.sum())
+        recent, choose, append, forward = self.recent, self.placer.choose, self.runs.append, self.queue is not None
+        last = len(cut) - 1
+        for g, v in enumerate(ids[cut].tolist()):
+            gains = self.gains if self.held == v else {}
+            for i in range(at[g], at[g + 1]):
+                gains[key[i]] = gains.get(key[i], 0) + sums[i]
+            if near_at[g] < near_at[g + 1]:
+                if forward:
+                    self.later += [(near_nbr[i], near_w[i]) for i in range(near_at[g], near_at[g + 1]) if near_nbr[i] > v]
+                else:
+                    for i in range(near_at[g], near_at[g + 1]):
+                        b = recent[near_nbr[i] - base]
+                        gains[b] = gains.get(b, 0) + near_w[i]
+            if g < last and not forward:
+                c = weights.get(g, self.weight if self.held == v else 1.0)
+                self.held = None
+                b = choose(gains, c)
+                append(b)
+                recent.append(b)
+                self.gains, self.weight = {}, 1.0
             else:
-                held[2] = w
-    if held is not None:
-        yield held
+                self.weight = weights.get(g, self.weight if self.held == v else 1.0)
+                self.held, self.gains = v, gains
+                if g < last:
+                    self.place_held()
+
+    def finish(self, began: float):
+        self.place_held()
+        state, queue = self.state, self.queue
+        heads, starts = self.runs.heads_and_starts()
+        lens = np.diff(np.append(starts, state.placed))
+        stats = {"seconds": time.perf_counter() - began, "peak_rss_kb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss, "runs": len(heads), "lookups": state.lookups, "appends": state.placed, "overfull": state.overfull, "sizes": state.sizes, "previous": state.previous}
+        if queue is None:
+            stats |= {"size_bits": int(self.store.size_bits()), "nbytes": int(self.store.nbytes()), "segments": self.store.segments() if hasattr(self.store, "segments") else 0}
+        else:
+            stats |= {"size_bits": queue.peak * ForwardQueue.ENTRY * 8, "nbytes": min(queue.peak, queue.most) * ForwardQueue.ENTRY, "segments": 0}
+            stats |= {"queue_inserts": queue.inserts, "queue_deletes": queue.deletes, "queue_peak": queue.peak, "spilled_runs": queue.spilled, "spilled_messages": queue.spilled_messages, "merges": queue.merges}
+        for i in range(0, len(heads), 50_000):
+            part = slice(i, i + 50_000)
+            start = starts[part] + self.first
+            m = len(start)
+            yield pa.RecordBatch.from_arrays([pa.array(["run"] * m), pa.array(np.full(m, self.shard, np.int32)), pa.array(start // self.beta if self.beta else np.zeros(m, np.int64)), pa.array(np.arange(i, i + m)), pa.array(start), pa.array(lens[part]), pa.array(heads[part].astype(np.int32)), pa.nulls(m, pa.string())], schema=OUT)
+        yield pa.RecordBatch.from_arrays([pa.array(["stats"]), pa.array([self.shard], pa.int32()), *(pa.nulls(1, t) for t in (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32())), pa.array([json.dumps(stats)])], schema=OUT)
 
 
 def place(batches, rules: Rules, store: str, beta: int | None, delta: int, memory_bytes: int, begin: State | None = None, offset: int = 0):
-    """Arrow batches of runs, then one row of statistics per shard.
+    """Arrow batches of runs, then one row of statistics per shard, from rows (shard, id, nbr, w, block) sorted by shard, id.
 
     Neighbours below `offset`, or of other shards, have to come as gains. With store='forward' there is no store:
     later neighbours get messages, and earlier ones are read from the queue.
     """
-
-    shard, placer, state, keep, queue, heads, starts, first = None, None, None, None, None, None, None, offset
-    forward = store == "forward"
-    began = time.perf_counter()
-
-    def fresh() -> State:
-        return State(list(begin.sizes), begin.previous) if begin is not None else State([0.0] * rules.k)
-
-    def finish():
-        size = keep.size_bits() if not forward else queue.peak * ForwardQueue.ENTRY * 8
-        h, s = (heads, starts) if forward else keep.heads_and_starts()
-        lens = np.diff(np.append(np.asarray(s, np.int64), state.placed))
-        stats = {"seconds": time.perf_counter() - began, "peak_rss_kb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss, "size_bits": int(size), "runs": len(h), "segments": keep.segments() if hasattr(keep, "segments") else 0, "lookups": state.lookups, "appends": state.placed, "overfull": state.overfull, "sizes": state.sizes, "previous": state.previous}
-        if forward:
-            stats |= {"queue_inserts": queue.inserts, "queue_deletes": queue.deletes, "queue_peak": queue.peak, "spilled_runs": queue.spilled, "spilled_messages": queue.spilled_messages}
-        for i in range(0, len(h), 50_000):
-            part = slice(i, i + 50_000)
-            at = np.asarray(s[part], np.int64) + first
-            m = len(at)
-            yield pa.RecordBatch.from_arrays([pa.array(["run"] * m), pa.array(np.full(m, shard or 0, np.int32)), pa.array(at // beta if beta else np.zeros(m, np.int64)), pa.array(np.arange(i, i + m)), pa.array(at), pa.array(lens[part]), pa.array(np.asarray(h[part], np.int32)), pa.nulls(m, pa.string())], schema=OUT)
-        yield pa.RecordBatch.from_arrays([pa.array(["stats"]), pa.array([shard or 0], pa.int32()), *(pa.nulls(1, t) for t in (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32())), pa.array([json.dumps(stats)])], schema=OUT)
-
-
-    for s, v, c, neighbours, weights, known in _rows(batches):
-        if state is None or s != shard:
-            if state is not None:
-                yield from finish()
-            shard, state = s, fresh()
-            placer = Placer(rules, state)
-            first = v if begin is None and offset == 0 and s is not None and s > 0 else offset
-            keep = None if forward else make_store(store, rules.k, beta, delta)
-            queue = ForwardQueue(memory_bytes) if forward else None
-            heads, starts = [], []
-        gains: dict[int, float] = {}
-        for b, w in known:
-            gains[b] = gains.get(b, 0) + w
-        if forward:
-            for b, w in queue.pop(v):
-                gains[b] = gains.get(b, 0) + w
-        else:
-            get = keep.get
-            for u, w in zip(neighbours, weights):
-                b = get(u - first)
-                gains[b] = gains.get(b, 0) + w
-            state.lookups += len(neighbours)
-        block = placer.choose(gains, c)
-        if forward:
-            if not heads or heads[-1] != block:
-                heads.append(block)
-                starts.append(state.placed - 1)
-            for u, w in zip(neighbours, weights):
-                if u > v:
-                    queue.push(u, block, w)
-        else:
-            keep.append(block)
-    if state is not None:
-        yield from finish()
+    own, began = None, time.perf_counter()
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        shards, ids = batch.column("shard").to_numpy(), batch.column("id").to_numpy()
+        w = batch.column("w").to_numpy()
+        nbr, block = (pc.fill_null(batch.column(n), -1).to_numpy() for n in ("nbr", "block"))
+        edge = np.flatnonzero(np.concatenate([[True], shards[1:] != shards[:-1], [True]]))
+        for a, b in zip(edge[:-1].tolist(), edge[1:].tolist()):
+            s = int(shards[a])
+            if own is None or own.shard != s:
+                if own is not None:
+                    yield from own.finish(began)
+                own = _Shard(rules, store, beta, delta, memory_bytes, s, int(ids[a]) if s > 0 and begin is None and offset == 0 else offset, begin)
+            own.feed(ids[a:b], nbr[a:b], w[a:b], block[a:b].astype(np.int64))
+    if own is not None:
+        yield from own.finish(began)
 
 
 __all__ = ["OUT", "OUT_DDL", "Placer", "Rules", "State", "place"]

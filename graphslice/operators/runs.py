@@ -11,11 +11,11 @@ from .durable import partitions, written
 BATCH = 100_000
 
 
-def rle_encode(df: DataFrame, pos: str, sym: str, batch: int | None = None) -> DataFrame:
+def rle_encode_window(df: DataFrame, pos: str, sym: str, batch: int | None = None) -> DataFrame:
     """(batch, run_no, start, len, head) of the sequence sym ordered by pos, one run store per `batch` positions.
 
-    Null symbols equal each other. Without batch the whole sequence is one window: use `rle_encode_parallel` for that
-    at scale.
+    Null symbols equal each other. Without batch the whole sequence is one window and so one task: `rle_encode` has no
+    such window.
     """
     key = F.lit(0).cast("long") if batch is None else F.floor(F.col(pos) / batch).cast("long")
     x = df.select(key.alias("batch"), F.col(pos).cast("long").alias("pos"), F.col(sym).alias("head"))
@@ -25,29 +25,38 @@ def rle_encode(df: DataFrame, pos: str, sym: str, batch: int | None = None) -> D
     return x.groupBy("batch", "run_no").agg(F.min("pos").alias("start"), F.count("*").alias("len"), F.first("head").alias("head"))
 
 
+def rle_encode(df: DataFrame, pos: str, sym: str, batch: int | None = None) -> DataFrame:
+    """The same for a sequence of any length: by batches, or for one run store by range partitions."""
+    return rle_encode_window(df, pos, sym, batch) if batch else rle_encode_parallel(df, pos, sym)
+
+
 def rle_encode_parallel(df: DataFrame, pos: str, sym: str) -> DataFrame:
-    """The same for a sequence of any length: runs of range partitions, then one window over the partitions' border runs.
+    """One run store for the whole sequence: each position is a run of its own, and these are stitched."""
+    return stitch(df.select(F.col(pos).cast("long").alias("start"), F.lit(1).cast("long").alias("len"), F.col(sym).alias("head")))
 
-    Only each partition's first and last run can join others, so the single-task step sees two rows per partition.
+
+def stitch(parts: DataFrame) -> DataFrame:
+    """(batch 0, run_no, start, len, head) of runs (start, len, head) that follow each other: neighbours of one head become one run.
+
+    Range partitions are stitched by themselves; then only each partition's first and last run can join others, so the
+    step in a single task sees two rows per partition.
     """
-    spark = df.sparkSession
-    x = df.select(F.col(pos).cast("long").alias("pos"), F.col(sym).alias("head"))
-    ranged = x.repartitionByRange(partitions(spark), "pos").sortWithinPartitions("pos").withColumn("_m", F.monotonically_increasing_id())
-    fixed = written(ranged.select("pos", "head", F.shiftright("_m", 33).alias("p")), "ranged")
-    w = Window.partitionBy("p").orderBy("pos")
+    from .graph import dense_ids
+
+    spark = parts.sparkSession
+    ranged = parts.select("start", "len", "head").repartitionByRange(partitions(spark), "start").sortWithinPartitions("start").withColumn("_m", F.monotonically_increasing_id())
+    fixed = written(ranged.select("start", "len", "head", F.shiftright("_m", 33).alias("p")), "ranged")
+    w = Window.partitionBy("p").orderBy("start")
     new = (F.row_number().over(w) == 1) | ~F.lag("head").over(w).eqNullSafe(F.col("head"))
     local = fixed.withColumn("new", new).withColumn("r", F.sum(F.col("new").cast("long")).over(w.rowsBetween(Window.unboundedPreceding, 0)))
-    runs = local.groupBy("p", "r").agg(F.min("pos").alias("start"), F.count("*").alias("len"), F.first("head").alias("head"))
-    edge = Window.partitionBy("p")
-    runs = written(runs.withColumn("last", F.max("r").over(edge)), "runs")
+    runs = local.groupBy("p", "r").agg(F.min("start").alias("start"), F.sum("len").alias("len"), F.first("head").alias("head"))
+    runs = written(runs.withColumn("last", F.max("r").over(Window.partitionBy("p"))), "runs")
     border = runs.filter("r = 1 or r = last")
     o = Window.orderBy("start")  # two rows per partition
     border = border.withColumn("_new", (F.row_number().over(o) == 1) | ~F.lag("head").over(o).eqNullSafe(F.col("head")) | ((F.lag("p").over(o) == F.col("p"))))
     border = border.withColumn("_g", F.sum(F.col("_new").cast("long")).over(o.rowsBetween(Window.unboundedPreceding, 0)))
     joined = border.groupBy("_g").agg(F.min("start").alias("start"), F.sum("len").alias("len"), F.min_by("head", "start").alias("head")).select("start", "len", "head")
     whole = runs.filter("r > 1 and r < last").select("start", "len", "head").union(joined)
-    from .graph import dense_ids
-
     return dense_ids(whole, ["start"], "run_no").select(F.lit(0).cast("long").alias("batch"), "run_no", "start", "len", "head")
 
 
@@ -72,21 +81,29 @@ def by_batch(runs: DataFrame, batch: int = BATCH) -> DataFrame:
     return b.select(F.col("_b").alias("batch"), lo.alias("start"), (hi - lo).alias("len"), "head")
 
 
-def lookup(runs: DataFrame, positions: DataFrame, pos: str, out: str = "head", batch: int = BATCH) -> DataFrame:
-    """positions with the head of their run: an equi-join on the batch and a test inside it, never a range join over all."""
+def lookup(runs: DataFrame, positions: DataFrame, pos: str, out: str = "head", batch: int = BATCH, spread: int = 8) -> DataFrame:
+    """positions with the head of their run; positions outside all runs go. An as-of join by one sort: run starts and
+    positions of a batch of ids stand in one order, and the last start's head is carried on, so the rows are the runs and
+    the positions and never their pairs.
+
+    A batch's positions are dealt over `spread` groups, each with the batch's runs, for the batches of hubs.
+    """
+    r = by_batch(runs, batch).select(F.col("batch").alias("_b"), F.explode(F.sequence(F.lit(0), F.lit(spread - 1))).alias("_g"), F.col("start").alias("_at"), F.lit(0).alias("_kind"), F.struct("head", (F.col("start") + F.col("len")).alias("end")).alias("_run"))
+    columns = [c for c in positions.columns if c != out]
+    p = positions.select((F.col(pos) / batch).cast("long").alias("_b"), F.pmod(F.xxhash64(*columns), F.lit(spread)).cast("int").alias("_g"), F.col(pos).cast("long").alias("_at"), F.lit(1).alias("_kind"), F.struct(*columns).alias("_row"))
+    w = Window.partitionBy("_b", "_g").orderBy("_at", "_kind").rowsBetween(Window.unboundedPreceding, 0)
+    both = r.unionByName(p, allowMissingColumns=True).withColumn("_run", F.last("_run", ignorenulls=True).over(w))
+    return both.filter("_kind = 1 and _at < _run.end").select(*[F.col(f"_row.{c}").alias(c) for c in columns], F.col("_run.head").alias(out))
+
+
+def lookup_few(runs: DataFrame, positions: DataFrame, pos: str, out: str = "head", batch: int = BATCH) -> DataFrame:
+    """The same as an equi-join on the batch and a test of each of its runs: for few positions in a long run table, since
+    a batch with r runs and p positions makes r x p rows before the test."""
     r = by_batch(runs, batch).select(F.col("batch").alias("_b"), F.col("start").alias("_s"), F.col("len").alias("_l"), F.col("head").alias(out))
     p = positions.withColumn("_k", (F.col(pos) / batch).cast("long"))
     return p.join(r, (F.col("_k") == F.col("_b")) & (F.col(pos) >= F.col("_s")) & (F.col(pos) < F.col("_s") + F.col("_l"))).drop("_k", "_b", "_s", "_l")
 
 
-def lookup_asof(runs: DataFrame, positions: DataFrame, pos: str, out: str = "head", batch: int = BATCH) -> DataFrame:
-    """The same as an as-of join: starts and positions of a batch in one order, the last start's head carried on."""
-    r = by_batch(runs, batch).select("batch", F.col("start").alias("at"), F.lit(0).alias("kind"), "head", F.lit(None).cast("long").alias("_p"))
-    p = positions.select((F.col(pos) / batch).cast("long").alias("batch"), F.col(pos).alias("at"), F.lit(1).alias("kind"), F.lit(None).cast(dict(runs.dtypes)["head"]).alias("head"), F.col(pos).cast("long").alias("_p"))
-    w = Window.partitionBy("batch").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, 0)
-    return r.union(p).withColumn(out, F.last("head", ignorenulls=True).over(w)).filter("kind = 1").select(F.col("_p").alias(pos), out)
-
-
 def rank(runs: DataFrame, positions: DataFrame, pos: str, bit: int = 1) -> DataFrame:
     """(pos, rank): run starts up to and including each position (bit 1), or the other positions (bit 0)."""
     ones = lookup(runs.select("batch", "run_no", "start", "len", (F.col("run_no") + 1).alias("head")), positions.select(pos), pos, "ones")

@@ -6,8 +6,11 @@ import heapq
 import os
 import pickle
 import tempfile
+from array import array
 from bisect import bisect_right
 
+import numpy as np
+
 from .bitvector import AppendableBitVector, LearnedBitVector
 
 
@@ -15,11 +18,15 @@ def head_bits(k: int) -> int:
     return max(1, (k - 1).bit_length())
 
 
+def heads_array(k: int) -> array:
+    return array("B" if k <= 1 << 8 else "H" if k <= 1 << 16 else "i")
+
+
 class DenseStore:
-    """A plain array."""
+    """A plain array of 32-bit numbers."""
 
     def __init__(self, k: int):
-        self.k, self.blocks = k, []
+        self.k, self.blocks = k, array("i")
 
     def append(self, block: int) -> None:
         self.blocks.append(block)
@@ -27,16 +34,19 @@ class DenseStore:
     def get(self, v: int) -> int:
         return self.blocks[v]
 
+    def get_many(self, v: np.ndarray) -> np.ndarray:
+        return np.frombuffer(self.blocks, np.int32)[v] if len(v) else np.zeros(0, np.int32)
+
     def __len__(self) -> int:
         return len(self.blocks)
 
-    def heads_and_starts(self) -> tuple[list[int], list[int]]:
-        heads, starts = [], []
-        for i, b in enumerate(self.blocks):
-            if not heads or heads[-1] != b:
-                heads.append(b)
-                starts.append(i)
-        return heads, starts
+    def heads_and_starts(self) -> tuple[np.ndarray, np.ndarray]:
+        x = np.array(self.blocks, np.int32)
+        starts = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.zeros(0, np.int64)
+        return x[starts], starts
+
+    def nbytes(self) -> int:
+        return 4 * len(self.blocks)
 
     def size_bits(self) -> int:
         return 32 * len(self.blocks)
@@ -46,7 +56,7 @@ class RunListStore:
     """Explicit (head, start) pairs, searched."""
 
     def __init__(self, k: int):
-        self.k, self.heads, self.begin, self.n = k, [], [], 0
+        self.k, self.heads, self.begin, self.n = k, heads_array(k), array("q"), 0
 
     def append(self, block: int) -> None:
         if not self.heads or self.heads[-1] != block:
@@ -57,32 +67,40 @@ class RunListStore:
     def get(self, v: int) -> int:
         return self.heads[bisect_right(self.begin, v) - 1]
 
+    def get_many(self, v: np.ndarray) -> np.ndarray:
+        return np.array(self.heads)[np.searchsorted(np.array(self.begin), v, "right") - 1] if len(v) else np.zeros(0, np.int32)
+
     def __len__(self) -> int:
         return self.n
 
-    def heads_and_starts(self) -> tuple[list[int], list[int]]:
-        return self.heads, self.begin
+    def heads_and_starts(self) -> tuple[np.ndarray, np.ndarray]:
+        return np.array(self.heads), np.array(self.begin, np.int64)
+
+    def nbytes(self) -> int:
+        return self.heads.itemsize * len(self.heads) + 8 * len(self.begin)
 
     def size_bits(self) -> int:
         return len(self.heads) * (head_bits(self.k) + 64)
 
 
-class PlainBitsStore(RunListStore):
-    """One bit per node, with a count per word, and the heads."""
+class PlainBitsStore:
+    """One bit per node, with a count per word of 64, and the heads."""
 
     def __init__(self, k: int):
-        super().__init__(k)
-        self.words, self.below, self.ones = [], [], 0
+        self.k, self.heads, self.n = k, heads_array(k), 0
+        self.words, self.below, self.ones, self.last = array("Q"), array("Q"), 0, -1
 
     def append(self, block: int) -> None:
         i = self.n
         if i % 64 == 0:
             self.words.append(0)
             self.below.append(self.ones)
-        if not self.heads or self.heads[-1] != block:
+        if block != self.last:
             self.words[-1] |= 1 << i % 64
             self.ones += 1
-        super().append(block)
+            self.heads.append(block)
+            self.last = block
+        self.n += 1
 
     def rank(self, v: int) -> int:
         return self.below[v >> 6] + (self.words[v >> 6] & ((2 << (v & 63)) - 1)).bit_count()
@@ -90,6 +108,23 @@ class PlainBitsStore(RunListStore):
     def get(self, v: int) -> int:
         return self.heads[self.rank(v) - 1]
 
+    def get_many(self, v: np.ndarray) -> np.ndarray:
+        if not len(v):
+            return np.zeros(0, np.int32)
+        w = v >> 6
+        kept = np.array(self.words)[w] << (63 - (v & 63)).astype(np.uint64)
+        return np.array(self.heads)[np.array(self.below)[w].astype(np.int64) + np.bitwise_count(kept) - 1]
+
+    def __len__(self) -> int:
+        return self.n
+
+    def heads_and_starts(self) -> tuple[np.ndarray, np.ndarray]:
+        bits = np.unpackbits(np.array(self.words).view(np.uint8), bitorder="little") if self.n else np.zeros(0, np.uint8)
+        return np.array(self.heads), np.flatnonzero(bits)
+
+    def nbytes(self) -> int:
+        return 16 * len(self.words) + self.heads.itemsize * len(self.heads)
+
     def size_bits(self) -> int:
         return self.n + len(self.heads) * head_bits(self.k)
 
@@ -98,25 +133,32 @@ class RunStore:
     """Heads and an appendable learned bit vector of the run starts."""
 
     def __init__(self, k: int, delta: int = 1024, width: int = 4):
-        self.k, self.n, self.heads, self.bits = k, 0, [], AppendableBitVector(delta, width)
+        self.k, self.n, self.heads, self.bits, self.last = k, 0, heads_array(k), AppendableBitVector(delta, width), -1
 
     def append(self, block: int) -> None:
-        if not self.heads or self.heads[-1] != block:
+        if block != self.last:
             self.heads.append(block)
             self.bits.append(self.n)
+            self.last = block
         self.n += 1
 
     def get(self, v: int) -> int:
         return self.heads[self.bits.rank(v) - 1]
 
+    def get_many(self, v: np.ndarray) -> np.ndarray:
+        return np.array(self.heads)[self.bits.rank_many(v) - 1] if len(v) else np.zeros(0, np.int32)
+
     def __len__(self) -> int:
         return self.n
 
-    def heads_and_starts(self) -> tuple[list[int], list[int]]:
-        return self.heads, self.bits.starts()
+    def heads_and_starts(self) -> tuple[np.ndarray, np.ndarray]:
+        return np.array(self.heads), self.bits.starts()
 
     def segments(self) -> int:
-        return len(self.bits.segments) + bool(self.bits.buffer)
+        return self.bits.segments()
+
+    def nbytes(self) -> int:
+        return self.bits.nbytes() + self.heads.itemsize * len(self.heads)
 
     def size_bits(self) -> int:
         """After a last fit with the best width."""
@@ -138,43 +180,92 @@ class BatchedStore:
     def get(self, v: int) -> int:
         return self.parts[v // self.beta].get(v % self.beta)
 
+    def get_many(self, v: np.ndarray) -> np.ndarray:
+        out, part = np.zeros(len(v), np.int64), v // self.beta
+        order = np.argsort(part, kind="stable")
+        edge = np.flatnonzero(np.concatenate([[True], part[order][1:] != part[order][:-1], [True]])) if len(v) else [0]
+        for a, b in zip(edge[:-1], edge[1:]):
+            rows = order[a:b]
+            out[rows] = self.parts[part[rows[0]]].get_many(v[rows] % self.beta)
+        return out
+
     def __len__(self) -> int:
         return self.n
 
-    def heads_and_starts(self) -> tuple[list[int], list[int]]:
-        heads, starts = [], []
-        for j, p in enumerate(self.parts):
-            h, s = p.heads_and_starts()
-            heads += h
-            starts += [x + j * self.beta for x in s]
-        return heads, starts
+    def heads_and_starts(self) -> tuple[np.ndarray, np.ndarray]:
+        each = [p.heads_and_starts() for p in self.parts] or [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+        return np.concatenate([h for h, _ in each]), np.concatenate([s + j * self.beta for j, (_, s) in enumerate(each)])
 
     def segments(self) -> int:
         return sum(p.segments() for p in self.parts if hasattr(p, "segments"))
 
+    def nbytes(self) -> int:
+        return sum(p.nbytes() for p in self.parts)
+
     def size_bits(self) -> int:
         return sum(p.size_bits() for p in self.parts)
 
 
-class AutoStore(RunListStore):
-    """Runs while they are placed; counted as the smallest of the learned, the plain and the packed form."""
+class AutoStore:
+    """Changes its form while it grows: whenever the nodes have doubled, the smallest of the run, plain-bits and dense forms."""
+
+    FORMS = {"run": RunStore, "plainbits": PlainBitsStore, "dense": DenseStore}
+
+    def __init__(self, k: int):
+        self.k, self.form, self.store, self.due, self.changes = k, "run", RunStore(k), 1024, 0
+
+    def append(self, block: int) -> None:
+        self.store.append(block)
+        if len(self.store) == self.due:
+            self.due *= 2
+            self._fit()
+
+    def _fit(self) -> None:
+        heads, starts = self.store.heads_and_starts()
+        n, head = len(self.store), heads_array(self.k).itemsize
+        sample = LearnedBitVector(4)
+        sample.extend(starts[-(1 << 12) :])
+        per_run = sample.nbytes() / max(1, len(sample))
+        size = {"run": len(heads) * (head + per_run), "plainbits": n / 4 + len(heads) * head, "dense": 4 * n}
+        best = min(size, key=size.get)
+        if best != self.form:
+            new = self.FORMS[best](self.k)
+            for b in np.repeat(heads, np.diff(np.append(starts, n))).tolist():
+                new.append(b)
+            self.form, self.store, self.changes = best, new, self.changes + 1
+
+    def get(self, v: int) -> int:
+        return self.store.get(v)
+
+    def get_many(self, v: np.ndarray) -> np.ndarray:
+        return self.store.get_many(v)
+
+    def __len__(self) -> int:
+        return len(self.store)
+
+    def heads_and_starts(self) -> tuple[np.ndarray, np.ndarray]:
+        return self.store.heads_and_starts()
+
+    def nbytes(self) -> int:
+        return self.store.nbytes()
 
     def size_bits(self) -> int:
-        b = head_bits(self.k)
-        return min(LearnedBitVector.build(self.begin).size_bits() + len(self.heads) * b, self.n + len(self.heads) * b, self.n * b)
+        return self.store.size_bits()
 
 
 class ForwardQueue:
     """Messages (target, block, weight) to later nodes: a heap of bounded size, sorted runs on disk beyond it, merged on the way
-    out. Messages leave in the order of their targets."""
+    out. Messages leave in the order of their targets. `FAN` runs of a level are merged to one of the next, so open files grow
+    with the logarithm of the messages."""
 
     ENTRY = 64  # bytes that a message counts for
+    FAN = 16
 
     def __init__(self, memory_bytes: int = 3 << 20):
         self.most = max(4, memory_bytes // self.ENTRY)
         self.heap: list[tuple[int, int, float]] = []
-        self.runs: list = []  # (next message, reader) of spilled runs
-        self.inserts = self.deletes = self.spilled = self.peak = self.spilled_messages = 0
+        self.runs: list = []  # (next message, number, level, reader) of spilled runs
+        self.inserts = self.deletes = self.spilled = self.peak = self.spilled_messages = self.merges = 0
 
     def push(self, target: int, block: int, weight: float) -> None:
         heapq.heappush(self.heap, (target, block, weight))
@@ -188,12 +279,33 @@ class ForwardQueue:
         self.heap.sort()
         keep = len(self.heap) // 2
         rest, self.heap = self.heap[keep:], self.heap[:keep]
-        handle = tempfile.TemporaryFile(dir=os.environ.get("TMPDIR") or None)
-        for i in range(0, len(rest), 1000):
-            pickle.dump(rest[i : i + 1000], handle)
-        handle.seek(0)
-        self.spilled += 1
         self.spilled_messages += len(rest)
+        self.spilled += 1
+        self._store(iter(rest), 0)
+        level = 0
+        while len(same := [r for r in self.runs if r[2] == level]) >= self.FAN:
+            self.runs = [r for r in self.runs if r[2] != level]
+            heapq.heapify(self.runs)
+            self.merges += 1
+            level += 1
+            self._store(heapq.merge(*(self._whole(head, reader) for head, _, _, reader in same)), level)
+
+    @staticmethod
+    def _whole(head, reader):
+        yield head
+        yield from reader
+
+    def _store(self, messages, level: int) -> None:
+        handle = tempfile.TemporaryFile(dir=os.environ.get("TMPDIR") or None)  # a task's own spill, gone when it ends
+        part = []
+        for m in messages:
+            part.append(m)
+            if len(part) == 1000:
+                pickle.dump(part, handle)
+                part = []
+        if part:
+            pickle.dump(part, handle)
+        handle.seek(0)
 
         def read():
             with handle:
@@ -204,22 +316,21 @@ class ForwardQueue:
                         return
 
         reader = read()
-        heapq.heappush(self.runs, (next(reader), self.spilled, reader))
+        heapq.heappush(self.runs, (next(reader), self.spilled * 64 + level, level, reader))
 
     def pop(self, target: int) -> list[tuple[int, float]]:
         """All messages to the target."""
         out = []
         while True:
-            from_heap = self.heap and self.heap[0][0] == target
-            if from_heap:
+            if self.heap and self.heap[0][0] == target:
                 _, b, w = heapq.heappop(self.heap)
             elif self.runs and self.runs[0][0][0] == target:
-                (_, b, w), number, reader = self.runs[0]
+                (_, b, w), number, level, reader = self.runs[0]
                 nxt = next(reader, None)
                 if nxt is None:
                     heapq.heappop(self.runs)
                 else:
-                    heapq.heapreplace(self.runs, (nxt, number, reader))
+                    heapq.heapreplace(self.runs, (nxt, number, level, reader))
             else:
                 break
             out.append((b, w))

@@ -11,7 +11,7 @@ from pyspark.sql.window import Window
 
 from ..functions.score import LinearPenalty, PowerPenalty, limit, sticky
 from ..operators import runs as rl
-from ..operators.durable import written
+from ..operators.durable import add, folder, partitions, written
 from ..operators.graph import Graph, forward_adjacency, stream_rows
 from ..operators.kernel import OUT_DDL, Rules, State, place
 
@@ -72,46 +72,40 @@ def single(g: Graph, s: Settings) -> Result:
 
 
 def relay(g: Graph, s: Settings, chunks: int = 4) -> Result:
-    """Exact, chunk after chunk: gains from earlier chunks are joined and summed in parallel, then one task places the
-    chunk's nodes. Only sizes and the previous block pass over the driver; the runs are written chunk by chunk."""
+    """Exact, chunk after chunk. When a chunk has been placed, its nodes' blocks are joined to the edges that leave it and
+    their sums by later node and block are filed under the later node's chunk, so each edge is read and looked up once.
+    Only sizes and the previous block pass over the driver; the runs are written chunk by chunk."""
     rules, per = rules_of(g, s), max(1, -(-g.n // chunks))
-    rows = written(_typed(stream_rows(g)), "stream")
-    state, parts, total = State([0.0] * s.k), [], {}
+    if not g.n:
+        return single(g, s)
+    spark, chunk = g.spark, F.expr(f"id div {per}")
+    rows = _typed(stream_rows(g)).withColumn("chunk", chunk).withColumn("from", F.expr(f"nbr div {per}"))
+    near = written(rows.filter("nbr is null or from = chunk").drop("from").repartition(partitions(spark), "chunk"), "near", "chunk")
+    far = written(rows.filter("from < chunk").select("id", "nbr", "w", "from").repartition(partitions(spark), "from", F.pmod("id", F.lit(8))), "far", "from")
+    filed, runs = folder(spark, "gains"), folder(spark, "runs")
+    gains = spark.read.schema("id long, block int, w double, chunk long")
+    state, total = State([0.0] * s.k), {}
     inner = replace(s, store="run" if s.store == "forward" else s.store, beta=None)
-    for lo in range(0, g.n, per):
-        hi = min(g.n, lo + per)
-        chunk = rows.filter((F.col("id") >= lo) & (F.col("id") < hi))
-        near = chunk.filter(F.col("nbr").isNull() | (F.col("nbr") >= lo))
-        far = chunk.filter(F.col("nbr") < lo).select("id", "nbr", "w")
-        if parts:
-            done = parts[0]
-            for p in parts[1:]:
-                done = done.union(p)
-            gains = rl.lookup(done, far, "nbr", "block").groupBy("id", "block").agg(F.sum("w").alias("w"))
-            near = near.select("shard", "id", "nbr", "w", "block").union(gains.select(F.lit(0), "id", F.lit(None).cast("long"), "w", "block"))
-        ordered = near.repartition(1).sortWithinPartitions("id", F.col("nbr").asc_nulls_first())
-        got, stats = _run(ordered, rules, inner, state, lo)
-        st = stats[0]
-        state = State(st["sizes"], st["previous"])
-        parts.append(got.select("batch", "run_no", "start", "len", "head"))
+    for c, lo in enumerate(range(0, g.n, per)):
+        feed = near.filter(F.col("chunk") == c).select("shard", "id", "nbr", "w", "block")
+        if c:
+            feed = feed.union(gains.parquet(filed).filter(F.col("chunk") == c).select(F.lit(0), "id", F.lit(None).cast("long"), "w", "block"))
+        got, stats = _run(feed.repartition(1).sortWithinPartitions("id", F.col("nbr").asc_nulls_first()), rules, inner, state, lo)
+        state = State(stats[0]["sizes"], stats[0]["previous"])
+        add(got.select("start", "len", "head"), runs)
+        told = rl.lookup(got, far.filter(F.col("from") == c).drop("from"), "nbr", "block").groupBy("id", "block").agg(F.sum("w").alias("w"))
+        add(told.withColumn("chunk", chunk), filed, "chunk")
         for key in ("seconds", "lookups", "appends", "overfull"):
-            total[key] = total.get(key, 0) + st[key]
-    if not parts:
-        return single(g, s)
-    cut = parts[0]
-    for p in parts[1:]:
-        cut = cut.union(p)
-    return Result(_stitched(cut, s.beta), state.sizes, total)
+            total[key] = total.get(key, 0) + stats[0][key]
+    return Result(_stitched(spark.read.schema("start long, len long, head int").parquet(runs), s.beta), state.sizes, total)
 
 
 def _stitched(cut: DataFrame, beta: int | None) -> DataFrame:
-    """Runs joined over chunk borders and cut at batches: windows over runs, not nodes."""
-    if beta:
-        cut = rl.by_batch(cut, beta)
-    else:
-        cut = cut.select(F.lit(0).cast("long").alias("batch"), "start", "len", "head")
+    """Runs joined over the borders of chunks, or cut at batches and joined within each."""
+    if not beta:
+        return rl.stitch(cut)
     w = Window.partitionBy("batch").orderBy("start")
-    x = cut.withColumn("_n", ((F.row_number().over(w) == 1) | (F.lag("head").over(w) != F.col("head"))).cast("long"))
+    x = rl.by_batch(cut, beta).withColumn("_n", ((F.row_number().over(w) == 1) | (F.lag("head").over(w) != F.col("head"))).cast("long"))
     x = x.withColumn("run_no", F.sum("_n").over(w.rowsBetween(Window.unboundedPreceding, 0)) - 1)
     return x.groupBy("batch", "run_no").agg(F.min("start").alias("start"), F.sum("len").alias("len"), F.min_by("head", "start").alias("head"))
 
@@ -158,17 +152,18 @@ def buffered(g: Graph, s: Settings, buffer: int, inner: str = "sequential") -> R
     buffer's size; 'frozen' scores all of them against the state before the buffer, as joins and an argmax."""
     if inner == "sequential":
         return relay(g, s, max(1, -(-g.n // buffer)))
-    rules = rules_of(g, s)
-    arcs = written(forward_adjacency(g.edges), "arcs")
-    placed, sizes, previous = None, [0.0] * s.k, -1
-    for lo in range(0, g.n, buffer):
+    rules, spark = rules_of(g, s), g.spark
+    far = written(forward_adjacency(g.edges).withColumn("from", F.expr(f"nbr div {buffer}")).filter(f"from < id div {buffer}"), "far", "from")
+    filed, labels = folder(spark, "gains"), folder(spark, "labels")
+    sizes, previous = [0.0] * s.k, -1
+    for c, lo in enumerate(range(0, g.n, buffer)):
         hi = min(g.n, lo + buffer)
-        ids = g.spark.range(lo, hi)
-        blocks = g.spark.createDataFrame([(b, x) for b, x in enumerate(sizes)], "block int, size double")
-        if placed is not None:
-            near = arcs.filter((F.col("id") >= lo) & (F.col("id") < hi) & (F.col("nbr") < lo)).join(placed.select(F.col("id").alias("nbr"), "block"), "nbr").groupBy("id", "block").agg(F.sum("w").alias("gain"))
+        ids = spark.range(lo, hi)
+        blocks = spark.createDataFrame([(b, x) for b, x in enumerate(sizes)], "block int, size double")
+        if c:
+            near = spark.read.schema("id long, block int, w double, buffer long").parquet(filed).filter(F.col("buffer") == c).groupBy("id", "block").agg(F.sum("w").alias("gain"))
         else:
-            near = g.spark.createDataFrame([], "id long, block int, gain double")
+            near = spark.createDataFrame([], "id long, block int, gain double")
         grid = ids.join(F.broadcast(blocks), F.lit(True)).join(near, ["id", "block"], "left").withColumn("gain", F.coalesce("gain", F.lit(0.0)))
         best = best_block(grid, rules, previous)
         # more nodes than a block has room for: the rest, by id, fill the least loaded blocks
@@ -192,9 +187,11 @@ def buffered(g: Graph, s: Settings, buffer: int, inner: str = "sequential") -> R
         else:
             for b, n in rows.items():
                 sizes[b] += n
-        placed = written(chosen if placed is None else placed.union(chosen), "placed")
-        previous = placed.filter(F.col("id") == hi - 1).first()["block"]
-    runs = rl.rle_encode(placed, "id", "block", s.beta)
+        add(chosen.select("id", "block"), labels)
+        told = far.filter(F.col("from") == c).join(chosen.select(F.col("id").alias("nbr"), "block"), "nbr").groupBy("id", "block").agg(F.sum("w").alias("w"))
+        add(told.withColumn("buffer", F.expr(f"id div {buffer}")), filed, "buffer")
+        previous = chosen.filter(F.col("id") == hi - 1).first()["block"]
+    runs = rl.rle_encode(spark.read.schema("id long, block int").parquet(labels), "id", "block", s.beta)
     return Result(written(runs, "runs"), sizes, {"buffers": -(-g.n // buffer)})
 
 

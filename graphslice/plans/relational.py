@@ -50,7 +50,7 @@ def size_dominates(s, d):
 
 
 _POS = f"SELECT pos, sym AS head FROM ({o.SEQUENCES['events']})"
-for _name, _f in (("range", rl.lookup), ("asof", rl.lookup_asof)):
+for _name, _f in (("range", rl.lookup_few), ("asof", rl.lookup)):
     _add(f"q_run_of_position_{_name}", _POS)(lambda s, d, f=_f: f(written(rl.rle_encode(ta.read(s, d, "events"), "event_id", "event_type"), "runs"), ta.read(s, d, "events").select(F.col("event_id").alias("pos")), "pos", "head", 500))
 
 

@@ -71,7 +71,7 @@ def delta_study(spark, sf_dir, graph="event_time", k=4, deltas=(1, 16, 256, 4096
         for p in starts:
             v.append(p)
         v.flush()
-        rows += [(f"delta_{d}", graph, k, m, x) for m, x in (("seconds", time.perf_counter() - began), ("bits", v.size_bits()), ("segments", len(v.segments)), ("refits", v.refits))]
+        rows += [(f"delta_{d}", graph, k, m, x) for m, x in (("seconds", time.perf_counter() - began), ("bits", v.size_bits()), ("segments", v.segments()), ("refits", v.closed.refits))]
     return _table(spark, rows)
 
 

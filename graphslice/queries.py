@@ -115,7 +115,7 @@ _S = {n: f"WITH s AS ({q}), {o.RUNS}" for n, q in o.SEQUENCES.items()}
 _ALL = "SELECT batch, run_no, start, len, head FROM r"
 for _n in o.SEQUENCES:
     _add(f"r_encode_{_n}", lambda s, d, n=_n: rl.rle_encode_parallel(sequence(s, d, n), "pos", "sym"), f"{_S[_n]} {_ALL}")
-_add("r_encode_window", lambda s, d: rl.rle_encode(sequence(s, d, "events"), "pos", "sym"), f"{_S['events']} {_ALL}")
+_add("r_encode_window", lambda s, d: rl.rle_encode_window(sequence(s, d, "events"), "pos", "sym"), f"{_S['events']} {_ALL}")
 _add("r_encode_batched", lambda s, d: rl.rle_encode(sequence(s, d, "events"), "pos", "sym", 64), f"WITH s AS (SELECT pos // 64 AS batch, pos, sym FROM ({o.SEQUENCES['events']})), {o.RUNS} {_ALL}")
 _add("r_encode_greedy", lambda s, d: ex.one_pass(ta.graph(s, d, "conv"), 4).runs, f"WITH RECURSIVE {o.greedy('conv', 4)}, s AS (SELECT 0::BIGINT AS batch, id AS pos, block AS sym FROM a), {o.RUNS} {_ALL}")
 _add("r_encode_sticky", lambda s, d: ex.one_pass(ta.graph(s, d, "event_time"), 4, kappa=20.0).runs, f"WITH RECURSIVE {o.greedy('event_time', 4, kappa=20)}, s AS (SELECT 0::BIGINT AS batch, id AS pos, block AS sym FROM a), {o.RUNS} {_ALL}")
@@ -124,11 +124,11 @@ _add("r_decode", lambda s, d: rl.rle_decode(_runs(s, d)), f"SELECT pos, sym FROM
 _pos = lambda s, d: ta.read(s, d, "events").select(F.col("event_id").alias("pos"))
 _add("r_rank1", lambda s, d: rl.rank(_runs(s, d), _pos(s, d), "pos"), f"{_S['events']} SELECT pos, (run_no + 1)::BIGINT AS rank FROM q")
 _add("r_rank0", lambda s, d: rl.rank(_runs(s, d), _pos(s, d), "pos", 0), f"{_S['events']} SELECT pos, (pos - run_no)::BIGINT AS rank FROM q")
-_add("r_select1", lambda s, d: rl.select(_runs(s, d), s.range(1, 501).withColumnRenamed("id", "x"), "x"), f"{_S['events']} SELECT run_no + 1 AS x, start AS pos FROM r WHERE run_no < 500")
-_add("r_select0", lambda s, d: rl.select(_runs(s, d), s.range(1, 501).withColumnRenamed("id", "x"), "x", 0), f"{_S['events']} SELECT x, pos FROM (SELECT row_number() OVER (ORDER BY pos) AS x, pos FROM q WHERE f = 0) WHERE x <= 500")
+_add("r_select1", lambda s, d: rl.select(r := _runs(s, d), r.select((F.col("run_no") + 1).alias("x")), "x"), f"{_S['events']} SELECT run_no + 1 AS x, start AS pos FROM r")
+_add("r_select0", lambda s, d: rl.select(r := _runs(s, d), s.range(1, ta.size(s, d, "events") - r.count() + 1).withColumnRenamed("id", "x"), "x", 0), f"{_S['events']} SELECT x, pos FROM (SELECT row_number() OVER (ORDER BY pos) AS x, pos FROM q WHERE f = 0)")
 _add("r_rank_symbol", lambda s, d: rl.rank_symbol(sequence(s, d, "events"), "pos", "sym"), f"SELECT pos, sym, row_number() OVER (PARTITION BY sym ORDER BY pos) AS rank FROM ({o.SEQUENCES['events']})")
 _add("r_select_symbol", lambda s, d: rl.select_symbol(sequence(s, d, "events"), "pos", "sym", sequence(s, d, "events").select("sym").distinct().withColumn("x", F.lit(7).cast("long"))), f"SELECT sym, x, pos FROM (SELECT sym, row_number() OVER (PARTITION BY sym ORDER BY pos) AS x, pos FROM ({o.SEQUENCES['events']})) WHERE x = 7")
-for _f in ("lookup", "lookup_asof"):
+for _f in ("lookup", "lookup_few"):
     _add(f"r_{_f}", lambda s, d, f=_f: getattr(rl, f)(_runs(s, d), _pos(s, d), "pos", "head", 100), f"SELECT pos, sym AS head FROM ({o.SEQUENCES['events']})")
 _add("r_stats", lambda s, d: rl.run_stats(_runs(s, d)), f"{_S['events']} SELECT count(*) AS runs, sum(len)::BIGINT AS positions, max(len) AS longest, round(avg(len), 6) AS mean_len, quantile_cont(len, 0.5) AS median_len FROM r")
 _add("r_validate", lambda s, d: rl.rle_validate(_runs(s, d), ta.size(s, d, "events")), "SELECT 'x' AS kind, 0::BIGINT AS n WHERE false")

@@ -3,6 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
+from graphslice.operators.durable import written
 from graphslice.operators import graph as gr, measure as me, runs as rl
 from graphslice.plans.execute import one_pass
 from graphslice.sources import files, generate as ge
@@ -67,13 +68,22 @@ def test_node_weights(spark):
 
 def test_lookup_is_no_nested_loop(spark):
     runs = rl.rle_encode(spark.range(1000).withColumn("s", F.expr("id div 7 % 3")), "id", "s")
-    for f in (rl.lookup, rl.lookup_asof):
-        got = f(runs, spark.range(1000), "id", "s", 100)
+    for f in (rl.lookup, rl.lookup_few):
+        got = f(runs, spark.range(1003), "id", "s", 100)
         plan = got._jdf.queryExecution().toString()
         assert "NestedLoop" not in plan and "Cartesian" not in plan
         assert got.filter("s <> id div 7 % 3").isEmpty() and got.count() == 1000
 
 
+def test_lookup_makes_no_pairs(spark):
+    """Rows inside the plan grow with runs + positions, also where every position is a run."""
+    n = 20_000
+    runs = written(rl.rle_encode(spark.range(n).withColumn("s", F.expr("id % 2")), "id", "s"))
+    got = rl.lookup(runs, spark.range(n).withColumn("p", F.lit(7)), "p", "s", n)  # one hub
+    assert "Join" not in got._jdf.queryExecution().toString()
+    assert got.groupBy("s").count().collect() == [(1, n)]
+
+
 def test_parallel_coding_of_long_runs(spark):
     df = spark.range(1000).withColumn("s", F.expr("case when id < 700 then 'x' when id < 701 then null else 'y' end"))
     got = [tuple(r) for r in rl.rle_encode_parallel(df, "id", "s").select("start", "len", "head").orderBy("start").collect()]

@@ -1,7 +1,9 @@
 """Bit vectors, stores and the queue, without Spark."""
 
 import random
+import time
 
+import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -18,7 +20,9 @@ STARTS = st.lists(st.integers(1, 50), max_size=120).map(lambda gaps: [0] + [sum(
 @given(STARTS, st.sampled_from(["auto", 0, 2, 5, 8]))
 def test_static_form_is_lossless(starts, width):
     v = LearnedBitVector.build(starts, width)
-    assert v.starts() == starts
+    assert v.starts().tolist() == starts
+    places = np.arange(starts[-1] + 4)
+    assert v.rank_many(places).tolist() == [v.rank(i) for i in places.tolist()] == [sum(s <= i for s in starts) for i in places.tolist()]
     for x in range(1, len(starts) + 1):
         assert v.rank(v.select(x)) == x
     for i in (0, starts[-1], starts[-1] + 3):
@@ -36,8 +40,32 @@ def test_appends_give_the_static_segments(starts, delta, width):
         a.append(p)
         assert a.rank(p) == i + 1
     a.flush()
-    fixed = LearnedBitVector.build(starts, width).segments
-    assert [(s.first_rank, s.first_pos, s.corrections, s.slope) for s in a.segments] == [(s.first_rank, s.first_pos, s.corrections, s.slope) for s in fixed]
+    fixed = LearnedBitVector.build(starts, width)
+    assert [(r, p, n) for r, p, _, n in a.closed.segments()] == [(r, p, n) for r, p, _, n in fixed.segments()]
+    assert a.starts().tolist() == starts
+
+
+def test_a_million_starts_in_little_time_and_memory():
+    rng = np.random.default_rng(1)
+    for gaps, most_bytes in ((rng.integers(1, 6, 1_000_000), 3.0), (np.full(1_000_000, 7), 0.6)):
+        starts = np.concatenate([[0], np.cumsum(gaps)])
+        began, a = time.perf_counter(), AppendableBitVector(1024, 4)
+        for i in range(0, len(starts), 1024):
+            a.buffer.extend(starts[i : i + 1024].tolist())
+            a.flush()
+        assert time.perf_counter() - began < 60 and a.nbytes() < most_bytes * len(starts)
+        assert (a.starts() == starts).all()
+
+
+def test_auto_store_changes_form():
+    s = make_store("auto", 4)
+    for i in range(5000):
+        s.append(i % 4)
+    assert s.changes and s.form != "run" and [s.get(i) for i in range(5000)] == [i % 4 for i in range(5000)]
+    s = make_store("auto", 4)
+    for i in range(5000):
+        s.append(i // 1250)
+    assert s.form == "run" and s.nbytes() < 500
 
 
 @pytest.mark.parametrize("name", ["dense", "runlist", "plainbits", "run", "auto"])
@@ -49,17 +77,17 @@ def test_stores_agree(name, beta):
     for i, b in enumerate(labels):
         store.append(b)
         assert store.get(i) == b
-    assert [store.get(i) for i in range(len(labels))] == labels
+    assert [store.get(i) for i in range(len(labels))] == labels == store.get_many(np.arange(len(labels))).tolist()
     heads, starts = store.heads_and_starts()
     got = [h for h, a, z in zip(heads, starts, [*starts[1:], len(labels)]) for _ in range(z - a)]
-    assert got == labels and store.size_bits() > 0
+    assert got == labels and store.size_bits() > 0 and store.nbytes() > 0
 
 
 def test_worked_sequences():
     for symbols, lengths in (("aaabaabbba", [3, 1, 2, 3, 1]), ([1, 1, 1, 1, 2, 2, 3, 3, 4, 5], [4, 2, 2, 1, 1])):
         s = make_store("run", 8)
         for c in symbols:
-            s.append(c)
+            s.append(ord(c) - 97 if isinstance(c, str) else c)
         _, starts = s.heads_and_starts()
         assert [b - a for a, b in zip(starts, [*starts[1:], len(symbols)])] == lengths
 
@@ -73,7 +101,7 @@ def test_batches_add_at_most_a_run_each():
 
 
 @pytest.mark.parametrize("memory", [64, 1024, 1 << 20])
-def test_queue_returns_every_message_in_order(memory):
+def test_queue_returns_every_message_in_order(memory):  # the smallest queue merges runs
     rng, q = random.Random(1), ForwardQueue(memory)
     want: dict = {}
     for v in range(300):
