@@ -59,6 +59,7 @@ class Placer:
         heapq.heapify(self.loads)
 
     def least_loaded(self) -> int:
+        """One entry per block, set right when it comes to the top: sizes only grow, so an old entry is a lower bound."""
         sizes, loads = self.s.sizes, self.loads
         while sizes[loads[0][1]] != loads[0][0]:
             heapq.heapreplace(loads, (sizes[loads[0][1]], loads[0][1]))
@@ -91,7 +92,6 @@ class Placer:
                 if top is None or key > top:
                     best, top = b, key
         sizes[best] += c
-        heapq.heappush(self.loads, (sizes[best], best))
         self.s.previous = best
         self.s.placed += 1
         return best
