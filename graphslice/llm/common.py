@@ -25,12 +25,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir of the session, else (tests) a fresh temporary one."""
+    """The folder all executors share: spark.checkpoint.dir of the session. Where none is set and all runs in one process
+    (tests) it is a fresh temporary one; on a cluster that raises, since executors would not see it."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = found.get() if found.isDefined() else None
     if not base:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="graphslice-")
         spark.sparkContext.setCheckpointDir(base)
     return base
@@ -165,51 +168,31 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, codes: n
     return mix(span_hash(prefix_hash(codes[data]), starts, ends) + (ends - starts).astype(U64))
 
 
-def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
-    """Minimum of each w consecutive values (n - w + 1 of them), by blockwise prefix and suffix minima."""
+def sliding_argmin(x: np.ndarray, w: int) -> np.ndarray:
+    """Place of the leftmost minimum of each w consecutive values (n - w + 1 of them). Blocks of w values have running
+    minima from either end; a window is the end of one block and the beginning of the next."""
     n = len(x)
-    if w <= 1 or n < w:
-        return x.copy() if w <= 1 else x[:0]
+    if n < w:
+        return np.zeros(0, np.int64)
     pad = -n % w
     y = np.concatenate([x, np.full(pad, np.iinfo(x.dtype).max, x.dtype)]).reshape(-1, w)
-    left = np.minimum.accumulate(y, 1).ravel()
-    right = np.minimum.accumulate(y[:, ::-1], 1)[:, ::-1].ravel()
-    return np.minimum(right[: n - w + 1], left[w - 1 : n])
+    place = np.arange(n + pad).reshape(-1, w)
+    least = np.minimum.accumulate(y, 1)
+    fresh = np.ones(y.shape, bool)
+    fresh[:, 1:] = y[:, 1:] < least[:, :-1]
+    head = np.maximum.accumulate(np.where(fresh, place, 0), 1).ravel()[w - 1 : n]
+    least = least.ravel()[w - 1 : n]
+    most = np.minimum.accumulate(y[:, ::-1], 1)[:, ::-1]
+    fresh[:, -1] = True
+    fresh[:, :-1] = y[:, :-1] <= most[:, 1:]
+    tail = np.minimum.accumulate(np.where(fresh, place, n + pad)[:, ::-1], 1)[:, ::-1].ravel()[: n - w + 1]
+    return np.where(most.ravel()[: n - w + 1] <= least, tail, head)
 
 
 def leftmost_minima(h: np.ndarray, w: int) -> np.ndarray:
     """Sorted positions that are the leftmost minimum of some window of w values: the same for equal windows."""
-    m = len(h) - w + 1
-    if m <= 0:
-        return np.zeros(0, np.int64)
-    least = sliding_min(h, w)
-    # a position is chosen iff the first place at or after some window start with that window's minimum is it
-    at = np.flatnonzero(np.concatenate([[True], least[1:] != least[:-1]]))  # runs of windows with one minimum
-    chosen = []
-    run_end = np.append(at[1:], m)
-    first = at.copy()
-    where = _next_equal(h, least, first, w)
-    chosen.append(where)
-    # within a run the leftmost place may leave the window while an equal value stays: step on
-    cur, end = where, run_end
-    live = cur + 1 < end
-    while live.any():
-        cur, end = cur[live] + 1, end[live]
-        cur = _next_equal(h, least, cur, w)
-        chosen.append(cur)
-        live = cur + 1 < end
-    return np.unique(np.concatenate(chosen))
-
-
-def _next_equal(h: np.ndarray, least: np.ndarray, start: np.ndarray, w: int) -> np.ndarray:
-    """For each window start, the first position in the window that holds the window's minimum."""
-    out = np.empty(len(start), np.int64)
-    step = max(1, (1 << 22) // w)
-    span = np.arange(w)
-    for i in range(0, len(start), step):
-        s = start[i : i + step]
-        out[i : i + step] = s + (h[s[:, None] + span] == least[s][:, None]).argmax(1)
-    return out
+    at = sliding_argmin(h, w)
+    return at[np.concatenate([[True], at[1:] != at[:-1]])] if len(at) else at
 
 
 # --- keys that may be in a set, and components -------------------------------------------------------
@@ -252,35 +235,29 @@ def _local_forest(batches):
         yield pa.RecordBatch.from_arrays([pa.array(part, pa.int64()), pa.array([find(x) for x in part], pa.int64())], names=["a", "b"])
 
 
-def components(links: DataFrame, keep: Durable, most_rounds: int = 40) -> DataFrame:
-    """(node, component): the least node reachable over links (a, b); nodes without links are absent.
+def components(links: DataFrame, keep: Durable) -> DataFrame:
+    """(node, component): the least node reachable over links (a, b), for the nodes above it; others are absent.
 
     Each partition first shrinks its links to a forest; then nodes point at ever smaller neighbours (alternating
-    large and small stars) until nothing changes. Links stay distributed, and each round is a written table. Raises if links
-    still change after `most_rounds`.
+    large and small stars) until nothing changes. Links stay distributed, and each round is a written table. It ends when
+    every node has one link and no link leads to a node that has one, however many rounds that takes.
     """
-    spark = links.sparkSession
     edges = keep(links.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).filter("a <> b").mapInArrow(_local_forest, "a long, b long").distinct(), "cc0")
-    last = edges.agg(F.count("*"), F.sum(F.hash("a", "b").cast("long"))).first()
-    for i in range(1, most_rounds + 1):
-        if not last[0]:
+    i = 0
+    while True:
+        owners = edges.groupBy("a").agg(F.count("*").alias("n"))
+        if owners.filter("n > 1").isEmpty() and edges.select(F.col("b").alias("a")).join(owners, "a", "left_semi").isEmpty():
             break
+        i += 1
         both = edges.select("a", "b").union(edges.select(F.col("b"), F.col("a")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
         large = both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b")
         large = large.distinct()
         down = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(down, "a").select(F.col("b").alias("x"), F.col("a").alias("y"), "m")
-        nxt = small.select(F.col("x").alias("a"), F.col("m").alias("b")).union(small.select(F.col("y").alias("a"), F.col("m").alias("b"))).filter("a <> b").distinct()
-        edges = keep(nxt, f"cc{i}")
-        now = edges.agg(F.count("*"), F.sum(F.hash("a", "b").cast("long"))).first()
+        edges = keep(small.select(F.col("x").alias("a"), F.col("m").alias("b")).union(small.select(F.col("y").alias("a"), F.col("m").alias("b"))).filter("a <> b").distinct(), f"cc{i}")
         keep.release(f"cc{i - 1}")
-        if now == last:
-            break
-        last = now
-    else:
-        raise ValueError(f"components still change after {most_rounds} rounds")
-    return edges.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("component"))
+    return edges.select(F.col("a").alias("node"), F.col("b").alias("component"))
 
 
 def without(df: DataFrame, key: str, members: DataFrame, member_key: str, bits: int = 22) -> DataFrame:

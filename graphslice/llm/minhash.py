@@ -16,17 +16,18 @@ U64 = np.uint64
 
 @dataclass(frozen=True)
 class Forest:
-    """trees: sorted orders of the signatures. shallow: the common prefix that makes two texts candidates; deep:
-    the values of an order, which also serve the similarity estimate. Regions of more than `region` texts are dealt over
-    blocks. words: shingle length; share: least Jaccard in %.
+    """trees: sorted orders of the signatures, each of `deep` values. shallow: the shortest common prefix that makes two
+    texts neighbours. A region (the texts of a prefix) with more than `region` texts is cut by the next value, down to
+    `deep`; regions that are larger even there are dealt over pairs of blocks. words: shingle length; share: least Jaccard in %.
 
-    A pair at Jaccard 0.8 shares a prefix of 3 in one of 16 orders but for 1e-5 of all pairs. The estimate that spares
-    full comparisons lets such a pair pass but for 1e-6."""
+    A pair at Jaccard 0.8 has a common prefix of 3 in one of 20 orders but for 6e-7 of all pairs, of 4 but for 3e-5, of 5
+    but for 4e-4, of 6 but for 2e-3; pairs that are closer are missed far less. The estimate that spares full comparisons lets
+    such a pair pass but for 1e-6."""
 
-    trees: int = 16
+    trees: int = 20
     shallow: int = 3
     deep: int = 6
-    region: int = 4000
+    region: int = 2000
     words: int = 5
     share: int = 80
 
@@ -115,85 +116,115 @@ def coded_documents(docs: DataFrame, f: Forest) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, h1 long, h2 long, keys array<long>, sig binary")
 
 
-def _region_pairs(f: Forest, cross: bool):
-    """Candidate pairs from partitions sorted by region (key, block).
+def _least_equal(f: Forest) -> int:
+    """Equal signature values that a pair at the least Jaccard has, five deviations below what is expected."""
+    values, p = f.trees * f.deep, f.share / 100
+    return int(np.floor(values * p - 5 * np.sqrt(values * p * (1 - p))))
 
-    First pass: each text is paired with the least id of its region that looks similar, so a region of n texts gives
-    less than n pairs. Cross pass: a spanning forest of the components whose texts look similar across them.
-    Looking similar: enough equal signature values for the least Jaccard (five deviations of slack), and sizes that allow it.
+
+def _equal_values(sig: np.ndarray, rows: np.ndarray, cols: np.ndarray) -> np.ndarray:
+    x, y = sig[:, rows], sig[:, cols]
+    same = np.zeros((len(rows), len(cols)), np.uint8)
+    for a, b in zip(x, y):
+        same += a[:, None] == b[None]
+    return same
+
+
+def _close_sizes(sizes: np.ndarray, rows: np.ndarray, cols: np.ndarray, f: Forest) -> np.ndarray:
+    return 100 * np.minimum(sizes[rows][:, None], sizes[cols][None]) >= f.share * np.maximum(sizes[rows][:, None], sizes[cols][None])
+
+
+_PAIR = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("near", pa.int32())])
+
+
+def _neighbours(f: Forest):
+    """Candidates (a < b, near) from partitions sorted by region, block and path, the order of a tree's signatures.
+
+    For each text, from the longest common prefix to the region's own: the least id among the texts of that prefix that
+    looks similar (enough equal signature values, sizes that allow the least Jaccard). So a region of n texts gives less
+    than n pairs, each with its number of equal values and the length of its common prefix.
     """
+    least, step, levels = _least_equal(f), 256, f.deep - f.shallow
+
+    def pairs(ids, sizes, path, sig):
+        partner, near = np.full(len(ids), -1), np.zeros(len(ids), np.int64)
+        for level in range(levels, -1, -1):
+            group = path >> np.int64(8 * (levels - level))
+            order = np.lexsort((ids, group))
+            edge = np.flatnonzero(np.concatenate([[True], group[order][1:] != group[order][:-1], [True]]))
+            for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
+                own = order[s:e]
+                todo = np.flatnonzero(partner[own] < 0)
+                if len(own) < 2 or not len(todo):
+                    continue
+                for i in range(0, len(todo), step):
+                    at = todo[i : i + step]
+                    for j in range(0, int(at[-1]), step):
+                        at = at[partner[own[at]] < 0]
+                        cols = np.arange(j, min(j + step, len(own)))
+                        at = at[at > j]
+                        if not len(at):
+                            break
+                        same = _equal_values(sig, own[at], own[cols])
+                        ok = (same >= least) & _close_sizes(sizes, own[at], own[cols], f) & (at[:, None] > cols[None]) & (ids[own[at]][:, None] > ids[own[cols]][None])
+                        r = np.flatnonzero(ok.any(1))
+                        c = ok[r].argmax(1)
+                        partner[own[at[r]]] = own[cols[c]]
+                        near[own[at[r]]] = same[r, c].astype(np.int64) * 16 + f.shallow + level
+        r = np.flatnonzero(partner >= 0)
+        return ids[partner[r]], ids[r], near[r]
+
+    def run(batches):
+        for table in whole_groups(batches, ["region", "block"], 4000):
+            region, block, ids, sizes, path = (table.column(n).to_numpy() for n in ("region", "block", "id", "size", "path"))
+            sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(len(ids), -1).T
+            edge = np.flatnonzero(np.concatenate([[True], (region[1:] != region[:-1]) | (block[1:] != block[:-1]), [True]]))
+            found = [pairs(ids[s:e], sizes[s:e], path[s:e], np.ascontiguousarray(sig[:, s:e])) for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()) if e - s > 1]
+            if found:
+                x, y, near = (np.concatenate(c) for c in zip(*found))
+                yield pa.RecordBatch.from_arrays([pa.array(x), pa.array(y), pa.array(near.astype(np.int32))], schema=_PAIR)
+
+    return run
+
+
+def _bridges(f: Forest):
+    """Pairs of components (a, b) that have similar-looking texts in a region: a spanning forest per region."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
-    values, p, step = f.trees * f.deep, f.share / 100, 256
-    least = int(np.floor(values * p - 5 * np.sqrt(values * p * (1 - p))))
-
-    def similar(sig, sizes, rows, cols):
-        same = np.zeros((len(rows), len(cols)), np.uint8)
-        x, y = sig[rows], sig[cols]
-        for j in range(values):
-            same += x[:, j][:, None] == y[:, j][None]
-        small, large = np.minimum(sizes[rows][:, None], sizes[cols][None]), np.maximum(sizes[rows][:, None], sizes[cols][None])
-        return (same >= least) & (100 * small >= f.share * large) & (rows[:, None] > cols[None])
-
-    def pairs(ids, sizes, comps, sig):
-        n = len(ids)
-        order = np.lexsort((ids, comps)) if cross else np.argsort(ids, kind="stable")
-        ids, sizes, comps, sig = ids[order], sizes[order], comps[order], sig[order]
-        partner = np.full(n, -1)
+    least, step = _least_equal(f), 256
+
+    def pairs(sizes, comps, sig):
+        order = np.argsort(comps, kind="stable")
+        sizes, comps, sig = sizes[order], comps[order], np.ascontiguousarray(sig[:, order])
+        n = len(comps)
         for i in range(0, n, step):
+            rows = np.arange(i, min(i + step, n))
             for j in range(0, i + 1, step):
-                rows, cols = np.arange(i, min(i + step, n)), np.arange(j, min(j + step, n))
-                if cross:
-                    if comps[cols[0]] == comps[rows[-1]]:  # sorted by component: all the same between them
-                        continue
-                    r, c = np.nonzero(similar(sig, sizes, rows, cols) & (comps[rows][:, None] != comps[cols][None]))
-                    if len(r):  # one pair for each two components is enough to bring them together
-                        _, one = np.unique(np.stack([comps[rows[r]], comps[cols[c]]]), axis=1, return_index=True)
-                        yield ids[cols[c[one]]], ids[rows[r[one]]]
+                cols = np.arange(j, min(j + step, n))
+                if comps[cols[0]] == comps[rows[-1]]:  # sorted by component: all the same between them
                     continue
-                rows = rows[partner[rows] < 0]
-                if not len(rows):
-                    break
-                ok = similar(sig, sizes, rows, cols)
-                got = ok.any(1)
-                partner[rows[got]] = cols[ok[got].argmax(1)]
-        r = np.flatnonzero(partner >= 0)
-        if len(r):
-            yield ids[partner[r]], ids[r]
-
-    def regions(table: pa.Table):
-        key, block, ids, sizes, comps = (table.column(n).to_numpy() for n in ("key", "block", "id", "size", "comp"))
-        sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(len(ids), values)
-        edge = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (block[1:] != block[:-1]), [True]]))
-        found = [x for s, e in zip(edge[:-1], edge[1:]) if e - s > 1 for x in pairs(ids[s:e], sizes[s:e], comps[s:e], sig[s:e])]
-        if found:
-            a, b = (np.concatenate(x) for x in zip(*found))
-            if cross:
-                named = dict(zip(ids.tolist(), comps.tolist()))
-                a, b = _forest(a.tolist(), b.tolist(), named)
-            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], schema=schema)
+                r, c = np.nonzero((comps[rows][:, None] > comps[cols][None]) & _close_sizes(sizes, rows, cols, f))
+                if not len(r):
+                    continue
+                r, c = np.nonzero((_equal_values(sig, rows, cols) >= least) & (comps[rows][:, None] > comps[cols][None]) & _close_sizes(sizes, rows, cols, f))
+                if len(r):
+                    yield np.unique(np.stack([comps[cols[c]], comps[rows[r]]]), axis=1)
 
     def run(batches):
-        held = None
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            table = pa.Table.from_batches([batch])
-            if held is not None:
-                table = pa.concat_tables([held, table])
-            key, block = table.column("key").to_numpy(), table.column("block").to_numpy()
-            other = np.flatnonzero((key != key[-1]) | (block != block[-1]))
-            cut = int(other[-1]) + 1 if len(other) else 0  # the last region may go on in the next batch
-            if cut:
-                yield from regions(table.slice(0, cut))
-            held = table.slice(cut).combine_chunks()
-        if held is not None:
-            yield from regions(held)
+        for table in whole_groups(batches, ["region", "block"], 4000):
+            region, block, sizes, comps = (table.column(n).to_numpy() for n in ("region", "block", "size", "comp"))
+            sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(len(comps), -1).T
+            edge = np.flatnonzero(np.concatenate([[True], (region[1:] != region[:-1]) | (block[1:] != block[:-1]), [True]]))
+            found = [x for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()) if e - s > 1 and (comps[s:e] != comps[s]).any() for x in pairs(sizes[s:e], comps[s:e], sig[:, s:e])]
+            if found:
+                a, b = np.concatenate(found, 1).tolist()
+                a, b = _forest(a, b)
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], schema=schema)
 
     return run
 
 
-def _forest(a: list, b: list, label: dict) -> tuple[np.ndarray, np.ndarray]:
-    """The links that join what label and earlier links have not."""
+def _forest(a: list, b: list) -> tuple[np.ndarray, np.ndarray]:
+    """The links that join what earlier links have not."""
     parent: dict = {}
 
     def find(x):
@@ -203,7 +234,7 @@ def _forest(a: list, b: list, label: dict) -> tuple[np.ndarray, np.ndarray]:
 
     out = []
     for x, y in zip(a, b):
-        p, q = find(label[x]), find(label[y])
+        p, q = find(x), find(y)
         if p != q:
             parent[max(p, q)] = min(p, q)
             out.append((x, y))
@@ -211,29 +242,28 @@ def _forest(a: list, b: list, label: dict) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _family_links(f: Forest):
-    """Links that join components within families of texts that look similar, from rows sorted by family and block pair.
+    """Pairs of components that a link joins within families of texts that look similar, from rows sorted by family and
+    pair of blocks.
 
     Every pair of different components that looks similar is confirmed on the full sets unless its ends are joined by
     then, so no link between components is missed; what is returned is a forest.
     """
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
-    values, p, step = f.trees * f.deep, f.share / 100, 256
-    least = int(np.floor(values * p - 5 * np.sqrt(values * p * (1 - p))))
+    least, step = _least_equal(f), 256
 
     def run(batches):
-        for table in whole_groups(batches, ["family", "b1", "b2"], 2000):
-            family, b1, b2, block, ids, comps = (table.column(c).to_numpy() for c in ("family", "b1", "b2", "block", "id", "comp"))
+        for table in whole_groups(batches, ["family", "b1", "b2"], 1000):
+            family, b1, b2, block, comps = (table.column(c).to_numpy() for c in ("family", "b1", "b2", "block", "comp"))
             edge = np.flatnonzero(np.concatenate([[True], (family[1:] != family[:-1]) | (b1[1:] != b1[:-1]) | (b2[1:] != b2[:-1]), [True]]))
             for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
                 if e - s < 2 or (comps[s:e] == comps[s]).all():
                     continue
-                sets, sigs = [], []
+                sets = []
                 for _, _, data, offsets in string_slices(table.column("text").slice(s, e - s)):
                     flat, cut = shingle_sets(data, offsets, f.words)
-                    sets += [flat[cut[i] : cut[i + 1]] for i in range(len(offsets) - 1)]
-                    sigs.append(signatures(flat, cut, values).astype(np.uint8))
-                sig, size = np.concatenate(sigs), np.array([len(x) for x in sets])
-                own, comp, part = ids[s:e], comps[s:e], block[s:e]
+                    sets += [flat[cut[i] : cut[i + 1]].copy() for i in range(len(offsets) - 1)]
+                sig = np.ascontiguousarray(np.frombuffer(b"".join(table.column("sig").slice(s, e - s).to_pylist()), np.uint8).reshape(e - s, -1).T)
+                size, comp, part = np.array([len(x) for x in sets]), comps[s:e], block[s:e]
                 parent: dict = {}
 
                 def find(x):
@@ -249,11 +279,8 @@ def _family_links(f: Forest):
                         cols = order[j : j + step]
                         if comp[cols[0]] == comp[rows[-1]]:
                             continue
-                        same = np.zeros((len(rows), len(cols)), np.uint8)
-                        for k in range(values):
-                            same += sig[rows, k][:, None] == sig[cols, k][None]
-                        small, large = np.minimum(size[rows][:, None], size[cols][None]), np.maximum(size[rows][:, None], size[cols][None])
-                        ok = (same >= least) & (100 * small >= f.share * large) & (comp[rows][:, None] > comp[cols][None])
+                        same = _equal_values(sig, rows, cols)
+                        ok = (same >= least) & _close_sizes(size, rows, cols, f) & (comp[rows][:, None] > comp[cols][None])
                         if b1[s] != b2[s]:
                             ok &= part[rows][:, None] != part[cols][None]
                         r, c = np.nonzero(ok)
@@ -265,9 +292,9 @@ def _family_links(f: Forest):
                             both = np.intersect1d(sets[x], sets[y], assume_unique=True).size
                             if 100 * both >= f.share * (size[x] + size[y] - both):
                                 parent[max(px, py)] = min(px, py)
-                                out.append((own[x], own[y]))
+                                out.append((comp[y], comp[x]))
                 if out:
-                    yield pa.RecordBatch.from_arrays([pa.array([int(min(x)) for x in out]), pa.array([int(max(x)) for x in out])], schema=schema)
+                    yield pa.RecordBatch.from_arrays([pa.array([int(x) for x, _ in out]), pa.array([int(y) for _, y in out])], schema=schema)
 
     return run
 
@@ -299,61 +326,87 @@ def _verified(f: Forest):
 
 def _confirm(pairs: DataFrame, docs: DataFrame, f: Forest, keep: Durable) -> DataFrame:
     """The pairs (a, b) that are links. Each b's text goes to its a, and a's text goes there once (once per block of b's)."""
-    pairs = keep(pairs.distinct(), "pairs")
     blocks = pairs.groupBy("a").agg(F.ceil(F.count("*") / f.region).cast("int").alias("blocks"))
-    dealt = pairs.join(blocks, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("blocks")).cast("int").alias("block"))
-    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    members = maybe_in(plain, "doc_id", pairs, "b").join(dealt, F.col("doc_id") == F.col("b")).select("a", "block", "b", "text")
-    leaders = maybe_in(plain, "doc_id", pairs, "a").join(blocks, F.col("doc_id") == F.col("a")).select("a", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(None).cast("long").alias("b"), "text")
-    rows = members.union(leaders).repartition(partitions(docs.sparkSession), "a", "block").sortWithinPartitions("a", "block", F.col("b").asc_nulls_first())
+    members = pairs.join(blocks, "a").select(F.col("b").alias("id"), "a", "b", F.pmod(F.xxhash64("b"), F.col("blocks")).cast("int").alias("block"))
+    leaders = blocks.select(F.col("a").alias("id"), "a", F.lit(None).cast("long").alias("b"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"))
+    wanted = keep(members.unionByName(leaders), "wanted")
+    rows = maybe_in(_plain(docs), "doc_id", wanted, "id").join(wanted, F.col("doc_id") == F.col("id")).select("a", "block", "b", "text")
+    rows = rows.repartition(partitions(docs.sparkSession), "a", "block").sortWithinPartitions("a", "block", F.col("b").asc_nulls_first())
     return keep(rows.mapInArrow(_verified(f), "a long, b long"), "links")
 
 
+def _plain(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+
+
+def signature_orders(classes: DataFrame, f: Forest, keep: Durable) -> DataFrame:
+    """(region, blocks, id, size, path, sig): each class in the regions of its trees that it shares with others.
+
+    A region is a common prefix of `shallow` values, or where more than `region` texts share it, the shortest longer
+    prefix that fewer share. path: the values after `shallow`, by which a region's texts are sorted.
+    """
+    tail = f.deep - f.shallow
+    path = F.conv(F.hex(F.expr(f"substring(sig, tree * {f.deep} + {f.shallow + 1}, {tail})")), 16, 10).cast("long")
+    keyed = classes.select(F.posexplode("keys").alias("tree", "key"), F.col("rep").alias("id"), F.col("n_shingles").alias("size"), "sig")
+    shared = keep(keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"), "shared")
+    views = keep(maybe_in(keyed, "key", shared, "key", 22).join(shared, "key").withColumn("path", path if tail else F.lit(0).cast("long")).drop("tree"), "views")
+    calm = views.filter(F.col("n") <= f.region).select(F.col("key").alias("region"), F.lit(1).alias("blocks"), "id", "size", "path", "sig")
+    crowded = views.filter(F.col("n") > f.region)
+    deeper = crowded.select("key", "id", "path", F.explode(F.sequence(F.lit(0), F.lit(tail))).alias("d")).withColumn("region", F.xxhash64("key", "d", F.expr(f"shiftright(path, cast(8 * ({tail} - d) as int))")))
+    counts = deeper.groupBy("region").agg(F.count("*").alias("m"))
+    placed = deeper.join(counts, "region").filter((F.col("m") <= f.region) | (F.col("d") == tail)).groupBy("key", "id").agg(F.min(F.struct("d", "region", "m")).alias("x"))
+    placed = placed.select(F.col("key").alias("_k"), F.col("id").alias("_i"), "x.region", F.ceil(F.col("x.m") / f.region).cast("int").alias("blocks"))
+    cut = crowded.join(placed, (F.col("key") == F.col("_k")) & (F.col("id") == F.col("_i"))).select("region", "blocks", "id", "size", "path", "sig")
+    return keep(calm.union(cut), "orders")
+
+
 def near_duplicates(docs: DataFrame, f: Forest = Forest()) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every document.
 
-    Texts with equal shingle sets are one class. Classes that share a shallow prefix in one of the sorted orders form a
-    region; regions of more than `region` classes are dealt over blocks. Links are confirmed on whole texts, and after
-    the first components a cross pass confirms, within families of components that look similar, every similar-looking
-    pair that they leave apart, so no link is lost to the star shape of the first pass. Null, empty and wordless texts have an empty set and stay alone; rows with a
-    repeated doc_id count as one document in links and are all returned.
+    Texts with equal shingle sets (by two 64-bit digests of 64-bit shingle hashes) are one class. Each tree of the forest is
+    an order of the classes' signatures, cut at common prefixes whose length adapts to how many share them; of its
+    neighbours by longest common prefix in all trees, a class gets the one that looks most similar, and that pair is confirmed
+    on the full sets. Components so linked that still look similar to others in a region form families, in which every
+    similar-looking pair between components is confirmed, so no link is lost to the choice of neighbours. Null, empty and
+    wordless texts have an empty set and stay alone; rows with a repeated doc_id count as one document in links and are
+    all returned; of equal texts the least doc_id is kept.
     """
     keep = Durable(docs.sparkSession)
+    n = partitions(docs.sparkSession)
     coded = keep(coded_documents(docs, f), "coded")
     classes = coded.filter("n_shingles > 0").groupBy("h1", "h2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.min_by(F.struct("keys", "sig"), "doc_id").alias("x"))
     classes = keep(classes.select("h1", "h2", "n_shingles", "rep", "x.keys", "x.sig"), "classes")
-    keyed = classes.select(F.explode("keys").alias("key"), "rep")
-    shared = keep(keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"), "shared")
-    views = classes.select(F.explode("keys").alias("key"), F.col("rep").alias("id"), F.col("n_shingles").alias("size"), "sig")
-    views = keep(maybe_in(views, "key", shared, "key", 24).join(shared, "key").withColumn("blocks", F.ceil(F.col("n") / f.region).cast("int")).drop("n"), "views")
-    block = F.when(F.col("blocks") > 1, F.pmod(F.xxhash64("id", "key"), F.col("blocks"))).otherwise(0).cast("int")
-    n = partitions(docs.sparkSession)
-    order = ["key", "block", "id", "size", "comp", "sig"]
-    first = views.withColumn("block", block).withColumn("comp", F.col("id")).select(*order).repartition(n, "key", "block").sortWithinPartitions("key", "block")
-    links = _confirm(first.mapInArrow(_region_pairs(f, False), "a long, b long"), docs, f, keep)
+    orders = signature_orders(classes, f, keep)
+    keep.release("shared", "views")
+    block = F.when(F.col("blocks") > 1, F.pmod(F.xxhash64("id", "region"), F.col("blocks"))).otherwise(0).cast("int")
+    first = orders.select("region", block.alias("block"), "path", "id", "size", "sig").repartition(n, "region", "block").sortWithinPartitions("region", "block", "path", "id")
+    near = first.mapInArrow(_neighbours(f), "a long, b long, near int").groupBy("b").agg(F.max_by("a", F.struct("near", -F.col("a"))).alias("a"))
+    links = _confirm(keep(near.select("a", "b"), "near"), docs, f, keep)
     comps = keep(components(links, keep), "comps1")
-    named = views.join(comps, views["id"] == comps["node"], "left").withColumn("comp", F.coalesce("component", "id")).drop("node", "component")
+    named = orders.join(comps, orders["id"] == comps["node"], "left").withColumn("comp", F.coalesce("component", "id")).drop("node", "component")
     named = keep(named, "named")
-    apart = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo <> hi").select("key")
-    open_ = named.join(apart, "key", "left_semi").withColumn("own", block)
+    apart = named.groupBy("region").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo <> hi").select("region")
+    open_ = named.join(apart, "region", "left_semi").withColumn("own", block)
     # regions over several blocks: a text meets every block, each pair of blocks being one group
     open_ = open_.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("block", F.least("own", "with") * F.col("blocks") + F.greatest("own", "with"))
-    second = open_.select(*order).repartition(n, "key", "block").sortWithinPartitions("key", "block")
-    bridges = keep(second.mapInArrow(_region_pairs(f, True), "a long, b long").distinct(), "bridges")
-    # families: components that bridges bring together; their texts meet once, or once per block for large families
-    families = keep(components(links.union(bridges), keep), "families")
-    members = families.select(F.col("node").alias("id"), F.col("component").alias("family")).union(families.select(F.col("component").alias("id"), F.col("component").alias("family")).distinct())
-    touched = members.join(bridges.select(F.col("a").alias("id")).distinct(), "id", "left_semi").select("family").distinct()
-    members = keep(members.join(touched, "family", "left_semi"), "members")
-    size = members.groupBy("family").agg(F.ceil(F.count("*") / f.region).cast("int").alias("blocks"))
-    who = members.join(size, "family").join(comps, F.col("id") == F.col("node"), "left").select("id", "family", "blocks", F.coalesce("component", "id").alias("comp"))
-    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    texts = maybe_in(plain, "doc_id", members, "id").join(who, F.col("doc_id") == F.col("id")).dropDuplicates(["doc_id"])
-    dealt = texts.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("_w", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.withColumn("b1", F.least("block", "_w").cast("int")).withColumn("b2", F.greatest("block", "_w").cast("int")).select("family", "b1", "b2", "block", "id", "comp", "text")
-    more = keep(dealt.repartition(n, "family", "b1", "b2").sortWithinPartitions("family", "b1", "b2").mapInArrow(_family_links(f), "a long, b long"), "more")
-    keep.release("views", "named", "shared", "comps1")
-    final = keep(components(links.union(more), keep), "comps")
+    second = open_.select("region", "block", "size", "comp", "sig").repartition(n, "region", "block").sortWithinPartitions("region", "block")
+    bridges = keep(second.mapInArrow(_bridges(f), "a long, b long").distinct(), "bridges")
+    keep.release("orders", "named")
+    final = comps
+    if not bridges.isEmpty():
+        # families: components that bridges bring together; their texts meet once, or once per block for large families
+        family = keep(components(bridges, keep), "family")
+        whole = keep(family.select(F.col("node").alias("comp"), F.col("component").alias("family")).union(family.select(F.col("component").alias("comp"), F.col("component").alias("family")).distinct()), "families")
+        members = whole.join(comps, F.col("comp") == F.col("component")).select(F.col("node").alias("id"), "comp", "family").union(whole.select(F.col("comp").alias("id"), "comp", "family"))
+        size = members.groupBy("family").agg(F.ceil(F.count("*") / f.region).cast("int").alias("blocks"))
+        who = members.join(size, "family").join(classes.select(F.col("rep").alias("id"), "sig"), "id").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+        who = keep(who, "members")
+        texts = maybe_in(_plain(docs), "doc_id", who, "id").join(who, F.col("doc_id") == F.col("id")).dropDuplicates(["doc_id"])
+        dealt = texts.withColumn("_w", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        dealt = dealt.withColumn("b1", F.least("block", "_w").cast("int")).withColumn("b2", F.greatest("block", "_w").cast("int")).select("family", "b1", "b2", "block", "comp", "sig", "text")
+        joined = keep(dealt.repartition(n, "family", "b1", "b2").sortWithinPartitions("family", "b1", "b2").mapInArrow(_family_links(f), "a long, b long"), "joined")
+        top = keep(components(joined, keep), "top").select(F.col("node").alias("_n"), F.col("component").alias("_c"))
+        final = comps.join(top, F.col("component") == F.col("_n"), "left").select("node", F.coalesce("_c", "component").alias("component")).union(top.select("_n", "_c"))
     rep = classes.select("h1", "h2", "n_shingles", "rep").join(final, F.col("rep") == F.col("node"), "left").select("h1", "h2", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
     joined = coded.select("doc_id", "h1", "h2", "n_shingles").join(rep, ["h1", "h2", "n_shingles"], "left")
     return joined.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id")).withColumn("kept", F.col("doc_id") == F.col("component_id"))

@@ -9,20 +9,21 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from .common import BYTE_CODES, Durable, leftmost_minima, maybe_in, mix, partitions, prefix_hash, sliding_min, span_hash, spread_starts, string_slices, whole_groups, without, word_hashes, word_spans
+from .common import BYTE_CODES, Durable, leftmost_minima, maybe_in, mix, partitions, prefix_hash, sliding_argmin, span_hash, spread_starts, string_slices, whole_groups, without, word_hashes, word_spans
 
 U64 = np.uint64
 
 
 @dataclass(frozen=True)
 class Phrases:
-    """window: words that have to recur; phrase: words of the phrases by which windows are found; crowd: occurrences of a
-    phrase beyond which its windows are compared by aggregation instead of in one task."""
+    """window: words that have to recur; phrase: words of the phrases by which windows are found; crowd: located occurrences of
+    a phrase (repeats inside a document count) beyond which its windows are dealt by their own hash instead of by the phrase."""
 
     window: int = 20
     phrase: int = 6
-    crowd: int = 100_000
+    crowd: int = 4_096
 
 
 def phrase_keys(h: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -126,18 +127,9 @@ def _located(p: Phrases):
                     order = order.view(np.int64)
                     recurring = np.zeros(len(order), bool)
                     recurring[hits] = True
-                    at = leftmost_minima(order, w)
-                    # the windows of an anchor: those in which it is the leftmost least
-                    least = sliding_min(order, w)
-                    windows = np.arange(len(least))
-                    # leftmost place with the window's least value: the first anchor at or after the window's start that has it
-                    k = np.searchsorted(at, windows)
-                    owner = at[np.minimum(k, len(at) - 1)]
-                    wrong = order[owner] != least
-                    while wrong.any():
-                        k[wrong] += 1
-                        owner[wrong] = at[k[wrong]]
-                        wrong[wrong] = order[owner[wrong]] != least[wrong]
+                    # each window belongs to the phrase that is its leftmost least
+                    owner = sliding_argmin(order, w)
+                    windows = np.arange(len(owner))
                     keep = recurring[owner]
                     windows, owner = windows[keep], owner[keep]
                     if not len(windows):
@@ -152,6 +144,7 @@ def _located(p: Phrases):
                     out = []
             if out:
                 yield _rows(out)
+
     def _rows(out):
         return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out), _WINDOWS)], schema=_WINDOWS)
 
@@ -224,7 +217,6 @@ def later_windows(docs: DataFrame, p: Phrases, keep: Durable) -> tuple[DataFrame
     spelled = single.select("doc_id", F.explode(F.arrays_zip("hi", "lo")).alias("k")).select("doc_id", "k.hi", "k.lo")
     counted = spelled.groupBy("hi", "lo").agg(F.count("*").alias("n"))
     recurring = keep(counted.filter("n > 1"), "recurring")
-    hot = recurring.filter(F.col("n") > p.crowd)
     found = maybe_in(spelled.withColumn("_key", F.xxhash64("hi", "lo")), "_key", recurring.select(F.xxhash64("hi", "lo").alias("_key")), "_key", 24).drop("_key")
     shards = 4 * partitions(spark)
     own = keep(found.join(recurring.drop("n"), ["hi", "lo"]), "found")
@@ -237,17 +229,22 @@ def later_windows(docs: DataFrame, p: Phrases, keep: Durable) -> tuple[DataFrame
     texts = texts.select(shard.alias("shard"), "doc_id", F.lit(None).cast("long").alias("hi"), F.lit(None).cast("long").alias("lo"), "text")
     dealt = phrases.union(texts).repartition(shards, "shard").sortWithinPartitions("shard", F.col("doc_id").asc_nulls_first())
     windows = keep(dealt.mapInArrow(_located(p), "hi long, lo long, doc_id long, start int, hashes array<long>"), "windows")
-    calm = without(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot.select(F.xxhash64("hi", "lo").alias("_key")), "_key", 16).drop("_key")
+    counts = windows.groupBy("hi", "lo").agg(F.count("*").alias("n"))
+    hot = keep(counts.filter(F.col("n") > p.crowd).select("hi", "lo", F.xxhash64("hi", "lo").alias("_key")), "hot")
+    calm = without(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot, "_key", 16).drop("_key")
     n = partitions(spark)
     runs = calm.repartition(n, "hi", "lo").sortWithinPartitions("hi", "lo").mapInArrow(_later, "doc_id long, start int, count int")
-    crowded = windows.join(hot.select("hi", "lo"), ["hi", "lo"]).select("hi", "lo", "doc_id", "start", F.posexplode("hashes").alias("i", "h")).select("hi", "lo", "h", "doc_id", (F.col("start") + F.col("i")).alias("start"))
+    # hot phrases: one row per window, of which partial minima leave each task and find the earliest of equal ones
+    crowded = maybe_in(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot, "_key", 16).join(hot.select("hi", "lo"), ["hi", "lo"]).select("hi", "lo", "doc_id", "start", F.posexplode("hashes").alias("i", "h")).select("hi", "lo", "h", "doc_id", (F.col("start") + F.col("i")).alias("start"))
     earliest = crowded.groupBy("hi", "lo", "h").agg(F.min(F.struct("doc_id", "start")).alias("e"))
-    more = crowded.join(earliest, ["hi", "lo", "h"]).filter("struct(doc_id, start) <> e").select("doc_id", "start", F.lit(1).alias("count"))
+    later = crowded.join(earliest, ["hi", "lo", "h"]).filter("struct(doc_id, start) <> e")
+    of_doc = Window.partitionBy("doc_id").orderBy("start")
+    later = later.withColumn("_new", F.coalesce((F.col("start") > F.lag("start").over(of_doc) + 1).cast("int"), F.lit(1))).withColumn("_run", F.sum("_new").over(of_doc.rowsBetween(Window.unboundedPreceding, 0)))
+    more = later.groupBy("doc_id", "_run").agg(F.min("start").cast("int").alias("start"), (F.max("start") - F.min("start") + 1).cast("int").alias("count")).drop("_run")
     grouped = runs.union(more).groupBy("doc_id").agg(F.collect_list(F.struct("start", "count")).alias("runs"))
     return coded, copies, keep(grouped, "runs")
 
 
-
 def trimmed_texts(docs: DataFrame, p: Phrases, keep: Durable, with_text: bool) -> tuple[DataFrame, DataFrame, DataFrame]:
     coded, copies, runs = later_windows(docs, p, keep)
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -260,7 +257,7 @@ def repeated_words(docs: DataFrame, p: Phrases = Phrases()) -> DataFrame:
 
     Phrases of a few words, chosen from the content alone, recur wherever a window recurs. Recurring phrases are dealt
     with their documents to shards; an Aho-Corasick automaton per shard locates them; the windows at the located
-    phrases are compared within their phrase. A document whose words all equal an earlier document's is cut without
+    phrases are compared within their phrase, whose six words they share, by a 64-bit hash of all their words. A document whose words all equal an earlier document's is cut without
     that. Null, empty and short texts have no windows and lose nothing; rows that repeat a doc_id count as one document.
     """
     keep = Durable(docs.sparkSession)

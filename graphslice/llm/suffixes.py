@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from .common import BYTE_CODES, BYTE_CODES_2, Durable, leftmost_minima, maybe_in, mix, partitions, powers, prefix_hash, span_hash, string_slices, whole_groups, without
 
@@ -18,11 +19,11 @@ U64 = np.uint64
 @dataclass(frozen=True)
 class Suffixes:
     """window: bytes that have to recur; gram: bytes at an anchor by which windows meet; crowd: occurrences of an anchor
-    beyond which its windows are compared by aggregation instead of in one task."""
+    (repeats inside a document count) beyond which its windows are compared by aggregation instead of in one task."""
 
     window: int = 400
     gram: int = 200
-    crowd: int = 20_000
+    crowd: int = 8_000
 
     @property
     def reach(self) -> int:
@@ -249,26 +250,25 @@ def _plain_spans(edge, left, context, p: Suffixes):
 
 # --- the distributed part ---------------------------------------------------------------------------
 
-_CODED = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("sha256", pa.string()), ("keys", pa.list_(pa.int64()))])
+_CODED = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("sha256", pa.string()), ("keys", pa.list_(pa.int64())), ("times", pa.list_(pa.int64()))])
 
 
 def coded_documents(docs: DataFrame, p: Suffixes) -> DataFrame:
-    """doc_id, n_bytes, digest of the bytes and the keys of the document's anchors, each at most twice."""
+    """doc_id, n_bytes, digest of the bytes, the keys of the document's anchors and how often each is there."""
 
     def run(batches):
         for batch in batches:
             for a, b, data, offsets in string_slices(batch.column(1)):
-                sizes, digests, keys = np.diff(offsets), [], []
+                sizes, digests, keys, times = np.diff(offsets), [], [], []
                 for i in range(b - a):
                     part = data[offsets[i] : offsets[i + 1]]
                     digests.append(hashlib.sha256(part).hexdigest())
-                    k = np.sort(_anchors(part, p)[1])
-                    third = np.zeros(len(k), bool)
-                    third[2:] = k[2:] == k[:-2]
-                    keys.append(k[~third])
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(sizes), pa.array(digests), pa.array(keys, pa.list_(pa.int64()))], schema=_CODED)
+                    k, t = np.unique(_anchors(part, p)[1], return_counts=True)
+                    keys.append(k)
+                    times.append(t)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(sizes), pa.array(digests), pa.array(keys, pa.list_(pa.int64())), pa.array(times, pa.list_(pa.int64()))], schema=_CODED)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_bytes long, sha256 string, keys array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_bytes long, sha256 string, keys array<long>, times array<long>")
 
 
 _CONTEXT = pa.schema([("key", pa.int64()), ("doc_id", pa.int64()), ("begin", pa.int64()), ("left", pa.int32()), ("context", pa.binary())])
@@ -290,9 +290,9 @@ def _contexts(p: Suffixes):
                     begin = max(0, a - p.reach)
                     for c, x in zip(out, (k, doc_id, begin, a - begin, raw[begin : a + p.window])):
                         c.append(x)
-                if len(out[0]) > 5000:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, _CONTEXT)], schema=_CONTEXT)
-                    out = [[], [], [], [], []]
+                    if len(out[0]) >= 2000:
+                        yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, _CONTEXT)], schema=_CONTEXT)
+                        out = [[], [], [], [], []]
             if out[0]:
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, _CONTEXT)], schema=_CONTEXT)
 
@@ -304,7 +304,7 @@ _SPAN = pa.schema([("doc_id", pa.int64()), ("from", pa.int64()), ("to", pa.int64
 
 def _grouped_spans(p: Suffixes):
     def run(batches):
-        for table in whole_groups(batches, ["key"], 2500):
+        for table in whole_groups(batches, ["key"], 1500):
             key, doc, begin, left = (table.column(c).to_numpy() for c in ("key", "doc_id", "begin", "left"))
             # rows that repeat a doc_id are one place: that of the anchor, since contexts at the head of a text all begin at 0
             place = begin + left
@@ -320,19 +320,37 @@ def _grouped_spans(p: Suffixes):
     return run
 
 
-def _all_windows(p: Suffixes):
-    """Every window of a context, by two hashes: for anchors so common that one task should not hold their contexts."""
-    schema = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("h1", pa.int64()), ("h2", pa.int64())])
+def _hot_windows(p: Suffixes):
+    """Windows over the anchors that are too common for one task, by two hashes, each place of a document once. Windows that
+    recur inside the document are settled here: they leave as whole runs (n null), and one row with their number stands
+    for them among the documents. (doc_id, from, to, h1, h2, n)"""
+    schema = pa.schema([("doc_id", pa.int64()), ("from", pa.int64()), ("to", pa.int64()), ("h1", pa.int64()), ("h2", pa.int64()), ("n", pa.int64())])
 
     def run(batches):
         for batch in batches:
-            for doc_id, begin, c in zip(*(batch.column(n).to_pylist() for n in ("doc_id", "begin", "context"))):
-                data = np.frombuffer(c, np.uint8)
-                s = np.arange(max(0, len(data) - p.window + 1))
-                if not len(s):
+            ids, texts, wanted = batch.column("doc_id"), batch.column("text"), batch.column("hot")
+            for i in range(batch.num_rows):
+                data = np.frombuffer((texts[i].as_py() or "").encode(), np.uint8)
+                at, key = _anchors(data, p)
+                at = at[np.isin(key, np.asarray(wanted[i].values))]
+                depth = np.zeros(len(data) + 2, np.int32)  # windows that hold the gram of a wanted anchor
+                np.add.at(depth, np.maximum(at - p.reach, 0), 1)
+                np.add.at(depth, np.minimum(at + 1, len(data)), -1)
+                start = np.flatnonzero(np.cumsum(depth)[: max(0, len(data) - p.window + 1)] > 0)
+                if not len(start):
                     continue
-                h = [mix(span_hash(prefix_hash(codes[data]), s, s + p.window)).view(np.int64) for codes in (BYTE_CODES, BYTE_CODES_2)]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), doc_id)), pa.array(s + begin), pa.array(h[0]), pa.array(h[1])], schema=schema)
+                h1, h2 = (mix(span_hash(prefix_hash(codes[data]), start, start + p.window)).view(np.int64) for codes in (BYTE_CODES, BYTE_CODES_2))
+                order = np.lexsort((start, h2, h1))
+                first = np.flatnonzero(np.concatenate([[True], (h1[order][1:] != h1[order][:-1]) | (h2[order][1:] != h2[order][:-1])]))
+                count = np.diff(np.append(first, len(start)))
+                doc_id, again = ids[i].as_py(), np.sort(start[order[np.repeat(count, count) > 1]])
+                if len(again):
+                    edge = np.flatnonzero(np.concatenate([[True], again[1:] > again[:-1] + p.window, [True]]))
+                    lo, hi = again[edge[:-1]], again[edge[1:] - 1] + p.window
+                    none = pa.nulls(len(lo), pa.int64())
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(lo), doc_id)), pa.array(lo), pa.array(hi), none, none, none], schema=schema)
+                rows = order[first]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), doc_id)), pa.array(start[rows]), pa.array(start[rows] + p.window), pa.array(h1[rows]), pa.array(h2[rows]), pa.array(count)], schema=schema)
 
     return run
 
@@ -364,22 +382,25 @@ def _spans(docs: DataFrame, p: Suffixes, keep: Durable, with_text: bool) -> tupl
     copied = coded.filter(F.col("n_bytes") >= p.window).groupBy("sha256").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first <> last")
     copies = keep(coded.select("doc_id", "sha256").join(copied, "sha256").select("doc_id", (F.col("doc_id") != F.col("first")).alias("later")).distinct(), "copies")
     later = copies.filter("later").select("doc_id")
-    single = without(coded.select("doc_id", "keys"), "doc_id", later, "doc_id").select("doc_id", F.explode("keys").alias("key"))
-    recurring = keep(single.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"), "recurring")
-    wanted = maybe_in(single, "key", recurring, "key", 23).join(recurring.select("key"), "key").groupBy("doc_id").agg(F.collect_set("key").alias("wanted"))
+    single = without(coded.select("doc_id", "keys", "times"), "doc_id", later, "doc_id").select("doc_id", F.explode(F.arrays_zip("keys", "times")).alias("k")).select("doc_id", F.col("k.keys").alias("key"), F.col("k.times").alias("times"))
+    recurring = keep(single.groupBy("key").agg(F.sum("times").alias("n")).filter("n > 1"), "recurring")
+    wanted = maybe_in(single.drop("times"), "key", recurring, "key", 22).join(recurring, "key")
+    wanted = wanted.groupBy("doc_id").agg(F.collect_set(F.when(F.col("n") <= p.crowd, F.col("key"))).alias("wanted"), F.collect_set(F.when(F.col("n") > p.crowd, F.col("key"))).alias("hot"))
     wanted = keep(wanted, "wanted")
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    contexts = maybe_in(plain, "doc_id", wanted, "doc_id").join(wanted, "doc_id").mapInArrow(_contexts(p), "key long, doc_id long, begin long, left int, context binary")
-    hot = recurring.filter(F.col("n") > p.crowd).select("key")
-    if hot.isEmpty():
-        spans = contexts.repartition(n, "key").sortWithinPartitions("key").mapInArrow(_grouped_spans(p), "doc_id long, from long, to long")
-    else:
-        contexts = keep(contexts, "contexts")
-        spans = without(contexts, "key", hot, "key", 16).repartition(n, "key").sortWithinPartitions("key").mapInArrow(_grouped_spans(p), "doc_id long, from long, to long")
-        windows = keep(contexts.join(hot, "key").mapInArrow(_all_windows(p), "doc_id long, start long, h1 long, h2 long"), "hot")
-        windows = windows.distinct()
-        counted = windows.groupBy("h1", "h2").agg(F.count("*").alias("n")).filter("n > 1").select("h1", "h2")
-        spans = spans.union(windows.join(counted, ["h1", "h2"], "left_semi").select("doc_id", F.col("start").alias("from"), (F.col("start") + p.window).alias("to")))
+    texts = maybe_in(plain, "doc_id", wanted, "doc_id").join(wanted, "doc_id")
+    contexts = texts.filter("size(wanted) > 0").mapInArrow(_contexts(p), "key long, doc_id long, begin long, left int, context binary")
+    spans = contexts.repartition(n, "key").sortWithinPartitions("key").mapInArrow(_grouped_spans(p), "doc_id long, from long, to long")
+    if not recurring.filter(F.col("n") > p.crowd).isEmpty():
+        hot = wanted.filter("size(hot) > 0").drop("wanted")
+        found = keep(maybe_in(plain, "doc_id", hot, "doc_id").join(hot, "doc_id").mapInArrow(_hot_windows(p), "doc_id long, from long, to long, h1 long, h2 long, n long").distinct(), "hot")
+        rows = found.filter("n is not null")
+        shared = rows.groupBy("h1", "h2").agg(F.sum("n").alias("m")).filter("m > 1").select("h1", "h2")
+        shared = rows.join(shared, ["h1", "h2"], "left_semi")
+        # windows that follow each other become one span before they are gathered by document
+        of_doc = Window.partitionBy("doc_id").orderBy("from")
+        shared = shared.withColumn("_new", F.coalesce((F.col("from") > F.lag("to").over(of_doc)).cast("int"), F.lit(1))).withColumn("_run", F.sum("_new").over(of_doc.rowsBetween(Window.unboundedPreceding, 0)))
+        spans = spans.union(found.filter("n is null").select("doc_id", "from", "to")).union(shared.groupBy("doc_id", "_run").agg(F.min("from").alias("from"), F.max("to").alias("to")).select("doc_id", "from", "to"))
     spans = keep(spans, "spans").groupBy("doc_id").agg(F.collect_set(F.struct("from", "to")).alias("spans"))
     spans = keep(without(spans, "doc_id", copies, "doc_id"), "by_doc")
     cut = maybe_in(plain, "doc_id", spans, "doc_id").join(spans, "doc_id").mapInArrow(_cut(p, with_text), "doc_id long, n_removed long, n_spans long, kept string").dropDuplicates(["doc_id"])

@@ -115,14 +115,15 @@ def fit_nnpu(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: fl
     correction). Features are the words and stem levels whose document share is most enriched among the positives. Deterministic.
     """
     size = 1 << FEATURE_BITS
-    dp, du = np.zeros(size), np.zeros(size)
+    dp, du = np.zeros(size, np.int32), np.zeros(size, np.int32)
     for counts, rows in ((dp, positive), (du, unlabelled)):
         for r in rows:
             counts[r] += 1
     n_p, n_u = max(1, len(positive)), max(1, len(unlabelled))
-    a, b = (dp + 0.5) / (n_p + 1), (du + 0.5) / (n_u + 1)
-    able = np.flatnonzero((dp >= s.least_support) & (a > 3 * b))
-    dp, du = dp[able], du[able]
+    able = np.flatnonzero(dp >= s.least_support)
+    a, b = (dp[able] + 0.5) / (n_p + 1), (du[able] + 0.5) / (n_u + 1)
+    able = able[a > 3 * b]
+    dp, du = dp[able].astype(np.float64), du[able].astype(np.float64)
     # a feature counts if its share among the positives is far above that of plain text: likelihood ratio of one rate against two
     rate = (dp + du) / (n_p + n_u)
     with np.errstate(divide="ignore", invalid="ignore"):
@@ -130,21 +131,26 @@ def fit_nnpu(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: fl
         score = np.nan_to_num(2 * (term(dp, n_p, rate) + term(du, n_u, rate)))
     kept = np.flatnonzero(score > s.least_ratio)
     chosen = np.sort(able[kept[np.argsort(-score[kept], kind="stable")][: s.features]])
-    place = np.full(size, -1, np.int64)
+    place = np.full(size, -1, np.int32)
     place[chosen] = np.arange(len(chosen))
 
-    def matrix(rows):
-        x = np.zeros((len(rows), len(chosen)), np.float32)
-        for i, r in enumerate(rows):
-            p = place[r]
-            x[i, p[p >= 0]] = 1
-        return x
-
-    xp, xu = matrix(positive), matrix(unlabelled)
+    def entries(rows):
+        """The ones of the documents' feature matrix, as rows and columns."""
+        out = [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+        for i, x in enumerate(rows):
+            c = place[x]
+            c = c[c >= 0]
+            out.append((np.full(len(c), i), c))
+        return tuple(np.concatenate(x) for x in zip(*out))
+
+    (rp, cp_), (ru, cu_) = entries(positive), entries(unlabelled)
+    del place
+    of = lambda r, c, w, n: np.bincount(r, w[c], n)
+    back = lambda r, c, g, n: np.bincount(c, g[r], n)
     w, bias = np.zeros(len(chosen)), float(np.log(max(prior, 1e-4) / max(1 - prior, 1e-4)))
     m, v, t, losses = np.zeros(len(chosen) + 1), np.zeros(len(chosen) + 1), 0, []
     for _ in range(s.epochs if len(chosen) and len(positive) else 0):
-        fp, fu = xp @ w + bias, xu @ w + bias
+        fp, fu = of(rp, cp_, w, len(positive)) + bias, of(ru, cu_, w, len(unlabelled)) + bias
         gp_plus, gp_minus, gu_minus = -_sigmoid(-fp), _sigmoid(fp), _sigmoid(fu)
         plus = np.logaddexp(0, -fp).mean()
         corrected = np.logaddexp(0, fu).mean() - prior * np.logaddexp(0, fp).mean()
@@ -153,7 +159,7 @@ def fit_nnpu(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: fl
             cp, cu = (prior * gp_plus - prior * gp_minus) / n_p, gu_minus / n_u
         else:
             cp, cu = prior * gp_minus / n_p, -gu_minus / n_u
-        g = np.append(xp.T @ cp + xu.T @ cu + s.shrink * w * prior, cp.sum() + cu.sum())
+        g = np.append(back(rp, cp_, cp, len(w)) + back(ru, cu_, cu, len(w)) + s.shrink * w * prior, cp.sum() + cu.sum())
         t += 1
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         step = s.rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
@@ -184,7 +190,10 @@ def train(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Model
     each = [flat[cut[i] : cut[i + 1]] for i in range(len(roles))]
     # partitions end in any order: fix the rows' order so that reruns agree
     order = sorted(range(len(roles)), key=lambda i: (len(each[i]), each[i].tobytes(), roles[i]))
-    return fit_nnpu([each[i] for i in order if roles[i] & 1], [each[i] for i in order if roles[i] & 2], prior, s)
+    model = fit_nnpu([each[i] for i in order if roles[i] & 1], [each[i] for i in order if roles[i] & 2], prior, s)
+    del got, lists, flat, each
+    pa.default_memory_pool().release_unused()  # the sample's memory goes back before the scoring pass
+    return model
 
 
 def score_documents(docs: DataFrame, model: Model, s: Settings = Settings(), carry: str = "doc_id") -> DataFrame:

@@ -420,7 +420,35 @@ def test_components(spark):
     assert all(got.get(x, x) == want[x] for x in linked)
 
 
-def test_components_out_of_rounds(spark):
-    links = spark.range(200).selectExpr("id as a", "id + 1 as b").repartition(4)
-    with pytest.raises(ValueError):
-        common.components(links, common.Durable(spark), most_rounds=1)
+def test_components_of_a_long_path(spark):
+    links = spark.range(3000).selectExpr("id as a", "id + 1 as b").repartition(7)
+    got = common.components(links, common.Durable(spark))
+    assert got.count() == 3000 and got.filter("component <> 0").isEmpty()
+
+
+def test_leftmost_minima():
+    rng = np.random.default_rng(0)
+    for _ in range(300):
+        n, w = int(rng.integers(1, 60)), int(rng.integers(1, 20))
+        x = rng.integers(0, rng.integers(1, 9), n)
+        assert common.sliding_argmin(x, w).tolist() == [i + int(np.argmin(x[i : i + w])) for i in range(n - w + 1)]
+
+
+def test_forest_depth_adapts_to_crowded_regions(spark):
+    """Texts with a common first half are crowded at the shallow prefix; copies that differ by a word are found all the same."""
+    rng = random.Random(2)
+    common_words = [f"c{i}" for i in range(120)]
+    texts = []
+    for i in range(60):
+        own = [f"o{i}_{j}" for j in range(40)]
+        texts += [" ".join(common_words + own), " ".join(common_words + own[:-1] + [f"z{i}"])]
+    rng.shuffle(texts)
+    d = docs_of(spark, texts)
+    f = minhash.Forest(words=2, region=8)
+    keep = common.Durable(spark)
+    classes = minhash.coded_documents(d, f).select("keys", "sig", "n_shingles", F.col("doc_id").alias("rep"))
+    orders = minhash.signature_orders(classes, f, keep)
+    sizes = [r["count"] for r in orders.filter("blocks = 1").groupBy("region").count().collect()]
+    assert max(sizes) <= 8 and orders.select("region").distinct().count() > 20
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"], r["kept"]) for r in minhash.near_duplicates(d, f).collect()}
+    assert got == near_groups(list(enumerate(texts)), 2, 80)
