@@ -105,23 +105,28 @@ def cells(x: np.ndarray, projection: np.ndarray, l: Lattice) -> tuple[np.ndarray
     return _codes(home), _codes(home[:, None, :] + STEPS[best])
 
 
-_ENTRY = pa.schema([("label", pa.int64()), ("tab", pa.int32()), ("cell", pa.int64()), ("home", pa.bool_()), ("id", pa.int64()), ("n", pa.int64()), ("vector", pa.binary())])
+_ENTRY = pa.schema([("dim", pa.int32()), ("label", pa.int64()), ("tab", pa.int32()), ("cell", pa.int64()), ("home", pa.bool_()), ("id", pa.int64()), ("n", pa.int64()), ("vector", pa.binary())])
 
 
-def _entries(dim: int, l: Lattice):
+def _entries(l: Lattice):
     def run(batches):
-        tables = projections(dim, l)
+        tables: dict[int, np.ndarray] = {}
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
-                part = batch.slice(at, 1000)
-                raw = part.column("vector").to_pylist()
-                x = unit_rows(np.frombuffer(b"".join(raw), np.float32).reshape(len(raw), dim))
-                for t in range(l.tables):
-                    own, near = cells(x, tables[t], l)
-                    for cell, home in ((own[:, None], True), (near, False)):
-                        row = np.repeat(np.arange(len(raw)), cell.shape[1])
-                        take = part.take(pa.array(row))
-                        yield pa.RecordBatch.from_arrays([take.column("label"), pa.array(np.full(len(row), t, np.int32)), pa.array(cell.ravel()), pa.array(np.full(len(row), home)), take.column("id"), take.column("n"), take.column("vector")], schema=_ENTRY)
+                piece = batch.slice(at, 1000)
+                dims = piece.column("dim").to_numpy()
+                for dim in np.unique(dims).tolist():
+                    part = piece.filter(pa.array(dims == dim))
+                    if dim not in tables:
+                        tables = {dim: projections(dim, l)}
+                    raw = part.column("vector").to_pylist()
+                    x = unit_rows(np.frombuffer(b"".join(raw), np.float32).reshape(len(raw), dim))
+                    for t in range(l.tables):
+                        own, near = cells(x, tables[dim][t], l)
+                        for cell, home in ((own[:, None], True), (near, False)):
+                            row = np.repeat(np.arange(len(raw)), cell.shape[1])
+                            take = part.take(pa.array(row))
+                            yield pa.RecordBatch.from_arrays([take.column("dim"), take.column("label"), pa.array(np.full(len(row), t, np.int32)), pa.array(cell.ravel()), pa.array(np.full(len(row), home)), take.column("id"), take.column("n"), take.column("vector")], schema=_ENTRY)
 
     return run
 
@@ -137,7 +142,7 @@ def exact_cosine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return dot / (np.sqrt(na) * np.sqrt(nb))
 
 
-def _links(dim: int, l: Lattice):
+def _links(l: Lattice):
     """Links of whole cells: (id, links counted, a smaller partner or itself), per cell; every pair counts in one place only.
 
     A pair is found where one vector's home cell is the other's home or probe. It counts in the first table and, there,
@@ -163,8 +168,11 @@ def _links(dim: int, l: Lattice):
         return table, cell
 
     def run(batches):
-        tables = projections(dim, l)
-        for table in whole_groups(batches, ["label", "tab", "cell", "b1", "b2"], 20_000):
+        dim, tables = 0, None
+        for table in (part for whole in whole_groups(batches, ["dim", "label", "tab", "cell", "b1", "b2"], 20_000) for part in _by_dim(whole)):
+            if table.column("dim")[0].as_py() != dim:
+                dim = table.column("dim")[0].as_py()
+                tables = projections(dim, l)
             label, tab, cell, b1, b2, ids, n, block = (table.column(c).to_numpy() for c in ("label", "tab", "cell", "b1", "b2", "id", "n", "block"))
             home = table.column("home").to_numpy()
             raw = np.frombuffer(b"".join(table.column("vector").to_pylist()), np.float32).reshape(len(ids), dim)
@@ -216,6 +224,14 @@ def _links(dim: int, l: Lattice):
     return run
 
 
+def _by_dim(table: pa.Table):
+    """Parts of a table sorted by dim, one for each."""
+    dims = table.column("dim").to_numpy()
+    edge = np.flatnonzero(np.concatenate([[True], dims[1:] != dims[:-1], [True]]))
+    for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
+        yield table.slice(s, e - s).combine_chunks()
+
+
 def _forest(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Links that join what earlier ones have not: at most one less than the vectors."""
     parent: dict[int, int] = {}
@@ -261,20 +277,14 @@ def near_vectors(vectors: DataFrame, l: Lattice = Lattice()) -> DataFrame:
     plain = keep(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), F.col("embedding").cast("array<float>").alias("v")).mapInArrow(clean, "vec_id long, label long, dim int, vector binary"), "plain")
     usable = plain.filter("label is not null and vector is not null")
     classes = keep(usable.groupBy("label", "dim", "vector").agg(F.min("vec_id").alias("id"), F.count("*").alias("n")), "classes")
-    links = None
-    for (dim,) in classes.select("dim").distinct().limit(1000).collect():
-        own = classes.filter(F.col("dim") == dim)
-        entries = own.select("label", "id", "n", "vector").mapInArrow(_entries(dim, l), "label long, tab int, cell long, home boolean, id long, n long, vector binary")
-        at = ["label", "tab", "cell"]
-        hot = keep(entries.groupBy(*at).agg(F.count("*").alias("m")).filter(F.col("m") > l.cell).select(*at, F.ceil(F.col("m") / l.cell).cast("int").alias("blocks")), f"hot{dim}")
-        side = F.broadcast(hot) if hot.count() <= 100_000 else hot
-        dealt = entries.join(side, at, "left").withColumn("blocks", F.coalesce("blocks", F.lit(1))).withColumn("block", F.pmod(F.xxhash64("id", "tab"), F.col("blocks")).cast("int"))
-        dealt = dealt.withColumn("_w", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("b1", F.least("block", "_w").cast("int")).withColumn("b2", F.greatest("block", "_w").cast("int"))
-        order = [*at, "b1", "b2"]
-        got = dealt.select(*order, "home", "id", "n", "vector", "block").repartition(n, *order).sortWithinPartitions(*order).mapInArrow(_links(dim, l), "id long, links long, partner long")
-        links = got if links is None else links.union(got)
-    if links is None:
-        links = spark.createDataFrame([], "id long, links long, partner long")
+    entries = classes.select("dim", "label", "id", "n", "vector").mapInArrow(_entries(l), "dim int, label long, tab int, cell long, home boolean, id long, n long, vector binary")
+    at = ["dim", "label", "tab", "cell"]
+    hot = keep(entries.groupBy(*at).agg(F.count("*").alias("m")).filter(F.col("m") > l.cell).select(*at, F.ceil(F.col("m") / l.cell).cast("int").alias("blocks")), "hot")
+    side = F.broadcast(hot) if hot.count() <= 100_000 else hot
+    dealt = entries.join(side, at, "left").withColumn("blocks", F.coalesce("blocks", F.lit(1))).withColumn("block", F.pmod(F.xxhash64("id", "tab"), F.col("blocks")).cast("int"))
+    dealt = dealt.withColumn("_w", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("b1", F.least("block", "_w").cast("int")).withColumn("b2", F.greatest("block", "_w").cast("int"))
+    order = [*at, "b1", "b2"]
+    links = dealt.select(*order, "home", "id", "n", "vector", "block").repartition(n, *order).sortWithinPartitions(*order).mapInArrow(_links(l), "id long, links long, partner long")
     links = keep(links, "links")
     counts = links.groupBy("id").agg(F.sum("links").alias("links"))
     comps = components(links.select(F.col("id").alias("a"), F.col("partner").alias("b")), keep)

@@ -7,7 +7,7 @@ from .common import table
 
 
 def op1_surrogates(spark, sf_dir):
-    return surrogates.replace_entities(table(spark, sf_dir, "documents")).select("doc_id", "text", "n_entities")
+    return surrogates.replace_entities(table(spark, sf_dir, "documents"), surrogates.session_key(spark)).select("doc_id", "text", "n_entities")
 
 
 def op2_lattice_hashing(spark, sf_dir):

@@ -180,7 +180,13 @@ def clashes(entities: DataFrame, key: str, keep: Durable, most_rounds: int = 12)
     raise ValueError(f"replacements still clash after {most_rounds} rounds")
 
 
-def replace_entities(docs: DataFrame, key: str = "replace-this-key") -> DataFrame:
+def session_key(spark) -> str:
+    """The session's secret, spark.graphslice.surrogates.key. Without one, a fixed key that is public: good for tests and for
+    comparing runs, not for releasing texts."""
+    return spark.conf.get("spark.graphslice.surrogates.key", "public test key")
+
+
+def replace_entities(docs: DataFrame, key: str) -> DataFrame:
     """The documents with every detected entity replaced in `text`, and `n_entities` (0 for null and empty texts).
 
     Replacement is a keyed function of the entity, so it is the same in all documents and texts are not joined with a
@@ -212,7 +218,7 @@ def replace_entities(docs: DataFrame, key: str = "replace-this-key") -> DataFram
     return plain.unionByName(retried)
 
 
-def redacted(docs: DataFrame, key: str = "replace-this-key") -> DataFrame:
+def redacted(docs: DataFrame, key: str) -> DataFrame:
     """Columns of the documents, with replaced text and, where it was set, its length in n_chars."""
     out = replace_entities(docs, key)
     if "n_chars" in docs.columns:

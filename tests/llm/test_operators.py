@@ -307,7 +307,7 @@ def test_surrogates(spark):
     found = ["x@b.org", "X@B.ORG", "Zoé.Lu.34@mail7.example.com", "+1 (017) 555-7713", "4111111111111111", "4111 1111 1111 1112", "169.122.221.182", "04dbebab91ab85687d33eeaaf9ac699e1188f962", "123-45-6789", "Mr. John Smith", "Mrs Smith", "Г-н Иван Петров"]
     texts = [f"So {e}, and {e}." for e in found] + [None, "", "version 12.5 of 3 things", "plain " * 5000] + [found[0] + " " + found[6]]
     d = docs_of(spark, texts)
-    got = {r["doc_id"]: r for r in surrogates.replace_entities(d).collect()}
+    got = {r["doc_id"]: r for r in surrogates.replace_entities(d, "k").collect()}
     images = {}
     for i, e in enumerate(found):
         text = got[i]["text"]
@@ -324,7 +324,7 @@ def test_surrogates(spark):
     for i in range(len(found), len(texts) - 1):
         assert got[i]["text"] == texts[i] and got[i]["n_entities"] == 0
     assert got[len(texts) - 1]["text"] == f"{images[found[0]]} {images[found[6]]}"
-    assert surrogates.redacted(d).columns == d.columns
+    assert surrogates.redacted(d, "k").columns == d.columns
 
 
 def surrogates_kind(spark, e):
@@ -335,7 +335,7 @@ def test_surrogates_are_distinct_and_clashes_are_solved(spark):
     names = [f"{t} {g} Smith" for t in ("Mr",) for g in ("Ab", "Bob", "Cid", "Dan", "Ed", "Flo", "Gus", "Hal", "Ike", "Jim", "Kip", "Len", "Max", "Ned")]
     phones = [f"+1 (555) 555-{i:04d}" for i in range(200)]
     d = docs_of(spark, [f"call {x} now" for x in names + phones])
-    out = [r["text"] for r in surrogates.replace_entities(d).orderBy("doc_id").collect()]
+    out = [r["text"] for r in surrogates.replace_entities(d, "k").orderBy("doc_id").collect()]
     assert len(set(out)) == len(out) and not set(out) & {f"call {x} now" for x in names + phones}
 
 
@@ -343,7 +343,7 @@ def test_surrogates_of_many_given_names(spark):
     rng = random.Random(4)
     given = sorted({"".join(rng.choice("abcdeghiklmnorst") for _ in range(rng.randrange(3, 8))).capitalize() for _ in range(40)})
     names = [f"{t} {g} Smith" for t in ("Mr", "Mrs") for g in given]
-    out = {r["doc_id"]: r["text"] for r in surrogates.replace_entities(docs_of(spark, names)).collect()}
+    out = {r["doc_id"]: r["text"] for r in surrogates.replace_entities(docs_of(spark, names), "k").collect()}
     made = [out[i] for i in range(len(names))]
     assert len(set(made)) == len(names) and not set(made) & set(names) and len({x.split()[2] for x in made}) == 1
     assert all(x.split()[1].startswith(tuple(surrogates.GIVEN["f" if x.startswith("Mrs") else "m", "latin"])) for x in made)
@@ -393,7 +393,7 @@ def test_toxic_stems_with_rare_endings(spark):
 def test_empty_tables(spark):
     d = spark.createDataFrame([], SCHEMA)
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
-    for out in (media.text_media_digest(d), packing.pack_documents(d), mixing.mix_sources(d), suffixes.repeated_bytes(d), phrases.repeated_words(d), minhash.near_duplicates(d), surrogates.replace_entities(d), toxicity.toxic_scores(d, labels), lattice.near_vectors(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")), urls.filter_urls(spark.createDataFrame([], "page_id long, url string"), urls.PAGE_RULES)):
+    for out in (media.text_media_digest(d), packing.pack_documents(d), mixing.mix_sources(d), suffixes.repeated_bytes(d), phrases.repeated_words(d), minhash.near_duplicates(d), surrogates.replace_entities(d, "k"), toxicity.toxic_scores(d, labels), lattice.near_vectors(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")), urls.filter_urls(spark.createDataFrame([], "page_id long, url string"), urls.PAGE_RULES)):
         assert out.collect() == []
 
 
