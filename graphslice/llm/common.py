@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -67,6 +68,14 @@ class Durable:
                 _drop(self.spark, self.paths.pop(name))
 
 
+def settle(spark: SparkSession) -> None:
+    """Give back what finished steps hold on the driver. Spark's cleaner drops shuffles and broadcasts only when the driver's
+    garbage collector finds their handles unused, which Spark itself forces every half hour."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    spark._jvm.System.gc()
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
 

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BYTE_CODES, LOWER, Durable, components, maybe_in, mix, partitions, string_slices, whole_groups, word_hashes, word_spans
+from .common import BYTE_CODES, LOWER, Durable, components, maybe_in, mix, partitions, settle, string_slices, whole_groups, word_hashes, word_spans
 
 U64 = np.uint64
 
@@ -378,6 +378,7 @@ def near_duplicates(docs: DataFrame, f: Forest = Forest()) -> DataFrame:
     classes = keep(classes.select("h1", "h2", "n_shingles", "rep", "x.keys", "x.sig"), "classes")
     orders = signature_orders(classes, f, keep)
     keep.release("shared", "views")
+    settle(docs.sparkSession)
     block = F.when(F.col("blocks") > 1, F.pmod(F.xxhash64("id", "region"), F.col("blocks"))).otherwise(0).cast("int")
     first = orders.select("region", block.alias("block"), "path", "id", "size", "sig").repartition(n, "region", "block").sortWithinPartitions("region", "block", "path", "id")
     near = first.mapInArrow(_neighbours(f), "a long, b long, near int").groupBy("b").agg(F.max_by("a", F.struct("near", -F.col("a"))).alias("a"))
@@ -391,7 +392,8 @@ def near_duplicates(docs: DataFrame, f: Forest = Forest()) -> DataFrame:
     open_ = open_.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("block", F.least("own", "with") * F.col("blocks") + F.greatest("own", "with"))
     second = open_.select("region", "block", "size", "comp", "sig").repartition(n, "region", "block").sortWithinPartitions("region", "block")
     bridges = keep(second.mapInArrow(_bridges(f), "a long, b long").distinct(), "bridges")
-    keep.release("orders", "named")
+    keep.release("orders", "named", "near", "wanted")
+    settle(docs.sparkSession)
     final = comps
     if not bridges.isEmpty():
         # families: components that bridges bring together; their texts meet once, or once per block for large families

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Durable, maybe_in, without
+from .common import Durable, maybe_in, settle, without
 
 OCTET = r"(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
 MALE, FEMALE, NEUTRAL = r"Mr|Herr|Sr|Señor|Monsieur|Г-н", r"Mrs|Ms|Miss|Frau|Sra|Señora|Mme|Madame|Г-жа", r"Dr|Prof"
@@ -200,6 +200,7 @@ def replace_entities(docs: DataFrame, key: str) -> DataFrame:
     found = docs.select(F.explode(_matches(F.col("text"))).alias("entity")).select("entity", F.lower("entity").alias("norm"))
     entities = keep(found.groupBy("norm").agg(F.min("entity").alias("entity")), "entities")
     again = clashes(entities, key, keep)
+    settle(spark)
 
     def swapped(df: DataFrame, attempt) -> DataFrame:
         text = F.col("text")

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BYTE_CODES, LOWER, mix, string_slices, word_hashes, word_spans
+from .common import BYTE_CODES, LOWER, mix, settle, string_slices, word_hashes, word_spans
 
 FEATURE_BITS = 22
 #: Stems are the first so many characters of a word; a stem counts by the number of distinct words with it that a text has.
@@ -192,7 +192,7 @@ def train(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Model
     order = sorted(range(len(roles)), key=lambda i: (len(each[i]), each[i].tobytes(), roles[i]))
     model = fit_nnpu([each[i] for i in order if roles[i] & 1], [each[i] for i in order if roles[i] & 2], prior, s)
     del got, lists, flat, each
-    pa.default_memory_pool().release_unused()  # the sample's memory goes back before the scoring pass
+    settle(docs.sparkSession)  # the sample's memory goes back before the scoring pass
     return model
 
 
