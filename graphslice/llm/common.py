@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import gc
 import tempfile
 import uuid
@@ -73,6 +74,8 @@ def settle(spark: SparkSession) -> None:
     garbage collector finds their handles unused, which Spark itself forces every half hour."""
     gc.collect()
     pa.default_memory_pool().release_unused()
+    if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
+        libc.malloc_trim(0)
     spark._jvm.System.gc()
 
 
