@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from graphslice.llm import minhash, mixing, packing, surrogates, toxicity
-from graphslice.llm.common import Durable, table
+from graphslice.llm.common import Durable, settle, table
 
 
 def civil(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -25,6 +25,7 @@ def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     The least doc_id of a group stays, with all its rows where a doc_id repeats; null, empty and wordless texts have no
     group and all stay."""
+    settle(spark)
     return minhash.keep_representatives(docs, minhash.Forest())
 
 
@@ -32,6 +33,7 @@ def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Entities replaced in the texts; null, empty and entity-free texts, and all other columns but n_chars, stay as they are.
 
     The key is the session's (`surrogates.session_key`)."""
+    settle(spark)
     return surrogates.redacted(docs, surrogates.session_key(spark))
 
 
@@ -39,12 +41,14 @@ def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix of their sources takes them; texts without words have no size and are not taken.
 
     Which documents go on is decided by a digest of doc_id, ties by doc_id, so reruns agree; a null source is one source."""
+    settle(spark)
     return mixing.mixed_documents(docs)
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of the documents in sequences of at most 1024 tokens; a null or empty text is one end token, and each copy of a
     repeated row is packed."""
+    settle(spark)
     return packing.pack_documents(docs)
 
 
