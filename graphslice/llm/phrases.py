@@ -19,7 +19,7 @@ U64 = np.uint64
 @dataclass(frozen=True)
 class Phrases:
     """window: words that have to recur; phrase: words of the phrases by which windows are found; crowd: located occurrences of
-    a phrase (repeats inside a document count) beyond which its windows are dealt by their own hash instead of by the phrase."""
+    a phrase (after those that repeat inside a document) beyond which its windows are dealt by their own hash instead of by the phrase."""
 
     window: int = 20
     phrase: int = 6
@@ -82,12 +82,13 @@ def coded_documents(docs: DataFrame, p: Phrases) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_words long, kept_sha256 string, hi array<long>, lo array<long>")
 
 
-_WINDOWS = pa.schema([("hi", pa.int64()), ("lo", pa.int64()), ("doc_id", pa.int64()), ("start", pa.int32()), ("hashes", pa.list_(pa.int64()))])
+_WINDOWS = pa.schema([("hi", pa.int64()), ("lo", pa.int64()), ("doc_id", pa.int64()), ("start", pa.int32()), ("hashes", pa.list_(pa.int64())), ("count", pa.int32())])
 
 
 def _located(p: Phrases):
     """Shards come as their recurring phrases, then their documents. Each shard's automaton runs over its documents; the
-    phrases it locates that are the leftmost least of some window give a row with the hashes of those windows."""
+    phrases it locates that are the leftmost least of some window give a row with the hashes of those windows. Windows that
+    recur inside a document are settled here and leave as runs (hi null) with their number."""
     import ahocorasick
 
     def run(batches):
@@ -136,9 +137,17 @@ def _located(p: Phrases):
                         continue
                     prefix = prefix_hash(h)
                     digest = mix(span_hash(prefix, windows, windows + p.window)).view(np.int64)
+                    # what recurs inside the document is later than its first place there, whatever other documents hold
+                    fresh = np.zeros(len(digest), bool)
+                    fresh[np.unique(digest, return_index=True)[1]] = True
+                    again = windows[~fresh]
+                    edge = np.flatnonzero(np.concatenate([[True], again[1:] != again[:-1] + 1, [True]])) if len(again) else np.zeros(1, np.int64)
+                    for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
+                        out.append((None, None, docs[i], again[s], [], e - s))
+                    windows, owner, digest = windows[fresh], owner[fresh], digest[fresh]
                     edge = np.flatnonzero(np.concatenate([[True], (owner[1:] != owner[:-1]) | (windows[1:] != windows[:-1] + 1), [True]]))
                     for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
-                        out.append((hi[owner[s]], lo[owner[s]], docs[i], windows[s], digest[s:e]))
+                        out.append((hi[owner[s]], lo[owner[s]], docs[i], windows[s], digest[s:e], None))
                 if len(out) > 20_000:
                     yield _rows(out)
                     out = []
@@ -228,7 +237,8 @@ def later_windows(docs: DataFrame, p: Phrases, keep: Durable) -> tuple[DataFrame
     texts = without(texts, "doc_id", copies, "doc_id")
     texts = texts.select(shard.alias("shard"), "doc_id", F.lit(None).cast("long").alias("hi"), F.lit(None).cast("long").alias("lo"), "text")
     dealt = phrases.union(texts).repartition(shards, "shard").sortWithinPartitions("shard", F.col("doc_id").asc_nulls_first())
-    windows = keep(dealt.mapInArrow(_located(p), "hi long, lo long, doc_id long, start int, hashes array<long>"), "windows")
+    located = keep(dealt.mapInArrow(_located(p), "hi long, lo long, doc_id long, start int, hashes array<long>, count int"), "windows")
+    windows = located.filter("hi is not null").drop("count")
     counts = windows.groupBy("hi", "lo").agg(F.count("*").alias("n"))
     hot = keep(counts.filter(F.col("n") > p.crowd).select("hi", "lo", F.xxhash64("hi", "lo").alias("_key")), "hot")
     calm = without(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot, "_key", 16).drop("_key")
@@ -241,7 +251,7 @@ def later_windows(docs: DataFrame, p: Phrases, keep: Durable) -> tuple[DataFrame
     of_doc = Window.partitionBy("doc_id").orderBy("start")
     later = later.withColumn("_new", F.coalesce((F.col("start") > F.lag("start").over(of_doc) + 1).cast("int"), F.lit(1))).withColumn("_run", F.sum("_new").over(of_doc.rowsBetween(Window.unboundedPreceding, 0)))
     more = later.groupBy("doc_id", "_run").agg(F.min("start").cast("int").alias("start"), (F.max("start") - F.min("start") + 1).cast("int").alias("count")).drop("_run")
-    grouped = runs.union(more).groupBy("doc_id").agg(F.collect_list(F.struct("start", "count")).alias("runs"))
+    grouped = runs.union(more).union(located.filter("hi is null").select("doc_id", "start", "count")).groupBy("doc_id").agg(F.collect_list(F.struct("start", "count")).alias("runs"))
     return coded, copies, keep(grouped, "runs")
 
 
