@@ -7,6 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.hashes import hashed
 from .durable import partitions, written
 
 
@@ -118,7 +119,7 @@ def reorder(g: Graph, by: str = "default", seed: int = 1) -> Graph:
         return g
     ids = g.ids()
     if by == "random":
-        keyed = ids.withColumn("k", F.xxhash64("id", F.lit(seed)))
+        keyed = ids.withColumn("k", hashed(F.col("id"), seed))
     elif by == "degree":
         keyed = ids.join(degrees(g.edges), "id", "left").select("id", (-F.coalesce("degree", F.lit(0))).alias("k"))
     elif by == "bfs":

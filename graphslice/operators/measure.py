@@ -105,5 +105,12 @@ def win_rate(m: DataFrame, a: str, b: str) -> DataFrame:
     return _against(m, a, b).groupBy("metric").agg(F.round(F.avg((F.col("value") < F.col("other")).cast("double")), 6).alias("wins"), F.round(F.avg((F.col("value") == F.col("other")).cast("double")), 6).alias("ties"))
 
 
-def feasible(m: DataFrame, budget: float) -> DataFrame:
-    return m.select("algo", "graph", "k", (F.col("value") <= budget).alias("feasible"))
+def feasible(m: DataFrame, budget_bits: float) -> DataFrame:
+    """(algo, graph, k, feasible): whether the structure that holds a placement (metric 'bits') stays within a memory budget."""
+    return m.filter("metric = 'bits'").select("algo", "graph", "k", (F.col("value") <= budget_bits).alias("feasible"))
+
+
+def run_bits(assign: DataFrame, k: int) -> DataFrame:
+    """One row: the bits of a placement's run list, from one equi-join of each id with the one before it."""
+    last = assign.select((F.col("id") + 1).alias("id"), F.col("block").alias("before"))
+    return assign.join(last, "id").agg(((F.sum((F.col("block") != F.col("before")).cast("long")) + 1) * (head_bits(k) + 64)).cast("double").alias("bits"))

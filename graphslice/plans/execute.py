@@ -71,6 +71,15 @@ def single(g: Graph, s: Settings) -> Result:
     return Result(runs.drop("shard"), stats[0]["sizes"] if stats else [0.0] * s.k, stats[0] if stats else {"runs": 0})
 
 
+def prefix(g: Graph, upto: int, k: int, **options) -> Result:
+    """The first `upto` nodes alone, under the whole graph's n, m and limit: a placed node never moves, so these are the
+    labels that the whole stream gives them."""
+    s = Settings(k, **options)
+    ordered = _typed(stream_rows(g).filter(F.col("id") < upto)).repartition(1).sortWithinPartitions("id", F.col("nbr").asc_nulls_first())
+    runs, stats = _run(ordered, rules_of(g, s), s)
+    return Result(runs.drop("shard"), stats[0]["sizes"] if stats else [0.0] * k, stats[0] if stats else {"runs": 0})
+
+
 def relay(g: Graph, s: Settings, chunks: int = 4) -> Result:
     """Exact, chunk after chunk. When a chunk has been placed, its nodes' blocks are joined to the edges that leave it and
     their sums by later node and block are filed under the later node's chunk, so each edge is read and looked up once.

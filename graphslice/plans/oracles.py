@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import math
+
+from ..functions.hashes import hashed_sql
+
 T = {t: f"(SELECT count(*) FROM {t})" for t in ("orders", "part", "supplier", "customer", "events", "documents", "embeddings", "pages", "conversations")}
 _LINES = "(SELECT o_orderkey, o_custkey, l_partkey, l_suppkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey)"
 
@@ -101,3 +105,73 @@ SEQUENCES = {
     "returnflag": "SELECT 0::BIGINT AS batch, row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity) - 1 AS pos, l_returnflag AS sym FROM lineitem",
     "nation": "SELECT 0::BIGINT AS batch, c_custkey AS pos, c_nationkey AS sym FROM customer",
 }
+
+_HIER_ORDER = (
+    "SELECT id AS i, row_number() OVER (ORDER BY region, depth, id) - 1 AS v FROM (SELECT r_regionkey::BIGINT AS id, r_regionkey AS region, 0 AS depth FROM region"
+    " UNION ALL SELECT n_nationkey + 5, n_regionkey, 1 FROM nation"
+    " UNION ALL SELECT c_custkey + 30, n_regionkey, 2 FROM customer JOIN nation ON c_nationkey = n_nationkey"
+    f" UNION ALL SELECT s_suppkey + 30 + {T['customer']}, n_regionkey, 2 FROM supplier JOIN nation ON s_nationkey = n_nationkey)"
+)
+
+
+def _renumbered(name: str, numbers: str) -> tuple[str, str]:
+    sql, n = GRAPHS[name]
+    return f"WITH g AS ({sql}), d AS ({numbers.format(n=n)}) SELECT least(a.v, b.v) AS src, greatest(a.v, b.v) AS dst FROM g JOIN d a ON src = a.i JOIN d b ON dst = b.i", n
+
+
+#: stream orders: breadth-first levels of the hierarchy, by falling degree, and by a hash of the id
+GRAPHS["hierarchy_bfs"] = _renumbered("hierarchy", _HIER_ORDER)
+GRAPHS["conv_degree"] = _renumbered("conv", "SELECT i, row_number() OVER (ORDER BY coalesce(deg, 0) DESC, i) - 1 AS v FROM (SELECT {n} AS n) h, range(h.n) t(i) LEFT JOIN (SELECT v, count(*) AS deg FROM (SELECT src AS v FROM g UNION ALL SELECT dst FROM g) GROUP BY v) ON v = i")
+GRAPHS["conv_random"] = _renumbered("conv", f"SELECT i, row_number() OVER (ORDER BY {hashed_sql('i', 1)}, i) - 1 AS v FROM (SELECT {{n}} AS n) h, range(h.n) t(i)")
+
+
+def sharded(name: str, k: int, shards: int, rounds: int = 2) -> str:
+    """Common tables ending in `a` (id, block): every recursion step places one node of each shard; from the second round on
+    nodes also count the blocks that earlier shards' nodes had in the round before."""
+    size = f"list_transform(range({k}), lambda x: 0.0::DOUBLE)"
+    gain = "coalesce(list_sum(list_transform(range(1, len(st.nb) + 1), lambda j: CASE WHEN st.labels[st.nb[j] + 1] = x - 1 THEN st.ww[j] ELSE 0 END)), 0)"
+    far_gain = "coalesce(list_sum(list_transform(range(1, len(st.fb) + 1), lambda j: CASE WHEN st.fb[j] = x - 1 THEN st.fw[j] ELSE 0 END)), 0)"
+    score = f"{gain} + {far_gain} - st.m * sqrt({k}::DOUBLE) / (st.n * sqrt(st.n::DOUBLE)) * 1.5 * sqrt(st.sizes[x] * st.p)"
+    raw = f"list_transform(range(1, {k + 1}), lambda x: CASE WHEN st.sizes[x] >= st.cap THEN -1e300 ELSE {score} END)"
+    out = f"""{head(name)}, c0 AS (SELECT n, m, ceil(103 * n / (100.0 * {k}))::BIGINT AS lim FROM h),
+c AS MATERIALIZED (SELECT n, m, p, (n + p - 1) // p AS per, CASE WHEN p = 1 THEN lim ELSE lim // p END AS cap
+  FROM (SELECT *, (SELECT max(q) FROM range(1, {shards + 1}) t(q) WHERE q = 1 OR lim // q >= ((n + q - 1) // q + {k - 1}) // {k}) AS p FROM c0)),
+back AS MATERIALIZED (SELECT dst, list(src % per) AS nb, list(w) AS ww FROM e, c WHERE src // per = dst // per GROUP BY dst)"""
+    for r in range(1, rounds + 1):
+        told = f"SELECT dst, list(block) AS fb, list(w) AS fw FROM e JOIN a{r - 1} ON src = id, c WHERE src // per < dst // per GROUP BY dst" if r > 1 else "SELECT 0::BIGINT AS dst, []::INTEGER[] AS fb, []::DOUBLE[] AS fw WHERE false"
+        out += f""", far{r} AS MATERIALIZED ({told}),
+step{r}(shard, i, labels, sizes) AS (
+  SELECT s, -1::BIGINT, []::INTEGER[], {size} FROM c, range(c.p) t(s)
+  UNION ALL
+  SELECT shard, i + 1, list_append(labels, b), list_transform(sizes, lambda x, j: x + CASE WHEN j - 1 = b THEN 1 ELSE 0 END) FROM (
+    SELECT shard, i, labels, sizes, (list_position(raw, list_max(raw)) - 1)::INTEGER AS b FROM (
+      SELECT shard, i, labels, sizes, {raw} AS raw FROM (
+        SELECT s.shard, s.i, s.labels, s.sizes, coalesce(b.nb, []) AS nb, coalesce(b.ww, []) AS ww, coalesce(f.fb, []) AS fb, coalesce(f.fw, []) AS fw, c.n, c.m, c.p, c.cap
+        FROM step{r} s CROSS JOIN c LEFT JOIN back b ON b.dst = s.shard * c.per + s.i + 1 LEFT JOIN far{r} f ON f.dst = s.shard * c.per + s.i + 1
+        WHERE s.shard * c.per + s.i + 1 < least(c.n, (s.shard + 1) * c.per)
+      ) st
+    )
+  )
+),
+a{r} AS MATERIALIZED (SELECT (shard * per + unnest(range(len(labels))))::BIGINT AS id, unnest(labels) AS block FROM step{r}, c WHERE i = least(n, (shard + 1) * per) - shard * per - 1)"""
+    return f"{out}, a AS (SELECT * FROM a{rounds})"
+
+
+def hyperbolic(n: int, degree: float, gamma: float = 2.9, seed: int = 42) -> str:
+    """All pairs of the random hyperbolic graph's points, compared by their distance."""
+    alpha = (gamma - 1) / 2
+    xi = alpha / (alpha - 0.5)
+    big = 2 * math.log(2 * n * xi * xi / (math.pi * degree))
+    u, v = (f"({hashed_sql(x, seed)} + 0.5) / 2147483647.0::DOUBLE" for x in ("2 * i", "2 * i + 1"))
+    return f"""WITH p AS (SELECT i, {v} * {2 * math.pi!r}::DOUBLE AS phi, 1 + {u} * {math.cosh(alpha * big) - 1!r}::DOUBLE AS y FROM range({n}) t(i)),
+q AS MATERIALIZED (SELECT row_number() OVER (ORDER BY phi, i) - 1 AS id, phi, ln(y + sqrt(y * y - 1)) / {alpha!r}::DOUBLE AS r FROM p)
+SELECT a.id::BIGINT AS src, b.id::BIGINT AS dst, 1.0::DOUBLE AS w FROM q a JOIN q b ON a.id < b.id WHERE cosh(a.r) * cosh(b.r) - sinh(a.r) * sinh(b.r) * cos(a.phi - b.phi) <= {math.cosh(big)!r}::DOUBLE"""
+
+
+def delaunay(n: int, seed: int = 42) -> str:
+    """Pairs of points whose largest opposite angles on both sides add up to at most half a turn."""
+    x, y = (f"{hashed_sql(e, seed)} / 2147483647.0::DOUBLE" for e in ("2 * i", "2 * i + 1"))
+    return f"""WITH p AS (SELECT i, {x} AS x, {y} AS y FROM range({n}) t(i)), q AS MATERIALIZED (SELECT row_number() OVER (ORDER BY x, y, i) - 1 AS id, x, y FROM p),
+s AS (SELECT a.id AS src, b.id AS dst, (b.x - a.x) * (c.y - a.y) - (b.y - a.y) * (c.x - a.x) AS side, (a.x - c.x) * (b.x - c.x) + (a.y - c.y) * (b.y - c.y) AS dot FROM q a JOIN q b ON a.id < b.id JOIN q c ON c.id <> a.id AND c.id <> b.id)
+SELECT src::BIGINT AS src, dst::BIGINT AS dst, 1.0::DOUBLE AS w FROM s GROUP BY src, dst
+HAVING coalesce(min(dot / side) FILTER (side > 0), 1e300) + coalesce(min(dot / -side) FILTER (side < 0), 1e300) >= 0"""

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .functions.hashes import hashed_sql
 from .functions.score import LinearPenalty, PowerPenalty
 from .operators import bitvector, graph as gr, measure as me, runs as rl
 from .operators.durable import written
@@ -28,22 +29,21 @@ for _n in ta.BUILDERS:
     _add(f"g_{_n}", lambda s, d, n=_n: ta.BUILDERS[n](s, d)[0].select("src", "dst", "w"), f"WITH e AS ({o.edges_sql(_n)}) SELECT src, dst, w FROM e")
 _add("g_grid", lambda s, d: ge.gen_grid(s, 20, 20)[0], f"WITH e AS ({o.edges_sql('grid')}) SELECT src, dst, w FROM e")
 
-_H = """(SELECT (x * ((x >> 11) + 39373) + 7) % 2147483647 FROM (SELECT x * ((x >> 8) + 16807) % 2147483647 AS x FROM (SELECT (({i}) % 2147483647 * 48271 + 42 * 69621) % 2147483647 AS x)))"""
 _add(
     "g_ba",
     lambda s, d: ge.gen_ba(s, 500, 4)[0],
-    f"""WITH RECURSIVE chain(e, slot) AS (SELECT e, 2 * e + 1 FROM range(2000) t(e) UNION ALL SELECT e, {_H.format(i='slot')} % slot FROM chain WHERE slot % 2 = 1)
+    f"""WITH RECURSIVE chain(e, slot) AS (SELECT e, 2 * e + 1 FROM range(2000) t(e) UNION ALL SELECT e, {hashed_sql('slot', 42)} % slot FROM chain WHERE slot % 2 = 1)
 SELECT DISTINCT least(e // 4, slot // 2 // 4)::BIGINT AS src, greatest(e // 4, slot // 2 // 4)::BIGINT AS dst, 1.0::DOUBLE AS w FROM chain WHERE slot % 2 = 0 AND e // 4 <> slot // 2 // 4""",
 )
 _add(
     "g_rgg",
     lambda s, d: ge.gen_rgg(s, 1000, 0.06)[0],
-    f"""WITH p AS (SELECT i, {_H.format(i='2 * i')} / 2147483647.0::DOUBLE AS x, {_H.format(i='2 * i + 1')} / 2147483647.0::DOUBLE AS y FROM range(1000) t(i)),
+    f"""WITH p AS (SELECT i, {hashed_sql('2 * i', 42)} / 2147483647.0::DOUBLE AS x, {hashed_sql('2 * i + 1', 42)} / 2147483647.0::DOUBLE AS y FROM range(1000) t(i)),
 q AS (SELECT *, row_number() OVER (ORDER BY floor(y * 16), floor(x * 16), i) - 1 AS id FROM p)
 SELECT a.id::BIGINT AS src, b.id::BIGINT AS dst, 1.0::DOUBLE AS w FROM q a JOIN q b ON a.id < b.id WHERE (a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) <= 0.06::DOUBLE * 0.06::DOUBLE""",
 )
-_add("g_rhg", lambda s, d: ge.gen_rhg(s, 500, 8.0)[0])
-_add("g_rdg", lambda s, d: ge.gen_rdg(s, 400)[0])
+_add("g_rhg", lambda s, d: ge.gen_rhg(s, 500, 8.0)[0], o.hyperbolic(500, 8.0))
+_add("g_rdg", lambda s, d: ge.gen_rdg(s, 400)[0], o.delaunay(400))
 _add("g_meta", lambda s, d: gr.meta(ta.graph(s, d, "order_part")), f"WITH {o.head('order_part')} SELECT n, count(*) AS m, n::DOUBLE AS cw, sum(w) AS ew, (SELECT max(c) FROM (SELECT count(*) AS c FROM (SELECT src AS v FROM e UNION ALL SELECT dst FROM e) GROUP BY v)) AS max_degree FROM e, h GROUP BY n")
 _add("g_degrees", lambda s, d: gr.degrees(ta.BUILDERS["copurchase"](s, d)[0]), f"WITH e AS ({o.edges_sql('copurchase')}) SELECT v AS id, count(*) AS degree FROM (SELECT src AS v FROM e UNION ALL SELECT dst FROM e) GROUP BY v")
 _add("g_subgraph", lambda s, d: gr.subgraph(ta.BUILDERS["event_time"](s, d)[0], ta.read(s, d, "events").filter("event_type = 'click'").select(F.col("event_id").alias("id"))), f"WITH e AS ({o.edges_sql('event_time')}), c AS (SELECT event_id FROM events WHERE event_type = 'click') SELECT src, dst, w FROM e WHERE src IN (SELECT event_id FROM c) AND dst IN (SELECT event_id FROM c)")
@@ -80,13 +80,15 @@ _add("p_forward_spilling_emb_cos", placed("emb_cos", 4, store="forward", memory_
 for _n in ("conv", "emb_cos"):
     _add(f"p_batched_{_n}", placed(_n, 4, beta=100), _greedy_sql(_n, 4))
     _add(f"p_relay_{_n}", placed(_n, 4, exec="relay", chunks=3), _greedy_sql(_n, 4))
-    _add(f"p_sharded_{_n}", placed(_n, 4, exec="sharded", shards=4))
+    _add(f"p_sharded_{_n}", placed(_n, 4, exec="sharded", shards=4), f"WITH RECURSIVE {o.sharded(_n, 4, 4)} SELECT id, block FROM a")
+    _add(f"p_sharded_once_{_n}", placed(_n, 4, exec="sharded", shards=4, rounds=1), f"WITH RECURSIVE {o.sharded(_n, 4, 4, 1)} SELECT id, block FROM a")
 _add("p_batched_sticky_conv", placed("conv", 4, beta=100, kappa=20.0), _greedy_sql("conv", 4, kappa=20))
 _add("p_relay_sticky_hierarchy", placed("hierarchy", 4, exec="relay", chunks=4, kappa=20.0), _greedy_sql("hierarchy", 4, kappa=20))
 _add("p_buffered_conv", placed("conv", 4, exec="buffered", buffer=200), _greedy_sql("conv", 4))
 _add("p_frozen_conv", placed("conv", 4, exec="buffered", buffer=134, inner="frozen"))
-_add("p_random_order_conv", lambda s, d: ex.one_pass(gr.reorder(ta.graph(s, d, "conv"), "random"), 4).assign)
-_add("p_degree_order_conv", lambda s, d: ex.one_pass(gr.reorder(ta.graph(s, d, "conv"), "degree"), 4).assign)
+for _n, _by in (("conv", "random"), ("conv", "degree"), ("hierarchy", "bfs")):
+    _add(f"p_{_by}_order_{_n}", lambda s, d, n=_n, by=_by: ex.one_pass(gr.reorder(ta.graph(s, d, n), by), 4).assign, _greedy_sql(f"{_n}_{_by}", 4))
+_add("p_prefix_stable", lambda s, d: ex.prefix(g := ta.graph(s, d, "conv"), g.n // 2, 4).assign, f"WITH RECURSIVE {o.greedy('conv', 4)} SELECT id, block FROM a WHERE id < (SELECT n // 2 FROM h)")
 
 
 def _nodes(s, d, name):
@@ -145,6 +147,7 @@ def _learned_starts(s, d):
 
 
 _add("r_learned_starts", _learned_starts, f"{_S['events']} SELECT run_no + 1 AS rank, start FROM r")
+_add("r_segments_points", lambda s, d: bitvector.learn_segments(_runs(s, d)).agg(F.sum("points").cast("long").alias("starts")), f"{_S['events']} SELECT count(*) AS starts FROM r")
 _add("r_segments", lambda s, d: bitvector.learn_segments(_runs(s, d)))
 
 # --- messages ----------------------------------------------------------------------------------------
@@ -180,6 +183,7 @@ def measurements(s, d):
             for algo in _RULES:
                 a = ex.range_blocks(s.range(n), n, k) if algo == "range" else ex.hash_blocks(s.range(n), k, algo)
                 parts.append(me.edge_cut(edges, a).select(F.lit(algo).alias("algo"), F.lit(name).alias("graph"), F.lit(k).alias("k"), F.lit("cut").alias("metric"), F.col("cut").alias("value")))
+                parts.append(me.run_bits(a, k).select(F.lit(algo).alias("algo"), F.lit(name).alias("graph"), F.lit(k).alias("k"), F.lit("bits").alias("metric"), F.col("bits").alias("value")))
     out = parts[0]
     for p in parts[1:]:
         out = out.union(p)
@@ -194,6 +198,8 @@ def _measurements_sql():
             for algo, b in _RULES.items():
                 x, y = (b.format(k=k).replace("i", c) if algo != "mulshift" else b.format(k=k).replace("i::", f"{c}::") for c in ("src", "dst"))
                 rows.append(f"SELECT '{algo}' AS algo, '{name}' AS graph, {k} AS k, 'cut' AS metric, sum(CASE WHEN {x} <> {y} THEN w ELSE 0 END)::DOUBLE AS value FROM e_{name}, h_{name}")
+                x, y = (b.format(k=k).replace("i", c) if algo != "mulshift" else b.format(k=k).replace("i::", f"{c}::") for c in ("v", "(v - 1)"))
+                rows.append(f"SELECT '{algo}', '{name}', {k}, 'bits', ((1 + count(*)) * {(k - 1).bit_length() + 64})::DOUBLE FROM h_{name}, range(1, n) t(v) WHERE {x} <> {y}")
     return "WITH " + ", ".join(tables) + ", mm AS MATERIALIZED (" + " UNION ALL ".join(rows) + ")"
 
 
@@ -204,7 +210,15 @@ _add("c_relative", lambda s, d: me.relative_value(measurements(s, d), "range", "
 _add("c_improvement", lambda s, d: me.improvement(measurements(s, d), "range", "mod"), f"{_MM} SELECT x.graph, x.k, x.metric, round((x.value / y.value - 1) * 100, 6) AS improvement, round((y.value / x.value - 1) * 100, 6) AS quality_gain FROM mm x JOIN mm y USING (graph, k, metric) WHERE x.algo = 'range' AND y.algo = 'mod'")
 _add("c_profile", lambda s, d: me.performance_profile(measurements(s, d), [1.0, 1.5, 2.0, 10.0]), f"{_MM}, z AS (SELECT *, value / min(value) OVER (PARTITION BY graph, k, metric) AS ratio FROM mm) SELECT algo, metric, tau, round(avg((ratio <= tau)::INT::DOUBLE), 6) AS share FROM z, (SELECT unnest([1.0, 1.5, 2.0, 10.0])::DOUBLE AS tau) GROUP BY ALL")
 _add("c_win_rate", lambda s, d: me.win_rate(measurements(s, d), "range", "mod"), f"{_MM} SELECT x.metric, round(avg((x.value < y.value)::INT::DOUBLE), 6) AS wins, round(avg((x.value = y.value)::INT::DOUBLE), 6) AS ties FROM mm x JOIN mm y USING (graph, k, metric) WHERE x.algo = 'range' AND y.algo = 'mod' GROUP BY x.metric")
-_add("c_feasible", lambda s, d: me.feasible(measurements(s, d), 1000.0), f"{_MM} SELECT algo, graph, k, value <= 1000 AS feasible FROM mm")
+_add("c_feasible", lambda s, d: me.feasible(measurements(s, d), 8.0 * (64 << 10)), f"{_MM} SELECT algo, graph, k, value <= 524288 AS feasible FROM mm WHERE metric = 'bits'")
+def _counters(s, d, names, **options):
+    stats = ex.one_pass(ta.graph(s, d, "emb_cos"), 4, **options).stats
+    return s.createDataFrame([tuple(int(stats[n]) for n in names)], ", ".join(f"{n} long" for n in names))
+
+
+_add("c_counters", lambda s, d: _counters(s, d, ("appends", "lookups", "overfull")), f"WITH {o.head('emb_cos')} SELECT n AS appends, (SELECT count(*) FROM e) AS lookups, 0::BIGINT AS overfull FROM h")
+_add("c_queue_counters", lambda s, d: _counters(s, d, ("queue_inserts", "queue_deletes", "queue_peak"), store="forward", memory_bytes=4096), f"WITH e AS MATERIALIZED ({o.edges_sql('emb_cos')}), x AS (SELECT id, sum(x) AS x FROM (SELECT src AS id, 1 AS x FROM e UNION ALL SELECT dst, -1 FROM e) GROUP BY id), y AS (SELECT sum(x) OVER (ORDER BY id) AS waiting FROM x) SELECT (SELECT count(*) FROM e) AS queue_inserts, (SELECT count(*) FROM e) AS queue_deletes, max(waiting)::BIGINT AS queue_peak FROM y")
+_add("g_topological", lambda s, d: s.createDataFrame([(gr.check_topological(ta.BUILDERS["copurchase"](s, d)[0]),)], "sound boolean"), f"WITH e AS ({o.edges_sql('copurchase')}) SELECT count(*) FILTER (src >= dst) = 0 AS sound FROM e")
 
 # --- streams -----------------------------------------------------------------------------------------
 

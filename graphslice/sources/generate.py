@@ -9,24 +9,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.hashes import hashed, hashed_numpy
 from ..operators.durable import written
 from ..operators.graph import dense_ids, simple_graph, symmetric
 
-def hashed(i, seed: int):
-    """A 31-bit hash of a column in whole-number arithmetic that SQL engines share: a product modulo a prime, then two
-    rounds in which the value multiplies its own upper bits."""
-    p = F.lit(2147483647)
-    x = F.pmod(F.pmod(i.cast("long"), p) * 48271 + F.lit(seed % 1_000_003) * 69621, p)
-    x = F.pmod(x * (F.shiftright(x, 8) + 16807), p)
-    return F.pmod(x * (F.shiftright(x, 11) + 39373) + 7, p)
-
-
-def hashed_numpy(i: np.ndarray, seed: int) -> np.ndarray:
-    p = 2147483647
-    x = (i % p * 48271 + seed % 1_000_003 * 69621) % p
-    x = x * ((x >> 8) + 16807) % p
-    return (x * ((x >> 11) + 39373) + 7) % p
-
 
 def gen_grid(spark: SparkSession, rows: int, cols: int, chunks: int = 8) -> tuple[DataFrame, int]:
     """A mesh with row-major ids; two projections of a range, no shuffle."""
