@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+import math
 import time
+from dataclasses import replace
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from ..operators import graph as gr, measure as me
 from ..operators.bitvector import AppendableBitVector
+from ..operators.durable import written
 from ..sources import generate as ge, tables as ta
 from .execute import hash_blocks, one_pass
 
@@ -32,6 +37,7 @@ def study(spark: SparkSession, sf_dir: str, graphs, ks, configs: dict) -> DataFr
     rows = []
     for name in graphs:
         g = ta.graph(spark, sf_dir, name)
+        g = replace(g, edges=written(g.edges, "edges"))  # built once, read by every run
         for k in ks:
             if k <= g.n / 2:
                 for algo, options in configs.items():
@@ -39,16 +45,20 @@ def study(spark: SparkSession, sf_dir: str, graphs, ks, configs: dict) -> DataFr
     return _table(spark, rows)
 
 
-def batch_study(spark, sf_dir, graphs=("conv", "event_time"), ks=(2, 4, 16)):
+#: the given graphs with unit weights
+GIVEN = tuple(n for n in ta.BUILDERS if n != "cust_supp_weighted")
+
+
+def batch_study(spark, sf_dir, graphs=GIVEN, ks=(16,)):
     """Batch sizes n, n/10, n/100 and 64 at kappa 1: the cut must not move, runs grow by at most a run per batch."""
     return study(spark, sf_dir, graphs, ks, {"beta_n": {}, "beta_n/10": lambda g: {"beta": max(1, g.n // 10)}, "beta_n/100": lambda g: {"beta": max(1, g.n // 100)}, "beta_64": {"beta": 64}})
 
 
-def kappa_study(spark, sf_dir, graphs=("conv", "event_time"), ks=(4, 16)):
+def kappa_study(spark, sf_dir, graphs=GIVEN, ks=(16,)):
     return study(spark, sf_dir, graphs, ks, {f"kappa_{k}": {"kappa": float(k)} for k in (1, 5, 10, 15, 20)})
 
 
-def store_comparison(spark, sf_dir, graphs=("conv", "event_time"), ks=(4,)):
+def store_comparison(spark, sf_dir, graphs=GIVEN, ks=(4,)):
     """Default runs, batches, stickiness 20, the plain array and the forward queue."""
     return study(spark, sf_dir, graphs, ks, {"run": {}, "batched": lambda g: {"beta": max(1, g.n // 10)}, "sticky20": {"kappa": 20.0}, "dense": {"store": "dense"}, "queue": {"store": "forward"}})
 
@@ -89,25 +99,58 @@ def locality_study(spark, sf_dir, ks=(4,)):
     return _table(spark, rows)
 
 
-def massive_study(spark, sf_dir, nodes=2000, ks=(4, 256), budget_bits_per_node=8.0):
-    """Stickiness 20, the plain array and the hash on generated graphs at about the published density, with a store budget."""
+def massive_study(spark, sf_dir, nodes=100_000, ks=(4, 256), budget_bits_per_node=8.0, given=("event_time", "order_part")):
+    """Stickiness 20, the plain array and the hash, with a budget on the store's bits, on given graphs and on generated ones
+    at about the published density."""
     rgg, n = ge.gen_rgg(spark, nodes, (30 / (3.141592653589793 * nodes)) ** 0.5)
     ba, _ = ge.gen_ba(spark, nodes, 15)
     rows = []
-    for name, g in {"rgg": gr.make_graph(rgg, n), "ba": gr.make_graph(ba, n)}.items():
+    graphs = {"rgg": gr.make_graph(written(rgg, "edges"), n), "ba": gr.make_graph(written(ba, "edges"), nodes)}
+    graphs |= {name: ta.graph(spark, sf_dir, name) for name in given}
+    for name, g in graphs.items():
         for k in ks:
-            if k > n / 2:
+            if k > g.n / 2:
                 continue
             for algo, options in {"sticky20": {"kappa": 20.0}, "dense": {"store": "dense"}}.items():
                 got = measured(g, name, k, algo, **options)
                 bits = next(v for *_, m, v in got if m == "bits")
-                rows += [*got, (algo, name, k, "feasible", bits <= budget_bits_per_node * n)]
+                rows += [*got, (algo, name, k, "feasible", bits <= budget_bits_per_node * g.n)]
             cut = me.edge_cut(g.edges, hash_blocks(g.ids(), k)).first()["cut_edges"]
             rows += [("hash", name, k, "relative_cut", cut / g.m), ("hash", name, k, "bits", 0), ("hash", name, k, "feasible", 1)]
     return _table(spark, rows)
 
 
+def comparison_profiles(spark, sf_dir, graphs=GIVEN, ks=(4,)):
+    """Shares of instances within a factor of the best (cut, seconds, bits) over the comparison of stores."""
+    m = store_comparison(spark, sf_dir, graphs, ks).filter("metric in ('cut', 'seconds', 'bits')")
+    return me.performance_profile(m, [1.0, 1.1, 1.5, 2.0, 5.0, 10.0, 100.0])
+
+
+def comparison_means(spark, sf_dir, graphs=GIVEN, ks=(4,)):
+    """Geometric means over the comparison of stores. Cuts are counted from one, since some are zero."""
+    m = store_comparison(spark, sf_dir, graphs, ks).filter("metric in ('cut', 'seconds', 'bits')")
+    return me.geomean(m.withColumn("value", F.col("value") + F.when(F.col("metric") == "cut", 1.0).otherwise(0.0)))
+
+
+def extrapolation(spark, sf_dir, nodes=(2000, 4000, 8000, 16000), k=4, kappa=20.0, target=2**34):
+    """Runs, bits and seconds of generated geometric graphs at a fixed mean degree (30) over growing n, and what a power law
+    through them gives at the published largest size (k, kappa as there). The last rows are forecasts, not measurements."""
+    rows, seen = [], {}
+    for n in nodes:
+        edges, _ = ge.gen_rgg(spark, n, (30 / (math.pi * n)) ** 0.5)
+        for algo, _, _, metric, value in measured(gr.make_graph(written(edges, "edges"), n), f"rgg_{n}", k, f"sticky{kappa:g}", kappa=kappa):
+            if metric in ("runs", "bits", "seconds"):
+                rows.append((algo, f"rgg_{n}", k, metric, value))
+                seen.setdefault(metric, []).append((math.log(n), math.log(max(value, 1e-9))))
+    for metric, points in seen.items():
+        x, y = np.array(points).T
+        slope, base = np.polyfit(x, y, 1)
+        rows += [("power", "rgg", k, metric, slope), ("forecast", f"rgg_{target}", k, metric, math.exp(base + slope * math.log(target)))]
+    return _table(spark, rows)
+
+
 QUERIES = {
     "w_batch_study": batch_study, "w_kappa_study": kappa_study, "w_delta_study": delta_study, "w_store_comparison": store_comparison, "w_queue_study": queue_study,
     "w_sticky_batches": sticky_batches, "w_locality_study": locality_study, "w_massive_study": massive_study,
+    "w_comparison_profiles": comparison_profiles, "w_comparison_means": comparison_means, "w_extrapolation": extrapolation,
 }

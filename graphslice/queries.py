@@ -6,11 +6,12 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .functions.hashes import hashed_sql
+from .functions import table_functions
 from .functions.score import LinearPenalty, PowerPenalty
 from .operators import bitvector, graph as gr, measure as me, runs as rl
-from .operators.durable import written
+from .operators.durable import folder, written
 from .plans import execute as ex, oracles as o, relational, workloads
-from .sources import generate as ge, tables as ta
+from .sources import files as fi, generate as ge, tables as ta
 from .streaming import partition as sp
 
 QUERIES: dict = {**relational.QUERIES, **workloads.QUERIES}
@@ -220,6 +221,60 @@ _add("c_counters", lambda s, d: _counters(s, d, ("appends", "lookups", "overfull
 _add("c_queue_counters", lambda s, d: _counters(s, d, ("queue_inserts", "queue_deletes", "queue_peak"), store="forward", memory_bytes=4096), f"WITH e AS MATERIALIZED ({o.edges_sql('emb_cos')}), x AS (SELECT id, sum(x) AS x FROM (SELECT src AS id, 1 AS x FROM e UNION ALL SELECT dst, -1 FROM e) GROUP BY id), y AS (SELECT sum(x) OVER (ORDER BY id) AS waiting FROM x) SELECT (SELECT count(*) FROM e) AS queue_inserts, (SELECT count(*) FROM e) AS queue_deletes, max(waiting)::BIGINT AS queue_peak FROM y")
 _add("g_topological", lambda s, d: s.createDataFrame([(gr.check_topological(ta.BUILDERS["copurchase"](s, d)[0]),)], "sound boolean"), f"WITH e AS ({o.edges_sql('copurchase')}) SELECT count(*) FILTER (src >= dst) = 0 AS sound FROM e")
 
+# --- files and table functions -----------------------------------------------------------------------
+
+
+def _kept(s, save, name):
+    path = folder(s, name)
+    save(path)
+    return path
+
+
+def _weighted_text(s, d):
+    """The weighted graph as adjacency text with edge weights (fmt 1), read again."""
+    edges, n = ta.BUILDERS["cust_supp_weighted"](s, d)
+    edges = written(edges, "edges")
+    near = gr.symmetric(edges).groupBy("id").agg(F.sort_array(F.collect_list(F.struct("nbr", "w"))).alias("x"))
+    lines = s.range(n).join(near, "id", "left").select("id", F.array_join(F.transform(F.coalesce("x", F.array().cast("array<struct<nbr: bigint, w: double>>")), lambda y: F.concat_ws(" ", (y.nbr + 1).cast("string"), y.w.cast("long").cast("string"))), " ").alias("value"))
+    head = s.createDataFrame([(-1, f"{n} {edges.count()} 1")], "id long, value string")
+    path = _kept(s, lambda p: head.union(lines).repartitionByRange("id").sortWithinPartitions("id").select("value").write.text(p), "text")
+    return fi.read_adjacency(s, path).edges.select("src", "dst", "w")
+
+
+def _edge_file(format, **options):
+    def query(s, d):
+        path = _kept(s, lambda p: fi.write_edges(ta.BUILDERS["part_supp"](s, d)[0], p, format, **options), "edges")
+        return fi.read_edges(s, path, format, **options).select("src", "dst", "w")
+
+    return query
+
+
+_add("s_adjacency", lambda s, d: fi.read_adjacency(s, _kept(s, lambda p: fi.write_adjacency(ta.graph(s, d, "event_chain"), p), "text")).edges.select("src", "dst", "w"), f"WITH e AS ({o.edges_sql('event_chain')}) SELECT src, dst, w FROM e")
+_add("s_adjacency_weighted", _weighted_text, f"WITH e AS ({o.edges_sql('cust_supp_weighted')}) SELECT src, dst, w FROM e")
+for _f, _opt in (("csv", {"sep": "\t"}), ("json", {}), ("orc", {}), ("parquet", {})):
+    _add(f"s_edges_{_f}", _edge_file(_f, **_opt), f"WITH e AS ({o.edges_sql('part_supp')}) SELECT src, dst, w FROM e")
+_add("s_assignment", lambda s, d: s.read.parquet(_kept(s, lambda p: fi.write_assignment(_hash(s, d), p, by_block=True), "labels")).select("id", "block"), f"{_M} SELECT id, block FROM a")
+_add("s_assignment_text", lambda s, d: s.read.text(_kept(s, lambda p: fi.write_assignment(_hash(s, d), p, "text"), "labels")).groupBy(F.col("value").cast("int").alias("block")).agg(F.count("*").alias("nodes")), f"{_M} SELECT block, count(*) AS nodes FROM a GROUP BY block")
+_add("s_runs", lambda s, d: rl.rle_decode(s.read.parquet(_kept(s, lambda p: fi.write_runs(rl.rle_encode(sequence(s, d, "events"), "pos", "sym", 64), p), "runs"))), f"SELECT pos, sym FROM ({o.SEQUENCES['events']})")
+
+
+def _called(s, sql, **views):
+    table_functions.register(s)
+    for name, df in views.items():
+        df.createOrReplaceTempView(name)
+    return s.sql(sql)
+
+
+def _partition_function(s, d):
+    g = ta.graph(s, d, "conv")
+    sql = f"SELECT id, block FROM partition_graph(TABLE(graph_nodes) WITH SINGLE PARTITION ORDER BY (id), 4, {g.n}, {g.weight!r}D, 20.0D)"
+    return _called(s, sql, graph_nodes=ge.as_adjacency(g.edges, g.n))
+
+
+_add("q_function_partition", _partition_function, _greedy_sql("conv", 4, kappa=20))
+_add("q_function_decode", lambda s, d: _called(s, "SELECT pos, sym FROM decode_runs(TABLE(graph_runs))", graph_runs=_runs(s, d)), f"SELECT pos, sym FROM ({o.SEQUENCES['events']})")
+_add("q_function_segments", lambda s, d: _called(s, "SELECT sum(points) AS starts, min(first_pos) AS first FROM learn_segments(TABLE(graph_runs) PARTITION BY batch)", graph_runs=_runs(s, d)), f"{_S['events']} SELECT count(*) AS starts, min(start) AS first FROM r")
+
 # --- streams -----------------------------------------------------------------------------------------
 
 
@@ -252,12 +307,44 @@ _add("t_interval_join", lambda s, d: sp.drained(sp.near_pairs(_event_stream(s, d
 _add("t_static_join", lambda s, d: sp.drained(_event_stream(s, d).join(ex.hash_blocks(s.range(ta.size(s, d, "events")), 4), F.col("event_id") == F.col("id")).select("event_id", "block")).select("event_id", "block"), "SELECT event_id, (((event_id::HUGEINT * 2654435761) % 4294967296) * 4 // 4294967296)::INTEGER AS block FROM events")
 
 
-def _late(s, d):
+def _late(s, d, late="drop"):
     g = ta.graph(s, d, "conv")
     adj = ge.as_adjacency(g.edges, g.n)
     path = sp.files_of(adj, "id", 2)
     adj.filter("id < 5").repartition(1).write.mode("append").parquet(path)
-    return sp.drained(sp.stream_partition(sp.read_stream(s, path, adj.schema), 4, g.n, g.weight, late="drop")).groupBy("status").agg(F.count("*").alias("n"))
+    return sp.drained(sp.stream_partition(sp.read_stream(s, path, adj.schema), 4, g.n, g.weight, late=late)).groupBy("status").agg(F.count("*").alias("n"))
+
+
+def _late_error(s, d):
+    """Whether a late node ends the stream under the policy 'error'."""
+    try:
+        _late(s, d, "error")
+        ended = False
+    except Exception as x:
+        ended = "LateNode" in str(x)
+    return s.createDataFrame([(ended,)], "ended boolean")
 
 
 _add("t_late", _late, "SELECT 'placed' AS status, count(*) AS n FROM conversations UNION ALL SELECT 'dropped', 5")
+_add("t_late_kept", lambda s, d: _late(s, d, "place_without_run"), "SELECT 'placed' AS status, count(*) AS n FROM conversations UNION ALL SELECT 'late', 5")
+_add("t_late_error", _late_error, "SELECT true AS ended")
+
+
+def _placed_events(s, d):
+    labels = ex.hash_blocks(s.range(ta.size(s, d, "events")), 4)
+    return _event_stream(s, d, cols=("event_id", "ts")).join(labels, F.col("event_id") == F.col("id")).select("ts", "block")
+
+
+def _window_cut(s, d):
+    """Cut and all proximity edges per hour: edges are found by a join of streams, their windows over what it emitted."""
+    a, labels = _event_stream(s, d), ex.hash_blocks(s.range(ta.size(s, d, "events")), 4)
+    pairs = sp.drained(sp.near_pairs(a, _event_stream(s, d))).select("src", "dst", F.lit(1.0).alias("w"))
+    at = ta.read(s, d, "events").select(F.col("event_id").alias("src"), F.col("ts").cast("timestamp").alias("ts"))
+    x = me.edge_blocks(pairs, labels).join(at, "src").groupBy(F.window("ts", "1 hour").alias("w"))
+    return x.agg(F.sum((F.col("src_block") != F.col("dst_block")).cast("long")).alias("cut"), F.count("*").alias("edges")).select(F.unix_seconds("w.start").alias("start_s"), "cut", "edges")
+
+
+_HOUR = "epoch_us(ts) // 3600000000 * 3600"
+_EV = f"WITH {o.head('event_time')}, {o.mulshift(4)}"
+_add("t_window_placements", lambda s, d: sp.drained(sp.windowed_counts(_placed_events(s, d), "ts", "block"), "update").groupBy("start_s", "end_s", "block").agg(F.max("n").alias("n")), f"{_EV} SELECT b AS start_s, b + 3600 AS end_s, block, count(*) AS n FROM (SELECT block, {_HOUR} AS b FROM events JOIN a ON event_id = id) GROUP BY ALL")
+_add("t_window_cut", _window_cut, f"{_EV} SELECT b AS start_s, sum((p <> q)::INT)::BIGINT AS cut, count(*) AS edges FROM (SELECT x.block AS p, y.block AS q, {_HOUR} AS b FROM e JOIN a x ON src = x.id JOIN a y ON dst = y.id JOIN events ON event_id = src) GROUP BY b")
