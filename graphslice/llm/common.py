@@ -272,11 +272,16 @@ def components(links: DataFrame, keep: Durable) -> DataFrame:
     return edges.select(F.col("a").alias("node"), F.col("b").alias("component"))
 
 
-def without(df: DataFrame, key: str, members: DataFrame, member_key: str, bits: int = 22) -> DataFrame:
-    """Rows whose key is not among the members. Only rows that the bit map cannot clear are shuffled."""
+def without(df: DataFrame, key: str, members: DataFrame, member_key: str, bits: int = 22, whole: bool = False) -> DataFrame:
+    """Rows whose key is not among the members. Only rows that the bit map cannot clear are shuffled.
+
+    whole: the map lists all its 2**(bits-6) words, so that the plan stays the same where there are no members.
+    """
     place = lambda c: F.pmod(F.xxhash64(F.col(c)), F.lit(1 << bits))
     words = members.select(place(member_key).alias("_p")).select(F.shiftright("_p", 6).alias("_word"), F.expr("shiftleft(1L, cast(_p & 63 as int))").alias("_bit")).groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
-    tagged = df.withColumn("_p", place(key)).withColumn("_word", F.shiftright("_p", 6)).join(F.broadcast(words), "_word", "left")
+    if whole:
+        words = df.sparkSession.range(1 << (bits - 6)).withColumnRenamed("id", "_word").join(F.broadcast(words), "_word", "left")
+    tagged = df.withColumn("_p", place(key)).withColumn("_word", F.shiftright("_p", 6)).join(F.broadcast(words), "_word", "inner" if whole else "left")
     tagged = tagged.withColumn("_maybe", F.expr("coalesce((_bits & shiftleft(1L, cast(_p & 63 as int))) != 0, false)")).drop("_p", "_word", "_bits")
     sure = tagged.filter("not _maybe").drop("_maybe")
     rest = tagged.filter("_maybe").drop("_maybe")

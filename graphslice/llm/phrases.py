@@ -241,7 +241,7 @@ def later_windows(docs: DataFrame, p: Phrases, keep: Durable) -> tuple[DataFrame
     windows = located.filter("hi is not null").drop("count")
     counts = windows.groupBy("hi", "lo").agg(F.count("*").alias("n"))
     hot = keep(counts.filter(F.col("n") > p.crowd).select("hi", "lo", F.xxhash64("hi", "lo").alias("_key")), "hot")
-    calm = without(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot, "_key", 16).drop("_key")
+    calm = without(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot, "_key", 16, whole=True).drop("_key")
     n = partitions(spark)
     runs = calm.repartition(n, "hi", "lo").sortWithinPartitions("hi", "lo").mapInArrow(_later, "doc_id long, start int, count int")
     # hot phrases: one row per window, of which partial minima leave each task and find the earliest of equal ones
