@@ -244,14 +244,17 @@ def later_windows(docs: DataFrame, p: Phrases, keep: Durable) -> tuple[DataFrame
     calm = without(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot, "_key", 16, whole=True).drop("_key")
     n = partitions(spark)
     runs = calm.repartition(n, "hi", "lo").sortWithinPartitions("hi", "lo").mapInArrow(_later, "doc_id long, start int, count int")
-    # hot phrases: one row per window, of which partial minima leave each task and find the earliest of equal ones
-    crowded = maybe_in(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot, "_key", 16).join(hot.select("hi", "lo"), ["hi", "lo"]).select("hi", "lo", "doc_id", "start", F.posexplode("hashes").alias("i", "h")).select("hi", "lo", "h", "doc_id", (F.col("start") + F.col("i")).alias("start"))
-    earliest = crowded.groupBy("hi", "lo", "h").agg(F.min(F.struct("doc_id", "start")).alias("e"))
-    later = crowded.join(earliest, ["hi", "lo", "h"]).filter("struct(doc_id, start) <> e")
+    # hot phrases: rows with equal windows all are later but for the first of them, so only first rows are taken apart by window
+    crowded = keep(maybe_in(windows.withColumn("_key", F.xxhash64("hi", "lo")), "_key", hot, "_key", 16).join(hot.select("hi", "lo"), ["hi", "lo"]).select("hi", "lo", "doc_id", "start", "hashes"), "crowded")
+    firsts = keep(crowded.groupBy("hi", "lo", "hashes").agg(F.min(F.struct("doc_id", "start")).alias("e")).select("hi", "lo", "e.doc_id", "e.start", "hashes"), "firsts")
+    whole = crowded.join(firsts, ["doc_id", "start", "hi", "lo", "hashes"], "left_anti").select("doc_id", "start", F.size("hashes").alias("count"))
+    apart = firsts.select("hi", "lo", "doc_id", "start", F.posexplode("hashes").alias("i", "h")).select("hi", "lo", "h", "doc_id", (F.col("start") + F.col("i")).alias("start"))
+    earliest = apart.groupBy("hi", "lo", "h").agg(F.min(F.struct("doc_id", "start")).alias("e"))
+    later = apart.join(earliest, ["hi", "lo", "h"]).filter("struct(doc_id, start) <> e")
     of_doc = Window.partitionBy("doc_id").orderBy("start")
     later = later.withColumn("_new", F.coalesce((F.col("start") > F.lag("start").over(of_doc) + 1).cast("int"), F.lit(1))).withColumn("_run", F.sum("_new").over(of_doc.rowsBetween(Window.unboundedPreceding, 0)))
     more = later.groupBy("doc_id", "_run").agg(F.min("start").cast("int").alias("start"), (F.max("start") - F.min("start") + 1).cast("int").alias("count")).drop("_run")
-    grouped = runs.union(more).union(located.filter("hi is null").select("doc_id", "start", "count")).groupBy("doc_id").agg(F.collect_list(F.struct("start", "count")).alias("runs"))
+    grouped = runs.union(more).union(whole).union(located.filter("hi is null").select("doc_id", "start", "count")).groupBy("doc_id").agg(F.collect_list(F.struct("start", "count")).alias("runs"))
     return coded, copies, keep(grouped, "runs")
 
 

@@ -188,6 +188,24 @@ def test_repeated_words(spark, crowd):
     assert got == brute.later_windows(list(enumerate(texts)))
 
 
+def test_a_common_passage_is_taken_apart_once(spark):
+    """Of the equal rows of a crowded phrase only the first is compared window by window."""
+    rng = random.Random(11)
+    w = lambda n: [str(rng.random()) for _ in range(n)]
+    passage, other = w(45), w(30)
+    half = passage[:25] + other[:5]  # shares the passage's first windows only
+    docs = [w(5) + (half if i % 7 == 3 else passage) + w(3 + i % 4) + (other if i % 5 == 0 else []) for i in range(70)]
+    texts = [" ".join(x) for x in docs]
+    d = docs_of(spark, texts)
+    keep = common.Durable(spark)
+    _, _, runs = phrases.later_windows(d, phrases.Phrases(crowd=2), keep)
+    crowded, firsts = (spark.read.parquet(keep.paths[n]) for n in ("crowded", "firsts"))
+    assert crowded.count() > 300 and firsts.count() < crowded.count() / 2
+    assert runs.filter("doc_id = 0").isEmpty()
+    got = {r[0]: tuple(r[1:]) for r in phrases.repeated_words(d, phrases.Phrases(crowd=2)).collect()}
+    assert got == brute.later_windows(list(enumerate(texts)))
+
+
 @pytest.mark.parametrize("crowd", [1, 20_000])
 def test_repeated_bytes(spark, crowd):
     texts = awkward_texts()
