@@ -94,3 +94,23 @@ def test_a_study_sorts_a_stream_once_for_all_its_runs(spark, sf, monkeypatch):
     cut = me.edge_cut(g.edges, one_pass(g, 4).assign).first()["cut_edges"]
     assert len(calls) == 2 and [r["value"] for r in rows if r["metric"] == "cut"] == [cut] * 4
     assert [r["algo"] for r in rows if r["metric"] == "cut"] == ["run", "dense", "queue", "small"]
+
+
+def test_stores_with_equal_labels_are_placed_once(spark, sf, monkeypatch):
+    from graphslice.plans import workloads
+    from graphslice.plans.execute import Settings, side_by_side
+
+    g = ta.graph(spark, sf, "conv")
+    settings = [Settings(4), Settings(4, beta=50), Settings(4, store="dense"), Settings(4, beta=7, delta=16)]
+    for s, r in zip(settings, side_by_side(g, settings), strict=True):
+        alone = one_pass(g, 4, store=s.store, beta=s.beta, delta=s.delta)
+        same = ("runs", "segments", "size_bits", "nbytes", "lookups", "appends", "cut", "sizes", "previous")
+        assert labels(r) == labels(alone) and [r.stats[m] for m in same] == [alone.stats[m] for m in same]
+        assert sorted(map(tuple, r.runs.collect())) == sorted(map(tuple, alone.runs.collect()))
+    with pytest.raises(ValueError):
+        side_by_side(g, [Settings(4), Settings(4, kappa=20.0)])
+    calls = []
+    real = workloads.one_pass
+    monkeypatch.setattr(workloads, "one_pass", lambda *a, **o: calls.append(o) or real(*a, **o))
+    rows = workloads.store_comparison(spark, sf, ("conv",)).collect()
+    assert len(calls) == 2 and len({r["algo"] for r in rows}) == 5  # sticky20 and queue are placed alone
