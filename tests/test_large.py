@@ -3,6 +3,7 @@
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from graphslice.functions.score import LinearPenalty
@@ -114,3 +115,76 @@ def test_stores_with_equal_labels_are_placed_once(spark, sf, monkeypatch):
     monkeypatch.setattr(workloads, "one_pass", lambda *a, **o: calls.append(o) or real(*a, **o))
     rows = workloads.store_comparison(spark, sf, ("conv",)).collect()
     assert len(calls) == 2 and len({r["algo"] for r in rows}) == 5  # sticky20 and queue are placed alone
+
+
+def _streams():
+    """Streams (id, nbr, w) of a band, a bipartite, a random and an empty graph, sorted by id."""
+    rng, n = np.random.default_rng(5), 1500
+    band = [(i, j) for i in range(n) for j in range(max(0, i - 1 - i % 12), i)]
+    sides = [(int(rng.integers(0, 1000)), int(rng.integers(1000, n))) for _ in range(4500)]
+    mixed = [tuple(sorted(rng.integers(0, n, 2).tolist())) for _ in range(6000)]
+    for name, edges in (("band", band), ("sides", sides), ("mixed", mixed), ("none", [])):
+        edges = {(max(a, b), min(a, b)) for a, b in edges if a != b}
+        rows = np.array(sorted([(i, -1) for i in range(n)] + list(edges)))
+        yield name, n, len(edges), rows
+
+
+def _kernel(rows, rules, size, store="run", beta=None, w=None):
+    import json
+
+    from graphslice.operators.kernel import place
+
+    w = np.ones(len(rows)) if w is None else w
+    arrays = [pa.array(np.zeros(len(rows), np.int32)), pa.array(rows[:, 0]), pa.array(rows[:, 1]), pa.array(w), pa.array(np.full(len(rows), -1, np.int32))]
+    table = pa.RecordBatch.from_arrays(arrays, names=["shard", "id", "nbr", "w", "block"])
+    out = [r for b in place((table.slice(i, size) for i in range(0, len(rows), size)), rules, store, beta, 16, 0) for r in b.to_pylist()]
+    stats = json.loads(out[-1]["stats"])
+    return [tuple(r[m] for m in ("batch", "start", "len", "head")) for r in out[:-1]], {m: stats[m] for m in stats if m not in ("seconds", "peak_rss_kb")}
+
+
+@pytest.mark.parametrize("size", [701])
+@pytest.mark.parametrize("kappa", [1.0, 5.0, 20.0])
+def test_stretches_placed_at_once_equal_single_choices(kappa, size, monkeypatch):
+    from graphslice.functions.score import PowerPenalty, limit
+    from graphslice.operators.kernel import Placer, Rules
+
+    chosen, real = [], Placer.choose
+    monkeypatch.setattr(Placer, "choose", lambda *a: chosen.append(1) or real(*a))
+    for name, n, m, rows in _streams():
+        for k in (1, 4, 16, 70):
+            for gamma, cap, store, beta in ((1.5, limit(n, k), "run", None), (1.5, None, "dense", None), (2.0, limit(n, k, 0.0), "run", 7), (1.5, limit(n, k), "plainbits", 50), (1.25, limit(n, k), "run", None)):
+                for w in (None, np.where(rows[:, 1] < 0, 1.0, 1.0 + rows[:, 0] % 3)) if k == 4 else (None,):
+                    rules = Rules(k, n, m, cap, PowerPenalty(gamma), kappa)
+                    got = _kernel(rows, rules, size, store, beta, w)
+                    with monkeypatch.context() as c:
+                        c.setattr(PowerPenalty, "many", lambda *a: None)
+                        chosen.clear()
+                        assert got == _kernel(rows, rules, size, store, beta, w), (name, k, gamma, store)
+                        assert len(chosen) == n
+        chosen.clear()
+        _kernel(rows, Rules(4, n, m, limit(n, 4), kappa=kappa), 1 << 14)
+        if (name, kappa) in (("band", 20.0), ("sides", 20.0)):
+            assert len(chosen) < n * 2 / 3  # before, each node was chosen by itself
+        if (name, kappa) == ("sides", 1.0):
+            assert len(chosen) < n * 2 / 3
+
+
+@pytest.mark.parametrize("name", ["dense", "runlist", "plainbits", "run", "auto"])
+@pytest.mark.parametrize("beta", [None, 1, 7, 1000])
+def test_blocks_that_come_together_are_stored_as_single_ones(name, beta):
+    from graphslice.operators.stores import make_store
+
+    rng = np.random.default_rng(2)
+    labels = np.repeat(rng.integers(0, 5, 800), rng.integers(1, 9, 800))
+    one, many, i = make_store(name, 5, beta, 4), make_store(name, 5, beta, 4), 0
+    for b in labels.tolist():
+        one.append(b)
+    while i < len(labels):
+        step = int(rng.integers(0, 40))
+        many.extend(labels[i : i + step])
+        i += step
+    assert many.get_many(np.arange(len(labels))).tolist() == labels.tolist() and len(many) == len(one)
+    assert (many.size_bits(), many.nbytes()) == (one.size_bits(), one.nbytes())
+    assert all((a == b).all() for a, b in zip(one.heads_and_starts(), many.heads_and_starts()))
+    many.append(int(labels[-1]))
+    assert len(many.heads_and_starts()[0]) == len(one.heads_and_starts()[0]) + bool(beta and len(labels) % beta == 0)
