@@ -188,3 +188,44 @@ def test_blocks_that_come_together_are_stored_as_single_ones(name, beta):
     assert all((a == b).all() for a, b in zip(one.heads_and_starts(), many.heads_and_starts()))
     many.append(int(labels[-1]))
     assert len(many.heads_and_starts()[0]) == len(one.heads_and_starts()[0]) + bool(beta and len(labels) % beta == 0)
+
+
+@pytest.mark.parametrize("later", [False, True])
+def test_keys_of_a_stream_sort_and_pack_as_its_rows(spark, sf, later):
+    from graphslice.operators import graph as gr
+    from graphslice.operators.kernel import unpacked
+    from graphslice.plans.execute import pieces
+
+    g = ta.graph(spark, sf, "event_time")
+    weighted = ta.graph(spark, sf, "cust_supp_weighted")
+    assert g.unit and not weighted.unit and gr.stream_keys(weighted, later).columns == ["id", "nbr", "w"]
+    got = []
+    for rows in (gr.stream_keys(g, later), gr.stream_rows(g, later)):
+        t = pieces(rows).orderBy("id", "nbr").toArrow()
+        assert max(len(x) for x in t.column("nbrs").to_pylist()) <= 4 * max(t.column("rows").to_pylist())
+        got.append([r for b in unpacked(t.to_batches()) for r in b.to_pylist()])
+    assert gr.stream_keys(g, later).columns == ["key"] and got[0] == got[1] and len(got[0]) == g.n + g.m
+
+
+def test_packed_numbers_beyond_four_bytes():
+    from graphslice.operators.kernel import packed, unpacked
+
+    ids, nbr, w = [5, 7, 1 << 40, 1 << 40], [None, 5, None, (1 << 40) - 1], [1.0, 1.0, 2.0, 1.0]
+    batch = pa.RecordBatch.from_arrays([pa.array(ids), pa.array(nbr), pa.array(w)], names=["id", "nbr", "w"])
+    for most in (2, 3, 100):
+        rows = [r for b in unpacked(packed([batch], most)) for r in b.to_pylist()]
+        assert [r["id"] for r in rows] == ids and [r["nbr"] for r in rows] == [-1 if x is None else x for x in nbr] and [r["w"] for r in rows] == w
+
+
+def test_events_meet_across_cells_and_without_repeats(spark, tmp_path):
+    import datetime as dt
+
+    rng, t0 = np.random.default_rng(8), dt.datetime(2024, 1, 1)
+    ids = [*range(2960, 3040), *range(-3040, -2960), *range(-20, 20), *range(3000, 3010), None, 50, 95]
+    rows = [(i, None if n % 37 == 5 else t0 + dt.timedelta(seconds=int(rng.integers(0, 1500)))) for n, i in enumerate(ids)]
+    spark.createDataFrame(rows, "event_id long, ts timestamp").write.parquet(str(tmp_path / "events.parquet"))
+    edges, n = ta.event_time(spark, str(tmp_path))
+    got = [(r["src"], r["dst"]) for r in edges.collect()]
+    want = {(a, b) for a, x in rows for b, y in rows if None not in (a, b, x, y) and 0 < b - a <= 30 and abs((y - x).total_seconds()) <= 600}
+    assert n == len(rows) and len(got) == len(set(got)) and set(got) == want
+    assert "Join" not in edges._jdf.queryExecution().optimizedPlan().toString()
