@@ -470,3 +470,13 @@ def test_forest_depth_adapts_to_crowded_regions(spark):
     assert max(sizes) <= 8 and orders.select("region").distinct().count() > 20
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"], r["kept"]) for r in minhash.near_duplicates(d, f).collect()}
     assert got == near_groups(list(enumerate(texts)), 2, 80)
+
+
+def test_writes_give_back_native_memory(spark, monkeypatch):
+    """The driver's free native memory goes back after every written table, not only between stages."""
+    real, done = common.trim_native, []
+    monkeypatch.setattr(common, "trim_native", lambda s: done.append(real(s)))
+    keep = common.Durable(spark)
+    for i in range(5):
+        keep(spark.range(3), f"t{i}")
+    assert done == [True] * 5
