@@ -91,71 +91,86 @@ def _located(p: Phrases):
     recur inside a document are settled here and leave as runs (hi null) with their number."""
     import ahocorasick
 
-    def run(batches):
-        shard, machine, patterns = None, None, 0
-
-        def pattern(hi, lo):
-            hi, lo = hi & 0xFFFFFFFFFFFFFFFF, lo & 0xFFFFFFFFFFFFFFFF
-            return tuple((hi >> 16 * i if i < 3 else lo >> 16 * (i - 3)) & 0xFFFF for i in range(p.phrase))
+    def found(doc_id, h, machine, out):
+        """Adds to `out` the phrases' keys, document, first window and number of windows, the hashes, and the inner repeats."""
+        ends = np.fromiter((e for e, _ in machine.iter(spelled(h))), np.int64)
+        hits = (ends[ends % 2 == 1] + 1) // 2 - p.phrase
+        if not len(hits):
+            return
+        hi, lo, order = phrase_keys(h, p.phrase)
+        w = p.window - p.phrase + 1
+        order = order.view(np.int64)
+        recurring = np.zeros(len(order), bool)
+        recurring[hits] = True
+        # each window belongs to the phrase that is its leftmost least
+        owner = sliding_argmin(order, w)
+        windows = np.flatnonzero(recurring[owner])
+        if not len(windows):
+            return
+        owner = owner[windows]
+        prefix = prefix_hash(h)
+        digest = mix(span_hash(prefix, windows, windows + p.window)).view(np.int64)
+        # what recurs inside the document is later than its first place there, whatever other documents hold
+        fresh = np.zeros(len(digest), bool)
+        fresh[np.unique(digest, return_index=True)[1]] = True
+        if not fresh.all():
+            again = windows[~fresh]
+            edge = np.flatnonzero(np.concatenate([[True], again[1:] != again[:-1] + 1, [True]]))
+            out["inner"].append((np.full(len(edge) - 1, doc_id), again[edge[:-1]], np.diff(edge)))
+            windows, owner, digest = windows[fresh], owner[fresh], digest[fresh]
+        edge = np.flatnonzero(np.concatenate([[True], (owner[1:] != owner[:-1]) | (windows[1:] != windows[:-1] + 1), [True]]))
+        first = edge[:-1]
+        out["rows"].append((hi[owner[first]], lo[owner[first]], np.full(len(first), doc_id), windows[first], np.diff(edge)))
+        out["hashes"].append(digest)
+
+    def spelled(h):
+        """The words' 16-bit codes as two letters each: a node of the automaton has few letters to look through."""
+        return (h & U64(0xFFFF)).astype("<u2").tobytes().decode("latin-1")
 
+    def run(batches):
+        shard, machine, ready = None, None, False
+        out = {"inner": [], "rows": [], "hashes": []}
         for batch in batches:
-            shards, docs, his, los = (batch.column(n).to_pylist() for n in ("shard", "doc_id", "hi", "lo"))
-            texts = batch.column("text")
-            out: list[tuple] = []
-            for i in range(batch.num_rows):
-                if shards[i] != shard:
-                    shard, machine, patterns, ready = shards[i], ahocorasick.Automaton(ahocorasick.STORE_INTS, ahocorasick.KEY_SEQUENCE), 0, False
-                if docs[i] is None:
-                    machine.add_word(pattern(his[i], los[i]), 1)
-                    patterns += 1
+            shards, texts, ids = batch.column("shard").to_numpy(), batch.column("text"), batch.column("doc_id")
+            plain = ids.is_null().to_numpy(zero_copy_only=False)
+            edge = np.flatnonzero(np.concatenate([[True], (shards[1:] != shards[:-1]) | (plain[1:] != plain[:-1]), [True]]))
+            for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
+                if shards[s] != shard:
+                    shard, machine, ready = shards[s], ahocorasick.Automaton(ahocorasick.STORE_INTS), False
+                if plain[s]:
+                    keys = np.stack([batch.column(c).slice(s, e - s).to_numpy().astype("<i8") for c in ("hi", "lo")], 1)
+                    raw = np.ascontiguousarray(keys.view(np.uint8).reshape(e - s, 2, 8)[:, :, :6]).tobytes().decode("latin-1")
+                    for i in range(0, len(raw), 12):
+                        machine.add_word(raw[i : i + 2 * p.phrase], 1)
+                    continue
+                if not len(machine):
                     continue
                 if not ready:
                     ready = True
-                    if patterns:
-                        machine.make_automaton()
-                if not patterns:
-                    continue
-                for _, _, data, offsets in string_slices(texts.slice(i, 1)):
-                    starts, ends, _ = word_spans(data, offsets)
-                    if len(starts) < p.window:
-                        continue
+                    machine.make_automaton()
+                names = ids.slice(s, e - s).to_pylist()
+                for a, b, data, offsets in string_slices(texts.slice(s, e - s)):
+                    starts, ends, before = word_spans(data, offsets)
                     h = word_hashes(data, starts, ends)
-                    hits = np.fromiter((e for e, _ in machine.iter(tuple((h & U64(0xFFFF)).tolist()))), np.int64) - (p.phrase - 1)
-                    if not len(hits):
-                        continue
-                    hi, lo, order = phrase_keys(h, p.phrase)
-                    w = p.window - p.phrase + 1
-                    order = order.view(np.int64)
-                    recurring = np.zeros(len(order), bool)
-                    recurring[hits] = True
-                    # each window belongs to the phrase that is its leftmost least
-                    owner = sliding_argmin(order, w)
-                    windows = np.arange(len(owner))
-                    keep = recurring[owner]
-                    windows, owner = windows[keep], owner[keep]
-                    if not len(windows):
-                        continue
-                    prefix = prefix_hash(h)
-                    digest = mix(span_hash(prefix, windows, windows + p.window)).view(np.int64)
-                    # what recurs inside the document is later than its first place there, whatever other documents hold
-                    fresh = np.zeros(len(digest), bool)
-                    fresh[np.unique(digest, return_index=True)[1]] = True
-                    again = windows[~fresh]
-                    edge = np.flatnonzero(np.concatenate([[True], again[1:] != again[:-1] + 1, [True]])) if len(again) else np.zeros(1, np.int64)
-                    for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
-                        out.append((None, None, docs[i], again[s], [], e - s))
-                    windows, owner, digest = windows[fresh], owner[fresh], digest[fresh]
-                    edge = np.flatnonzero(np.concatenate([[True], (owner[1:] != owner[:-1]) | (windows[1:] != windows[:-1] + 1), [True]]))
-                    for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
-                        out.append((hi[owner[s]], lo[owner[s]], docs[i], windows[s], digest[s:e], None))
-                if len(out) > 20_000:
-                    yield _rows(out)
-                    out = []
-            if out:
-                yield _rows(out)
+                    for i in range(b - a):
+                        if before[i + 1] - before[i] >= p.window:
+                            found(names[a + i], h[before[i] : before[i + 1]], machine, out)
+                    if len(out["rows"]) > 500:
+                        yield _rows(out)
+                        out = {"inner": [], "rows": [], "hashes": []}
+        if out["hashes"]:
+            yield _rows(out)
 
     def _rows(out):
-        return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out), _WINDOWS)], schema=_WINDOWS)
+        hi, lo, doc, start, count = (np.concatenate(c) for c in zip(*out["rows"]))
+        inner = [np.concatenate(c) for c in zip(*out["inner"])] if out["inner"] else [np.zeros(0, np.int64)] * 3
+        n, m = len(hi), len(inner[0])
+        none = np.arange(n + m) >= n  # rows of inner repeats have no phrase
+        pad = np.zeros(m, np.int64)
+        lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(np.concatenate([count, pad]))]).astype(np.int32)), pa.array(np.concatenate(out["hashes"])))
+        columns = [pa.array(np.concatenate([hi, pad]), mask=none), pa.array(np.concatenate([lo, pad]), mask=none), pa.array(np.concatenate([doc, inner[0]]))]
+        columns += [pa.array(np.concatenate([start, inner[1]]).astype(np.int32)), lists, pa.array(np.concatenate([np.zeros(n, np.int64), inner[2]]).astype(np.int32), mask=~none)]
+        return pa.RecordBatch.from_arrays(columns, schema=_WINDOWS)
 
     return run
 

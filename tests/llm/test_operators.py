@@ -4,6 +4,7 @@ import hashlib
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -480,3 +481,38 @@ def test_writes_give_back_native_memory(spark, monkeypatch):
     for i in range(5):
         keep(spark.range(3), f"t{i}")
     assert done == [True] * 5
+
+
+def test_automata_have_narrow_nodes(monkeypatch):
+    """A node's letters are looked through one by one, so however many words phrases begin with, letters stay few."""
+    ahocorasick = pytest.importorskip("ahocorasick")
+    keys, real = [], ahocorasick.Automaton
+
+    class Recording:
+        def __init__(self, *kind):
+            self.own = real(*kind)
+
+        def add_word(self, key, value):
+            keys.append(key)
+            return self.own.add_word(key, value)
+
+        def __len__(self):
+            return len(self.own)
+
+        def __getattr__(self, name):
+            return getattr(self.own, name)
+
+    monkeypatch.setattr(ahocorasick, "Automaton", Recording)
+    rng, p = random.Random(4), phrases.Phrases()
+    texts = [" ".join(str(rng.random()) for _ in range(60)) for _ in range(40)]
+    his, los = [], []
+    for t in texts:
+        raw = np.frombuffer(t.encode(), np.uint8)
+        starts, ends, _ = common.word_spans(raw, np.array([0, len(raw)]))
+        _, hi, lo = phrases._anchors(common.word_hashes(raw, starts, ends), p)
+        his, los = his + hi.tolist(), los + lo.tolist()
+    n, m = len(his), len(texts)
+    batch = pa.RecordBatch.from_arrays([pa.array([0] * (n + m), pa.int32()), pa.array([None] * n + list(range(m)), pa.int64()), pa.array(his + [None] * m, pa.int64()), pa.array(los + [None] * m, pa.int64()), pa.array([None] * n + texts)], names=["shard", "doc_id", "hi", "lo", "text"])
+    windows = [(r["doc_id"], r["start"] + i) for b in phrases._located(p)([batch]) for r in b.to_pylist() for i in range(len(r["hashes"]))]
+    assert sorted(windows) == [(d, i) for d in range(m) for i in range(41)]
+    assert len(keys) == n > 100 and max(ord(c) if isinstance(c, str) else c for k in keys for c in k) < 256
