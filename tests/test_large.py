@@ -229,3 +229,28 @@ def test_events_meet_across_cells_and_without_repeats(spark, tmp_path):
     want = {(a, b) for a, x in rows for b, y in rows if None not in (a, b, x, y) and 0 < b - a <= 30 and abs((y - x).total_seconds()) <= 600}
     assert n == len(rows) and len(got) == len(set(got)) and set(got) == want
     assert "Join" not in edges._jdf.queryExecution().optimizedPlan().toString()
+
+
+@pytest.mark.parametrize("beta, delta", [(64, 1024), (64, 16), (1000, 100), (7, 1), (1, 1024)])
+def test_full_batches_are_looked_up_together(beta, delta, monkeypatch):
+    """They give what a store for each batch gives, without a call for each batch that a lookup touches."""
+    from graphslice.operators.stores import BatchedStore, RunStore, make_store
+
+    rng, calls = np.random.default_rng(beta), []
+    blocks = np.repeat(rng.integers(0, 5, 3000), rng.integers(1, 30, 3000) * rng.integers(0, 2, 3000) + 1)
+    new, old = make_store("run", 5, beta, delta), BatchedStore(5, beta, lambda k: RunStore(k, delta))
+    at = 0
+    while at < len(blocks):
+        step = int(rng.integers(1, 5000))
+        new.extend(blocks[at : at + step])
+        old.extend(blocks[at : at + step])
+        at = min(at + step, len(blocks))
+        v = rng.integers(0, at, 500)
+        assert (new.get_many(v) == blocks[v]).all() and new.get(int(v[0])) == blocks[v[0]]
+    for m in ("segments", "nbytes", "size_bits"):
+        assert getattr(new, m)() == getattr(old, m)(), m
+    assert all((a == b).all() for a, b in zip(new.heads_and_starts(), old.heads_and_starts(), strict=True))
+    real = RunStore.get_many
+    monkeypatch.setattr(RunStore, "get_many", lambda self, v: calls.append(1) or real(self, v))
+    new.get_many(np.arange(len(blocks)))
+    assert len(calls) <= 1
