@@ -254,3 +254,47 @@ def test_full_batches_are_looked_up_together(beta, delta, monkeypatch):
     monkeypatch.setattr(RunStore, "get_many", lambda self, v: calls.append(1) or real(self, v))
     new.get_many(np.arange(len(blocks)))
     assert len(calls) <= 1
+
+
+def _kept(spark):
+    """Tables in the shared folder, and shuffle files with their sizes."""
+    from graphslice.operators.durable import shared_folder
+
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_folder(spark)}/graphslice")
+    fs = path.getFileSystem(spark._jsc.hadoopConfiguration())
+    tables = {x.getPath().getName() for x in fs.listStatus(path)} if fs.exists(path) else set()
+    files = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    return tables, {x.getName(): x.length() for i in range(files.size()) if (x := files.apply(i)).getName().startswith("shuffle_")}
+
+
+@pytest.mark.parametrize("query", ["store_comparison", "comparison_profiles", "comparison_means"])
+def test_a_comparison_leaves_nothing_on_disk(spark, sf, query):
+    from graphslice.operators.durable import CLEANUP
+    from graphslice.plans import workloads
+
+    tables, files = _kept(spark)
+    assert getattr(workloads, query)(spark, sf, ("conv", "order_supp")).count()
+    now = _kept(spark)
+    assert not now[0] - tables
+    assert sum(size for name, size in now[1].items() if name not in files) < 10_000  # counts of rows at most, no edges or streams
+    assert spark.conf.get(CLEANUP, "false") == "false"
+
+
+def test_a_study_holds_a_few_graphs_at_a_time(spark, sf, monkeypatch):
+    """However many graphs there are, only those that are made, or placed by the cores at hand, are on disk."""
+    from graphslice.plans import workloads
+
+    before, most = _kept(spark)[0], []
+    real = workloads.pieces
+    monkeypatch.setattr(workloads, "pieces", lambda rows: most.append(sum(x.startswith("pieces") for x in _kept(spark)[0] - before)) or real(rows))
+    names = ("conv", "order_supp", "part_supp", "hierarchy", "cust_order", "event_chain", "cust_part", "order_part")
+    rows = workloads.study(spark, sf, names, (4,), {f"kappa_{x}": {"kappa": float(x)} for x in (1, 2, 4, 8)}).collect()
+    assert list(dict.fromkeys(r["graph"] for r in rows)) == list(names) and len(most) == len(names)
+    assert max(most) <= 4  # with four cores and four runs a graph
+
+
+def test_a_failed_run_ends_a_study(spark, sf):
+    from graphslice.plans import workloads
+
+    with pytest.raises(Exception, match="kappa is at least 1"):
+        workloads.study(spark, sf, ("conv", "hierarchy"), (4,), {f"kappa_{x}": {"kappa": x} for x in (1.0, 0.5)})
