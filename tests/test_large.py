@@ -298,3 +298,21 @@ def test_a_failed_run_ends_a_study(spark, sf):
 
     with pytest.raises(Exception, match="kappa is at least 1"):
         workloads.study(spark, sf, ("conv", "hierarchy"), (4,), {f"kappa_{x}": {"kappa": x} for x in (1.0, 0.5)})
+
+
+@pytest.mark.parametrize("apart, blocks, weights, most", [(3, 4, False, 3), (300, 400, False, 5), (1 << 20, 4, True, 14), (1 << 40, 1 << 17, True, 21)])
+def test_spilled_messages_are_narrow_and_come_back(apart, blocks, weights, most):
+    from graphslice.operators.stores import _Messages
+
+    rng, n = np.random.default_rng(2), 10_000
+    target = np.cumsum(rng.integers(0, apart, n))
+    block, weight = rng.integers(0, blocks, n).astype(np.int32), rng.random(n) if weights else np.ones(n)
+    run = _Messages(0)
+    run.write(target, block, weight)
+    assert run.handle.tell() < most * n  # 20 bytes each before
+    run.rewind()
+    got = [run.upto(int(x)) for x in (target[n // 3], target[-1])]
+    assert got[0][-1][0][-1] <= target[n // 3] < got[1][0][0][0]
+    for want, have in zip((target, block, weight), zip(*(part for some in got for part in some))):
+        assert (np.concatenate(have) == want).all() and np.concatenate(have).dtype == want.dtype
+    assert run.part is None and run.handle.closed
