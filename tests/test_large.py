@@ -316,3 +316,41 @@ def test_spilled_messages_are_narrow_and_come_back(apart, blocks, weights, most)
     for want, have in zip((target, block, weight), zip(*(part for some in got for part in some))):
         assert (np.concatenate(have) == want).all() and np.concatenate(have).dtype == want.dtype
     assert run.part is None and run.handle.closed
+
+
+@pytest.mark.parametrize("name", ["copurchase", "coship"])
+def test_lines_are_dealt_by_order_once(spark, name):
+    """Both sides of the self-join read one exchange; at sf0.01, with joins that are not broadcast."""
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        edges = ta.BUILDERS[name](spark, "/root/testdata/sf0.01")[0].select("src", "dst")
+        got = {tuple(r) for r in edges.collect()}
+        plan = edges._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[0]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    key = {"copurchase": "l_partkey", "coship": "l_suppkey"}[name]
+    orders = {}
+    for o, x in ta.read(spark, "/root/testdata/sf0.01", "lineitem").select("l_orderkey", key).collect():
+        orders.setdefault(o, set()).add(x)
+    assert got == {(a, b) for some in orders.values() for a in some for b in some if a < b}
+    assert len(re.findall(r"- Exchange hashpartitioning\(l_orderkey", plan)) == 1
+    assert len(re.findall(r"- Exchange hashpartitioning", plan)) == 2  # the other one removes repeated pairs
+
+
+def test_lines_of_documents_are_dealt_once(spark):
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        edges = ta.doc_lines(spark, "/root/testdata/sf0.01")[0].select("src", "dst")
+        got = {tuple(r) for r in edges.collect()}
+        plan = edges._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[0]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    having = {}
+    for i, text in ta.read(spark, "/root/testdata/sf0.01", "documents").select("doc_id", "text").collect():
+        for x in (text or "").split("\n"):
+            if len(x.strip(" ")) >= 20:
+                having.setdefault(x.strip(" "), set()).add(i)
+    assert got == {(a, b) for some in having.values() if 2 <= len(some) <= 50 for a in some for b in some if a < b}
+    assert len(re.findall(r"- Exchange hashpartitioning", plan)) == 2
